@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import line_dedup, packing, simhash
+from . import line_dedup, packing, simhash, warc_index
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -23,6 +23,25 @@ def op5_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path(), capacity=4096, end_id=1)
 
 
+def op8_warc_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = warc_index.archive_and_index(table(spark, sf_dir, "pages"), min_revisit_bytes=0)
+    return out.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+OP8_SQL = """
+WITH p AS (SELECT page_id, coalesce(html, '') AS h FROM pages),
+s AS (SELECT page_id, octet_length(encode(h)) AS n, sha1(h) AS x FROM p),
+d AS (SELECT page_id, n, x, min(page_id) OVER (PARTITION BY x) AS first FROM s)
+SELECT page_id, n AS payload_bytes,
+  list_aggregate(list_transform(range(0, 32), lambda i:
+    substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', CAST((CAST('0x' || substr(x, (i // 4) * 5 + 1, 5) AS BIGINT)
+      // CAST(power(32, 3 - i % 4) AS BIGINT)) % 32 + 1 AS BIGINT), 1)), 'string_agg', '') AS payload_digest,
+  CASE WHEN page_id = first THEN 'response' ELSE 'revisit' END AS record_type,
+  CASE WHEN page_id = first THEN NULL ELSE first END AS refers_to
+FROM d
+"""
+
+
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"), radius=3, width=3)
 
@@ -51,10 +70,11 @@ FROM marked GROUP BY r, doc_id
 def queries() -> dict[str, Query]:
     return {
         "op5_best_fit_packing": op5_best_fit_packing,
+        "op8_warc_index": op8_warc_index,
         "op9_simhash": op9_simhash,
         "op10_line_dedup": op10_line_dedup,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op10_line_dedup": OP10_SQL}
+    return {"op8_warc_index": OP8_SQL, "op10_line_dedup": OP10_SQL}
