@@ -7,12 +7,53 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import line_dedup, packing, simhash, warc_index
+from . import divergence, line_dedup, packing, simhash, warc_index
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op2_divergence(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return divergence.rate(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
+def _op2_sql() -> str:
+    """Both histograms, the references and the distances, in SQL over the table."""
+    quote = lambda x: "'" + x.replace("'", "''") + "'"
+    vocab = "[" + ", ".join(map(quote, divergence.vocabulary())) + "]"
+    classes = [f"length(t) - length(regexp_replace(t, {quote(r)}, '', 'g')) AS {k}" for k, r in divergence.CLASSES.items()]
+    names = ", ".join(divergence.CLASSES)
+    part = "CASE WHEN {0} > 0 THEN {0} * log2({0} / (({0} + {1}) / 2)) ELSE 0 END"
+    near = "(SELECT d.r, min(sqrt(greatest(s, 0))) AS dist FROM (SELECT h.r, f.lang, sum((" + part.format("h.p", "f.p") + " + " + part.format("f.p", "h.p") + ") / 2) AS s FROM {0} h JOIN {1} f ON h.bin = f.bin GROUP BY h.r, f.lang) d GROUP BY d.r)"
+    return f"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, lang, coalesce(text, '') AS t FROM documents),
+a AS (SELECT *, list_filter(string_split_regex(t, '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w,
+  list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS lines,
+  list_filter(string_split_regex(lower(t), '[\x20\x09-\x0D.,;:!?]+'), lambda x: list_contains({vocab}, x)) AS cw,
+  {", ".join(classes)} FROM d),
+win AS (SELECT r, i, array_to_string(w[i:i + 4], ' ') AS g FROM (SELECT r, w, unnest(range(1, len(w) - 3)) AS i FROM a)),
+twice AS (SELECT r, i FROM (SELECT r, i, count(*) OVER (PARTITION BY r, g) AS n FROM win) WHERE n > 1),
+rep AS (SELECT r, count(DISTINCT pos) AS n FROM (SELECT r, unnest(range(i, i + 5)) AS pos FROM twice) GROUP BY r),
+base AS (SELECT a.r, doc_id, lang, len(w) AS n_words, length(array_to_string(w, '')) AS word_chars, symbol AS n_symbols,
+  len(lines) - len(list_distinct(lines)) AS n_dup_lines, coalesce(rep.n, 0) AS n_repeat_words, length(t) AS n, cw, {names}
+  FROM a LEFT JOIN rep ON a.r = rep.r),
+c AS (SELECT r, lang, unnest([{", ".join(f"'{k}'" for k in [*divergence.CLASSES, "space", "rest"])}]) AS bin,
+  unnest([{names}, n - word_chars, word_chars - ({" + ".join(divergence.CLASSES)})]) AS x FROM base),
+wc AS (SELECT r, lang, v AS bin, len(list_filter(cw, lambda y: y = v)) AS x FROM (SELECT r, lang, cw, unnest({vocab}) AS v FROM base)
+  UNION ALL SELECT r, lang, ' rest', greatest(n_words - len(cw), 0) FROM base),
+langs AS (SELECT lang FROM documents WHERE lang IS NOT NULL GROUP BY lang HAVING count(*) >= 10),
+cr AS (SELECT lang, bin, sum(x) / sum(sum(x)) OVER (PARTITION BY lang) AS p FROM c WHERE lang IN (SELECT lang FROM langs) GROUP BY lang, bin),
+wr AS (SELECT lang, bin, sum(x) / sum(sum(x)) OVER (PARTITION BY lang) AS p FROM wc WHERE lang IN (SELECT lang FROM langs) GROUP BY lang, bin),
+cp AS (SELECT r, bin, x / s AS p FROM (SELECT *, sum(x) OVER (PARTITION BY r) AS s FROM c) WHERE s > 0),
+wp AS (SELECT r, bin, x / s AS p FROM (SELECT *, sum(x) OVER (PARTITION BY r) AS s FROM wc) WHERE s > 0),
+verdict AS (SELECT base.*, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed,
+  coalesce(cd.dist > 0.25 OR wd.dist > 0.33 OR cd.dist + wd.dist > 0.43, false) AS far
+  FROM base LEFT JOIN {near.format("cp", "cr")} cd ON base.r = cd.r LEFT JOIN {near.format("wp", "wr")} wd ON base.r = wd.r)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
+  NOT base_failed AND (n_words < 60 OR NOT far) AS kept FROM verdict
+"""
+
+
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     import public_tokenizers
 
@@ -69,6 +110,7 @@ FROM marked GROUP BY r, doc_id
 
 def queries() -> dict[str, Query]:
     return {
+        "op2_divergence": op2_divergence,
         "op5_best_fit_packing": op5_best_fit_packing,
         "op8_warc_index": op8_warc_index,
         "op9_simhash": op9_simhash,
@@ -77,4 +119,4 @@ def queries() -> dict[str, Query]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_warc_index": OP8_SQL, "op10_line_dedup": OP10_SQL}
+    return {"op2_divergence": _op2_sql(), "op8_warc_index": OP8_SQL, "op10_line_dedup": OP10_SQL}
