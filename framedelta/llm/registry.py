@@ -7,12 +7,19 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import divergence, line_dedup, packing, simhash, warc_index
-from .common import table
+from . import divergence, langid_crf, line_dedup, packing, simhash, warc_index
+from .common import bucket_of, table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_language_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    fold = bucket_of(F.col("doc_id"), 4)
+    out = langid_crf.predict(docs, langid_crf.fitted(docs, fold != 2))
+    return out.select("doc_id", (bucket_of(F.col("doc_id"), 4) == 2).alias("held_out"), "lang_pred", "score")
+
+
 def op2_divergence(spark: SparkSession, sf_dir: str) -> DataFrame:
     return divergence.rate(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
@@ -110,6 +117,7 @@ FROM marked GROUP BY r, doc_id
 
 def queries() -> dict[str, Query]:
     return {
+        "op1_language_crf": op1_language_crf,
         "op2_divergence": op2_divergence,
         "op5_best_fit_packing": op5_best_fit_packing,
         "op8_warc_index": op8_warc_index,
