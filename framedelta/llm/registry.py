@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import divergence, langid_crf, line_dedup, packing, simhash, warc_index
+from . import divergence, langid_crf, line_dedup, packing, quality_crf, simhash, warc_index
 from .common import bucket_of, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -71,6 +71,13 @@ def op5_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path(), capacity=4096, end_id=1)
 
 
+def op7_quality_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    held_out = bucket_of(F.col("doc_id"), 5) == 0
+    model = quality_crf.fitted(docs, table(spark, sf_dir, "labels"), ~held_out)
+    return quality_crf.predict(docs, model, threshold=0.3).select("doc_id", held_out.alias("held_out"), "score", "predicted")
+
+
 def op8_warc_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = warc_index.archive_and_index(table(spark, sf_dir, "pages"), min_revisit_bytes=0)
     return out.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
@@ -120,6 +127,7 @@ def queries() -> dict[str, Query]:
         "op1_language_crf": op1_language_crf,
         "op2_divergence": op2_divergence,
         "op5_best_fit_packing": op5_best_fit_packing,
+        "op7_quality_crf": op7_quality_crf,
         "op8_warc_index": op8_warc_index,
         "op9_simhash": op9_simhash,
         "op10_line_dedup": op10_line_dedup,
