@@ -57,6 +57,19 @@ def sampled(docs: DataFrame, may: Column, label: str, per_label: int, most_label
     return sorted(((r["text"] or "", r["_y"]) for r in got), key=lambda x: (str(x[1]), x[0]))
 
 
+def labelled(docs: DataFrame, labels: DataFrame, may: Column, label: str, per_label: int) -> list:
+    """(text, 0 or 1) of about per_label rows of each label. The ids are drawn first, so a bounded set of them meets the texts."""
+    known = labels.select("doc_id", F.col(label).cast("int").alias("_y")).where(F.col("_y").isin(0, 1) & F.col("doc_id").isNotNull()).where(may)
+    counts = {r["_y"]: r["n"] for r in known.groupBy("_y").agg(F.count(F.lit(1)).alias("n")).collect()}
+    chance = F.pmod(F.xxhash64(F.lit("sample"), F.col("doc_id")), F.lit(1 << 30)) / float(1 << 30)
+    keep = F.lit(False)
+    for y, n in counts.items():
+        keep = keep | ((F.col("_y") == y) & (chance < min(1.0, per_label / n)))
+    chosen = known.where(keep).limit(4 * per_label)
+    got = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("text", "_y").limit(4 * per_label).collect()
+    return sorted(((r["text"] or "", r["_y"]) for r in got), key=lambda x: (x[1], x[0]))
+
+
 class Model:
     """What the fit found; sent to the workers."""
 

@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from .common import map_text, raw_texts
 from .crf import Layout, fit, forward_backward
-from .langid_crf import sampled
+from .langid_crf import labelled
 
 BINS = 8
 CLASSES = 8
@@ -192,8 +192,7 @@ def learn(sample: list[tuple[str, int]], steps: int = 40) -> Model:
 
 def fitted(docs: DataFrame, labels: DataFrame, may: Column, label: str = "quality", per_label: int = 1500) -> Model:
     """Learn from about per_label labelled texts of each label among the rows that `may` allows."""
-    known = labels.select(F.col("doc_id").alias("_id"), F.col(label).cast("int").alias("_label")).where(F.col("_label").isin(0, 1))
-    return learn(sampled(docs.select("doc_id", "text").where(may).join(known, F.col("doc_id") == F.col("_id")), F.lit(True), "_label", per_label))
+    return learn(labelled(docs, labels, may, label, per_label))
 
 
 def predict(docs: DataFrame, model: Model, threshold: float = 0.3, carry: tuple[str, ...] = ("doc_id",)) -> DataFrame:

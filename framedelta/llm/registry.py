@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import divergence, langid_crf, line_dedup, packing, quality_crf, simhash, warc_index
+from . import divergence, langid_crf, line_dedup, packing, quality_crf, simhash, toxicity_ws, warc_index
 from .common import bucket_of, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -61,6 +61,13 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base
 """
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    held_out = bucket_of(F.col("doc_id"), 5) == 0
+    model = toxicity_ws.fitted(docs, table(spark, sf_dir, "labels"), ~held_out)
+    return toxicity_ws.predict(docs, model, threshold=0.5).select("doc_id", held_out.alias("held_out"), "score", "predicted")
+
+
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     import public_tokenizers
 
@@ -126,6 +133,7 @@ def queries() -> dict[str, Query]:
     return {
         "op1_language_crf": op1_language_crf,
         "op2_divergence": op2_divergence,
+        "op4_toxicity": op4_toxicity,
         "op5_best_fit_packing": op5_best_fit_packing,
         "op7_quality_crf": op7_quality_crf,
         "op8_warc_index": op8_warc_index,
