@@ -18,7 +18,11 @@ packed like other rows. Extra columns are ignored. An empty table gives an empty
 
 from __future__ import annotations
 
+import json
+import re
+import sys
 import zlib
+from array import array
 from bisect import bisect_left, insort
 
 import numpy as np
@@ -29,33 +33,102 @@ from pyspark.sql.window import Window
 
 from .common import map_text, raw_texts, ship, written
 
-#: Chunks of text whose ids a worker keeps, and the longest of them.
-KNOWN_CHUNKS, CHUNK_BYTES = 300_000, 48
-_known: dict[str, tuple] = {}
+#: Chunks of text whose ids a worker keeps (in each of two generations), and the longest of them.
+KNOWN_CHUNKS, CHUNK_BYTES = 350_000, 48
+_known: dict[str, "Encoder"] = {}
+assert sys.byteorder == "little" and array("I").itemsize == 4
 
 
-def encoder(path: str):
-    """A function from UTF-8 bytes to the little-endian unsigned 32-bit ids of the tokenizer file at path, one per process."""
-    if path not in _known:
-        from tokenizers import Tokenizer
+def byte_letters() -> dict[int, str]:
+    """The byte-level alphabet: printable Latin-1 characters stand for their bytes, the others are numbered from 256 on."""
+    own = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    rest = (b for b in range(256) if b not in own)
+    return {b: chr(256 + i) for i, b in enumerate(rest)}
 
-        _known[path] = (Tokenizer.from_file(path), {})
-    tok, known = _known[path]
 
-    def encode(text: bytes) -> bytes:
-        chunks = text.split()
-        new = [c for c in set(chunks) if c not in known]
-        if not new:
-            return b"".join(map(known.__getitem__, chunks))
-        got = tok.encode_batch([c.decode() for c in new], add_special_tokens=False)
-        own = {c: np.array(e.ids, "<u4").tobytes() for c, e in zip(new, got, strict=True)}
-        out = b"".join([known.get(c) or own.get(c, b"") for c in chunks])
-        if len(known) + len(own) > KNOWN_CHUNKS:
-            known.clear()
-        known.update((c, i) for c, i in own.items() if len(c) <= CHUNK_BYTES)
+class Kept:
+    """A bounded table of two generations: what is looked up again moves to the younger, the older goes when that is full."""
+
+    def __init__(self, most: int):
+        self.young: dict = {}
+        self.old: dict = {}
+        self.most = most
+
+    def get(self, key):
+        v = self.young.get(key)
+        if v is None and (v := self.old.get(key)) is not None:
+            self.put(key, v)
+        return v
+
+    def put(self, key, value) -> None:
+        if len(self.young) >= self.most:
+            self.old, self.young = self.young, {}
+        self.young[key] = value
+
+
+class Encoder:
+    """Little-endian unsigned 32-bit ids of texts, as the whole tokenizer gives them.
+
+    Chunks between ASCII white space are looked up. New ones of ASCII and Latin-1 letters, for which the tokenizer's normal form is
+    to lower each letter, are cut as its pre-tokenizer does and go to its BPE model piece by piece; others go through all of the tokenizer.
+    Tokenizer files with other rules than these always go through all of it.
+    """
+
+    plain = re.compile(r"[!-~À-ÖØ-öø-ÿ]+")
+    cut = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿ]+|[0-9]|[^a-zß-öø-ÿ0-9]+")
+    # fixed values: the rules for which the short way holds
+    rule = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+
+    def __init__(self, path: str):
+        from tokenizers import Tokenizer
+
+        self.tok = Tokenizer.from_file(path)
+        self.chunks, self.pieces, self.letters = Kept(KNOWN_CHUNKS), Kept(KNOWN_CHUNKS), byte_letters()
+        spec = json.loads(self.tok.to_str())
+        self.specials = [x["content"].encode() for x in spec["added_tokens"]]
+        kinds = [x.get("type") for x in (spec["normalizer"] or {}).get("normalizers", [])]
+        steps = (spec["pre_tokenizer"] or {}).get("pretokenizers", [])
+        self.short = kinds == ["NFC", "Replace", "Lowercase"] and [x.get("type") for x in steps] == ["Split", "ByteLevel"] and steps[0]["pattern"] == {"Regex": self.rule} and not any(x["normalized"] or x["lstrip"] or x["rstrip"] or x["single_word"] for x in spec["added_tokens"])
+        if self.tok.pre_tokenizer is not None and not self.short:
+            raise ValueError("this tokenizer's rules may cross white space")
+
+    def piece(self, p: str) -> bytes:
+        ids = self.pieces.get(p)
+        if ids is None:
+            ids = array("I", [t.id for t in self.tok.model.tokenize(p if p.isascii() else p.encode().decode("latin-1").translate(self.letters))]).tobytes()
+            if len(p) <= CHUNK_BYTES:
+                self.pieces.put(p, ids)
+        return ids
+
+    def new(self, chunk: bytes, special: bool) -> bytes:
+        text = chunk.decode()
+        if text.isascii() and text.isalpha():
+            out = self.piece(text.lower())
+        elif (special and any(x in chunk for x in self.specials)) or not self.plain.fullmatch(text):
+            out = array("I", self.tok.encode(text, add_special_tokens=False).ids).tobytes()
+        else:
+            out = b"".join(map(self.piece, self.cut.findall(text.lower())))
+        if len(chunk) <= CHUNK_BYTES:
+            self.chunks.put(chunk, out)
         return out
 
-    return encode
+    def __call__(self, text: bytes) -> bytes:
+        chunks = text.split()
+        ids = list(map(self.chunks.young.get, chunks))
+        if None in ids:
+            special = any(x in text for x in self.specials)
+            for i, x in enumerate(ids):
+                if x is None:
+                    x = self.chunks.get(chunks[i])
+                    ids[i] = self.new(chunks[i], special) if x is None else x
+        return b"".join(ids)
+
+
+def encoder(path: str) -> Encoder:
+    """The tokenizer file's encoder, one per process."""
+    if path not in _known:
+        _known[path] = Encoder(path)
+    return _known[path]
 
 
 def pieces(docs: DataFrame, tokenizer: str, capacity: int = 4096, end_id: int = 1) -> DataFrame:

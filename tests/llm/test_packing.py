@@ -13,7 +13,9 @@ PATH = public_tokenizers.path("word_bpe_49k.json")
 def test_chunks_encode_like_whole_texts():
     tok, encode = Tokenizer.from_file(PATH), pk.encoder(PATH)
     odd = ["", " ", "Hello, WORLD's   don't\t\nx", "é́é ΣΑΣ ß", "a\x1cb \x85c d   e", "<|endoftext|> x<|startoftext|>y < |endoftext| >", "12 345 ½ 漢字 😀👍🏽 ‍", "İstanbul ǅ", "###*** $$$ |", "x" * 3000]
+    odd += ["it's IT'S we'll don't'd ''re,'ve x'", "Straße ÀÉÎõü ÿŸ ×÷ µª º «é» ¿ñ? ¡Ñ!", "a1b22c-3_d%%e&&& ###x***", "~!@#$%^&*()`{}[]|\\:;\"<>?/", "İ ı ſ Å"]
     r = random.Random(3)
+    odd += ["".join(r.choice("ab'strevmld AÉßñÿ×÷ª1²,.<|>é ") for _ in range(300)) for _ in range(400)]
     odd += ["".join(r.choice("ab \t\n'é́<|>1😀 \x0b　s") for _ in range(200)) for _ in range(300)]
     for t in odd:
         assert np.frombuffer(encode(t.encode()), "<u4").tolist() == tok.encode(t, add_special_tokens=False).ids, repr(t)
