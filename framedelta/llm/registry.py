@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import divergence, langid_crf, line_dedup, packing, quality_crf, simhash, toxicity_ws, warc_index
+from . import decontam_lsa, divergence, langid_crf, line_dedup, packing, quality_crf, simhash, toxicity_ws, warc_index
 from .common import bucket_of, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -78,6 +78,10 @@ def op5_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path(), capacity=4096, end_id=1)
 
 
+def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam_lsa.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op7_quality_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     held_out = bucket_of(F.col("doc_id"), 5) == 0
@@ -135,6 +139,7 @@ def queries() -> dict[str, Query]:
         "op2_divergence": op2_divergence,
         "op4_toxicity": op4_toxicity,
         "op5_best_fit_packing": op5_best_fit_packing,
+        "op6_decontamination": op6_decontamination,
         "op7_quality_crf": op7_quality_crf,
         "op8_warc_index": op8_warc_index,
         "op9_simhash": op9_simhash,
