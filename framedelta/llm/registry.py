@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam_lsa, divergence, langid_crf, line_dedup, packing, quality_crf, simhash, toxicity_ws, warc_index
+from . import decontam_lsa, divergence, langid_crf, line_dedup, packing, quality_crf, simhash, token_counts, toxicity_ws, warc_index
 from .common import bucket_of, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -74,6 +74,10 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
+def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_counts.count_tokens(table(spark, sf_dir, "documents"), tokenizer_path("piece_bpe_32k.model"))
+
+
 def op5_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path(), capacity=4096, end_id=1)
 
@@ -137,6 +141,7 @@ def queries() -> dict[str, Query]:
     return {
         "op1_language_crf": op1_language_crf,
         "op2_divergence": op2_divergence,
+        "op3_token_counts": op3_token_counts,
         "op4_toxicity": op4_toxicity,
         "op5_best_fit_packing": op5_best_fit_packing,
         "op6_decontamination": op6_decontamination,

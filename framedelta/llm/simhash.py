@@ -223,13 +223,42 @@ def components(links: DataFrame, rounds: int = 200) -> DataFrame:
     return label if label is not None else edges.select(F.col("a").alias("v"), F.col("b").alias("label"))
 
 
-def near_duplicates(docs: DataFrame, radius: int = 3, width: int = 3, hot: int = 256) -> DataFrame:
-    """(doc_id, fingerprint string of 16 hex digits, component_id) for each row of docs."""
+def classes(docs: DataFrame, radius: int = 3, width: int = 3, hot: int = 256) -> DataFrame:
+    """(doc_id, fp bigint, class bigint, component_id) for each row of docs: equal classes exactly within a component."""
     rows = written(fingerprints(docs, width), "fingerprints")
     of = written(rows.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints")
     label = components(near_links(of.select("fp"), radius, hot))
-    named = of.join(label.withColumnRenamed("v", "fp"), "fp", "left").select("fp", "least", F.coalesce("label", "fp").alias("label"))
-    least = named.groupBy("label").agg(F.min("least").alias("component_id"))
-    by_fp = named.join(least, "label").select("fp", "component_id")
-    out = rows.join(by_fp, "fp")
+    named = of.join(label.withColumnRenamed("v", "fp"), "fp", "left").select("fp", "least", F.coalesce("label", "fp").alias("class"))
+    least = named.groupBy("class").agg(F.min("least").alias("component_id"))
+    by_fp = named.join(least, "class").select("fp", "class", "component_id")
+    return rows.join(by_fp, "fp").select("doc_id", "fp", "class", "component_id")
+
+
+def near_duplicates(docs: DataFrame, radius: int = 3, width: int = 3, hot: int = 256) -> DataFrame:
+    """(doc_id, fingerprint string of 16 hex digits, component_id) for each row of docs."""
+    out = classes(docs, radius, width, hot)
     return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def one_of_each(docs: DataFrame, radius: int = 3, width: int = 3, hot: int = 256) -> DataFrame:
+    """The rows of docs, all columns, without near-duplicates: of a class the row with the smallest doc_id stays (without any ids, any one row).
+
+    Fingerprints, not texts, are grouped. Texts are shuffled once, by (doc_id, fingerprint); only rows which repeat both go through another step.
+    """
+    found = written(classes(docs, radius, width, hot), "classes")
+    gone = found.where("component_id is not null and not doc_id <=> component_id").select("doc_id", "fp").distinct()
+    stay = found.where("doc_id <=> component_id")
+    again = stay.groupBy("doc_id", "fp").agg(F.count(F.lit(1)).alias("n"), F.min("class").alias("class")).where("n > 1 or doc_id is null").select("doc_id", "fp", "class")
+    # of one doc_id with several fingerprints in its class, the smallest fingerprint stays
+    several = stay.select("doc_id", "fp", "class").distinct().groupBy("doc_id", "class").agg(F.min("fp").alias("least"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    names = {c: f"_in_{i}" for i, c in enumerate(docs.columns) if c not in ("doc_id", "text")}
+    safe = docs.withColumnsRenamed(names)
+    rows = fingerprints(safe, width, carry=tuple(safe.columns))
+    same = lambda a, b: a["doc_id"].eqNullSafe(b["doc_id"]) & (a["fp"] == b["fp"])
+    gone = gone.unionAll(stay.join(several, ["doc_id", "class"]).where("fp <> least").select("doc_id", "fp").distinct())
+    rows = rows.join(gone, same(rows, gone), "left_anti")
+    if again.limit(1).count():
+        once = rows.join(again, same(rows, again), "left_anti")
+        more = rows.join(again.withColumnRenamed("doc_id", "_id").withColumnRenamed("fp", "_fp"), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("fp") == F.col("_fp")))
+        rows = once.unionByName(more.dropDuplicates(["class"]).select(*once.columns))
+    return rows.drop("fp").withColumnsRenamed({v: k for k, v in names.items()}).select(*docs.columns)
