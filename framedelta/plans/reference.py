@@ -12,25 +12,25 @@ from pyspark.sql import functions as F
 SCHEMES, TAILS = ("sequential", "reordered"), ("chain", "short_anchor", "recompute")
 
 
-def plan_frames(frames: DataFrame, scheme: str = "reordered", reset_every: int = 20, tail: str = "chain", lookback: int = 1) -> DataFrame:
-    """video_id, frame_no, epoch_no, segment_no, ftype, past_ref, future_ref, wavefront, exec_order, is_halo; with lookback > 1 also refs."""
+def plan_frames(frames: DataFrame, scheme: str = "reordered", reset_every: int = 20, tail: str = "chain", lookback: int = 1, payload: tuple[str, ...] = ()) -> DataFrame:
+    """video_id, frame_no, epoch_no, segment_no, ftype, past_ref, future_ref, wavefront, exec_order, is_halo; with lookback > 1 also refs; and the payload columns of frames."""
     if scheme not in SCHEMES or tail not in TAILS:
         raise ValueError("unknown scheme or tail rule")
     if scheme == "reordered" and reset_every % 4:
         raise ValueError("reset_every must be a multiple of 4")
-    base = frames.select("video_id", "frame_no")
+    base = frames.select("video_id", "frame_no", *payload)
     f = F.col("frame_no")
     pos = F.pmod(f - 1, F.lit(reset_every))
     epoch = F.floor((f - 1) / reset_every).cast("int")
     none = F.lit(None).cast("int")
     if scheme == "sequential":
         first = pos == 0
-        out = base.select("video_id", "frame_no", epoch.alias("epoch_no"), F.floor(pos / 4).cast("int").alias("segment_no"), F.when(first, "I").otherwise("P").alias("ftype"), F.when(first, none).otherwise(f - 1).alias("past_ref"), none.alias("future_ref"), pos.alias("wavefront"), pos.alias("exec_order"), F.lit(False).alias("is_halo"))
+        out = base.select("video_id", "frame_no", epoch.alias("epoch_no"), F.floor(pos / 4).cast("int").alias("segment_no"), F.when(first, "I").otherwise("P").alias("ftype"), F.when(first, none).otherwise(f - 1).alias("past_ref"), none.alias("future_ref"), pos.alias("wavefront"), pos.alias("exec_order"), F.lit(False).alias("is_halo"), *payload)
         if lookback > 1:
             start = f - pos
             out = out.withColumn("refs", F.filter(F.sequence(f - lookback, f - 1), lambda r: r >= start))
         return out
-    n = base.groupBy("video_id").agg(F.max("frame_no").alias("n"))
+    n = frames.groupBy("video_id").agg(F.max("frame_no").alias("n"))  # a row for each video
     base = base.join(n, "video_id")
     q, k = F.pmod(pos, F.lit(4)), F.floor(pos / 4).cast("int")
     closed = f - q + 4 <= F.col("n")
@@ -52,7 +52,7 @@ def plan_frames(frames: DataFrame, scheme: str = "reordered", reset_every: int =
     future_ref = F.when(q == 0, none).when(closed, F.when(q == 2, f + 2).otherwise(f + 1)).otherwise(future)
     wavefront = F.when(q == 0, k).when(closed, F.when(q == 2, b2).otherwise(b2 + 1)).otherwise(wave)
     order = F.when(pos == 0, 0).when(q == 0, 4 * (k - 1) + 1).when(closed, 4 * k + F.when(q == 2, 2).when(q == 1, 3).otherwise(4)).otherwise(4 * k + (F.when(q == m, 1).when(q == 2, 2).otherwise(3) if tail == "short_anchor" else q))
-    return base.select("video_id", "frame_no", epoch.alias("epoch_no"), k.alias("segment_no"), ftype.alias("ftype"), past_ref.cast("int").alias("past_ref"), future_ref.cast("int").alias("future_ref"), wavefront.cast("int").alias("wavefront"), order.cast("int").alias("exec_order"), F.lit(False).alias("is_halo"))
+    return base.select("video_id", "frame_no", epoch.alias("epoch_no"), k.alias("segment_no"), ftype.alias("ftype"), past_ref.cast("int").alias("past_ref"), future_ref.cast("int").alias("future_ref"), wavefront.cast("int").alias("wavefront"), order.cast("int").alias("exec_order"), F.lit(False).alias("is_halo"), *payload)
 
 
 def add_halo(plan: DataFrame) -> DataFrame:
