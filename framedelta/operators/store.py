@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -49,11 +51,7 @@ class EmbeddingStore:
 
 def encode_half(vec):
     """An array of numbers as little-endian half-precision bytes."""
-    import numpy as np
-    import pandas as pd
-    from pyspark.sql.functions import pandas_udf
-
-    @pandas_udf("binary")
+    @F.pandas_udf("binary")
     def half(s: pd.Series) -> pd.Series:
         return s.map(lambda v: None if v is None else np.asarray(v, "<f2").tobytes())
 
@@ -61,11 +59,7 @@ def encode_half(vec):
 
 
 def decode_half(data):
-    import numpy as np
-    import pandas as pd
-    from pyspark.sql.functions import pandas_udf
-
-    @pandas_udf("array<double>")
+    @F.pandas_udf("array<double>")
     def whole(s: pd.Series) -> pd.Series:
         return s.map(lambda v: None if v is None else np.frombuffer(v, "<f2").astype(float))
 
