@@ -10,7 +10,7 @@ from pyspark.sql.window import Window
 
 from .functions import vector as V
 from .model import EncoderSpec, ReuseConfig
-from .operators import encode, kernel, measures, tasks
+from .operators import baselines, encode, measures, tasks
 from .plans.reference import add_halo, plan_frames, training_groups
 from .sources import frames as S
 from .sources.frames import table
@@ -473,6 +473,92 @@ def schedule_costs(spark, sf):
     return out
 
 
+def _encoded(frames: DataFrame, spec: EncoderSpec, methods: dict, modules) -> dict[str, DataFrame]:
+    out = {"exact": encode.full_encode(frames, spec)}
+    for name, cfg in methods.items():
+        out[name] = encode.intra_frame_reduce(frames, spec, *cfg) if isinstance(cfg, tuple) else encode.gated_encode(frames, spec, cfg, modules if cfg.gate == "learned" else None)
+    return out
+
+
+METHODS = {"learned": ReuseConfig(), "mse": ReuseConfig("sequential", gate="mse", theta=0.02, calibrator=False), "budget": ReuseConfig("sequential", gate="budget", budget=2, calibrator=False), "prune+merge": (1, 1)}
+
+
+@query()
+def retrieval_tradeoff(spark, sf):
+    """method, accuracy (recall at 5), reuse_rate, flops: a clip is the eight frames after a key vector, a query the exact embedding of its third frame."""
+    f = S.morph(spark, sf)
+    clip = (F.col("video_id") * 1_000_000 + F.floor((F.col("frame_no") - 1) / 8)).alias("clip_id")
+    out = None
+    ways = _encoded(f, MORPH, METHODS, trained("morph"))
+    q = ways["exact"].where("(frame_no - 1) % 8 = 2").select(clip.alias("query_id"), F.col("emb").alias("vec")).where("query_id % 20 = 0")
+    for name, z in ways.items():
+        z = z.withColumn("clip_id", clip)
+        top = tasks.retrieve(q, V.mean_pool(z, ["clip_id"]), 5)
+        gold = q.select("query_id", F.col("query_id").alias("clip_id"))
+        cost = z.agg(F.avg("reuse_rate").alias("reuse_rate"), F.sum("flops").alias("flops"))
+        x = tasks.recall(top, gold).withColumnRenamed("recall", "accuracy").crossJoin(cost).withColumn("method", F.lit(name))
+        out = x if out is None else out.unionByName(x)
+    return out
+
+
+@query()
+def qa_tradeoff(spark, sf):
+    """method, accuracy, reuse_rate, flops: which event type is strongest in a ten-day clip, the choices being mean clips of other videos."""
+    f = S.activity(spark, sf)
+    clip = (F.col("video_id") * 10 + F.floor((F.col("frame_no") - 1) / 40)).alias("query_id")
+    e = table(spark, sf, "events").where("ts >= TIMESTAMP_NTZ '2024-01-01'")
+    day = F.floor(F.timestamp_diff("SECOND", F.lit("2024-01-01").cast("timestamp_ntz"), F.col("ts")) / 864000)
+    sums = e.where(day < 3).groupBy((F.col("user_id") * 10 + day).alias("query_id"), "event_type").agg(F.sum("value").alias("v"))
+    number = (F.array_position(F.array(*map(F.lit, S.EVENT_TYPES)), F.col("event_type"))).cast("int")
+    gold = sums.groupBy("query_id").agg(F.max_by(number, F.struct("v", number)).alias("gold"))
+    test = F.pmod(F.floor(F.col("query_id") / 10), F.lit(5)) >= 3
+    ways = _encoded(f, TINY, METHODS, trained("activity"))
+    known = V.mean_pool(ways["exact"].select(clip, "emb"), ["query_id"]).where(~test).join(gold, "query_id")
+    choices = V.mean_pool(known, ["gold"]).select(F.col("gold").alias("choice_no"), F.col("emb").alias("vec"))
+    out = None
+    for name, z in ways.items():
+        a = tasks.answer(V.mean_pool(z.select(clip, "emb"), ["query_id"]).where(test), choices).join(gold, "query_id")
+        cost = z.agg(F.avg("reuse_rate").alias("reuse_rate"), F.sum("flops").alias("flops"))
+        x = a.agg(F.avg((F.col("choice_no") == F.col("gold")).cast("double")).alias("accuracy")).crossJoin(cost).withColumn("method", F.lit(name))
+        out = x if out is None else out.unionByName(x)
+    return out
+
+
+@query()
+def temporal_merge(spark, sf):
+    f = S.activity(spark, sf)
+    return measures.cosine_to_exact(baselines.temporal_merge(f, TINY, 4), encode.full_encode(f, TINY))
+
+
+@query()
+def cluster_index(spark, sf):
+    """Vectors answered by the nearest of 32 representatives."""
+    e = table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("emb"))
+    return baselines.cluster_index(e)
+
+
+@query()
+def frame_search(spark, sf):
+    z = encode.full_encode(S.morph(spark, sf), MORPH)
+    q = z.where("frame_no % 200 = 3").select((F.col("video_id") * 1_000_000 + F.col("frame_no")).alias("query_id"), F.col("emb").alias("vec"))
+    return baselines.frame_search(q, z)
+
+
+@query()
+def cache_hits(spark, sf):
+    """Frames that had to be encoded by a first and a second request for the same videos."""
+    import tempfile
+    import uuid
+
+    from .operators.store import EmbeddingStore
+
+    base = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp()
+    store = EmbeddingStore(spark, f"{base.rstrip('/')}/store-{uuid.uuid4().hex}")
+    f = S.morph(spark, sf)
+    n = [store.get_or_encode(f, "morph", "tiny", MORPH, ReuseConfig(gate="mse", calibrator=False))[1] for _ in range(2)]
+    return spark.createDataFrame([(i + 1, x) for i, x in enumerate(n)], "request int, encoded bigint")
+
+
 def flagship(spark: SparkSession, sf: str) -> DataFrame:
     """For each video of the activity frames: mean cosine to the exact encoder, reuse rate and FLOPs saved."""
     f = S.activity(spark, sf)

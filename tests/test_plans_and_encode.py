@@ -87,6 +87,29 @@ def test_stream_equals_batch(spark, frames, tmp_path, scheme):
     assert all(np.allclose(v[0], want[k][0], atol=1e-9) and np.isclose(v[1], want[k][1]) for k, v in got.items())
 
 
+def test_requests_equal_rows_of_the_whole(frames):
+    from framedelta.plans.rules import request
+
+    cfg = ReuseConfig()
+    whole = rows(encode.gated_encode(frames, SPEC, cfg))
+    part = rows(request(frames, SPEC, cfg, videos=F.col("video_id").isin(1, 5), lo=18, hi=30))
+    assert {k for k in whole if k[0] in (1, 5) and 18 <= k[1] <= 30} == part.keys()
+    assert all(np.allclose(v[0], whole[k][0], atol=1e-9) for k, v in part.items())
+
+
+def test_other_baselines(spark, frames):
+    from framedelta.operators import baselines
+
+    z = baselines.temporal_merge(frames, SPEC, 4)
+    assert z.count() == 90 and z.agg(F.sum("flops")).first()[0] == pytest.approx(kernel.flops_exact(SPEC) * (12 + 5 + 1 + 1 + 6))
+    v = spark.createDataFrame([(i, [1.0, 0.01 * i] if i % 2 else [0.01 * i, 1.0]) for i in range(20)], "id long, emb array<double>")
+    c = {r.id: r.representative % 2 for r in baselines.cluster_index(v, k=2).collect()}
+    assert len(c) == 20 and all(r == i % 2 for i, r in c.items())
+    t = v.withColumns({"label": F.col("id") % 2, "is_train": F.col("id") < 12})
+    a = baselines.proxy_cascade(t, v.select("id", (F.col("id") % 2).cast("int").alias("answer")))
+    assert all(r.label == r.id % 2 for r in a.collect())
+
+
 def test_store(spark, frames, tmp_path):
     s = store.EmbeddingStore(spark, f"file://{tmp_path}/s")
     some = frames.where("video_id <> 1 or frame_no <= 20")
