@@ -9,7 +9,6 @@ import numpy as np
 FRAMES = "video_id bigint, frame_no int, tokens array<double>"
 EMBEDDINGS = "video_id bigint, frame_no int, emb array<double>, reuse_rate double, flops double"
 TYPES = ("I", "P", "B2", "B1")
-HIDDEN = 128  # of the calibrator
 
 
 @dataclass(frozen=True)
@@ -24,6 +23,11 @@ class EncoderSpec:
     seed: int = 0
     ffn_mult: int = 4
 
+    @property
+    def hidden(self) -> int:
+        """Width of the calibrator: an eighth of the encoder's, 128 at 1024."""
+        return max(4, self.dim // 8)
+
     @staticmethod
     def preset(name: str, **other) -> EncoderSpec:
         shapes = {"small": (12, 384, 6), "base": (12, 768, 12), "large": (24, 1024, 16), "tiny": (2, 16, 2), "deep": (4, 32, 4), "bench": (4, 128, 4)}

@@ -12,7 +12,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
-from ..model import HIDDEN, TYPES, EncoderSpec, ReuseConfig, backbone
+from ..model import TYPES, EncoderSpec, ReuseConfig, backbone
 
 _WEIGHTS: dict = {}
 
@@ -92,7 +92,7 @@ def new_modules(spec: EncoderSpec, seed: int = 1, hidden: int = 16) -> list[dict
         b1[0] = -5.4
         g2 = r.normal(size=(hidden, 1)) * 0.05
         g2[0] = 4.0
-        out.append({"g1": g1, "gb1": b1, "g2": g2, "gb2": np.array([-1.0]), "c1": r.normal(size=(spec.dim, HIDDEN)) / np.sqrt(spec.dim), "cb1": np.zeros(HIDDEN), "c2": np.zeros((HIDDEN, wide)), "cb2": np.zeros(wide)})
+        out.append({"g1": g1, "gb1": b1, "g2": g2, "gb2": np.array([-1.0]), "c1": r.normal(size=(spec.dim, spec.hidden)) / np.sqrt(spec.dim), "cb1": np.zeros(spec.hidden), "c2": np.zeros((spec.hidden, wide)), "cb2": np.zeros(wide)})
     return out
 
 
@@ -143,7 +143,7 @@ def flops_gated(spec: EncoderSpec, reused: np.ndarray, gate: str = "learned", ca
         elif gate in ("mse", "budget"):
             out += gated * (n - 1) * 3 * d
         if calibrator:
-            out += r * 2 * HIDDEN * (d + wide)
+            out += r * 2 * spec.hidden * (d + wide)
     return out
 
 

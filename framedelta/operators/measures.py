@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions import vector as V
-from ..model import HIDDEN, EncoderSpec
+from ..model import EncoderSpec
 
 
 def layer_flops(spark: SparkSession, specs: dict[str, EncoderSpec]) -> DataFrame:
@@ -24,7 +24,7 @@ def flops_breakdown(spark: SparkSession, spec: EncoderSpec, rates: list[float])
     """reuse_rate, part, flops and share of the exact encoder's, of one layer with the calibrator's QKV output."""
     n, d = spec.n_tokens, spec.dim
     r = F.col("reuse_rate") * n
-    parts = {"qkv": 6 * d * d * (n - r), "ffn": 4 * spec.ffn_mult * d * d * (n - r), "attention": F.lit(4.0 * n * n * d + 2.0 * n * d * d), "calibrator": r * 2 * HIDDEN * 4 * d, "gate": F.lit(float((n - 1) * (2 * 8 * 16 + 2 * 16 + 12 * d)))}
+    parts = {"qkv": 6 * d * d * (n - r), "ffn": 4 * spec.ffn_mult * d * d * (n - r), "attention": F.lit(4.0 * n * n * d + 2.0 * n * d * d), "calibrator": r * 2 * spec.hidden * 4 * d, "gate": F.lit(float((n - 1) * (2 * 8 * 16 + 2 * 16 + 12 * d)))}
     df = spark.createDataFrame([(float(x),) for x in rates], "reuse_rate double")
     x = df.select("reuse_rate", F.inline(F.array(*[F.struct(F.lit(k).alias("part"), v.cast("double").alias("flops")) for k, v in parts.items()])))
     return x.withColumn("share", F.col("flops") / float((8 + 4 * spec.ffn_mult) * n * d * d + 4 * n * n * d))

@@ -513,11 +513,13 @@ def qa_tradeoff(spark, sf):
     gold = sums.groupBy("query_id").agg(F.max_by(number, F.struct("v", number)).alias("gold"))
     test = F.pmod(F.floor(F.col("query_id") / 10), F.lit(5)) >= 3
     ways = _encoded(f, TINY, METHODS, trained("activity"))
-    known = V.mean_pool(ways["exact"].select(clip, "emb"), ["query_id"]).where(~test).join(gold, "query_id")
+    middle = V.mean_pool(ways["exact"].select(clip, "emb").where(~test), []).withColumnRenamed("emb", "_mean")
+    centred = lambda z: V.mean_pool(z.select(clip, "emb"), ["query_id"]).crossJoin(F.broadcast(middle)).select("query_id", V.delta(F.col("emb"), F.col("_mean")).alias("emb"))
+    known = centred(ways["exact"]).where(~test).join(gold, "query_id")
     choices = V.mean_pool(known, ["gold"]).select(F.col("gold").alias("choice_no"), F.col("emb").alias("vec"))
     out = None
     for name, z in ways.items():
-        a = tasks.answer(V.mean_pool(z.select(clip, "emb"), ["query_id"]).where(test), choices).join(gold, "query_id")
+        a = tasks.answer(centred(z).where(test), choices).join(gold, "query_id")
         cost = z.agg(F.avg("reuse_rate").alias("reuse_rate"), F.sum("flops").alias("flops"))
         x = a.agg(F.avg((F.col("choice_no") == F.col("gold")).cast("double")).alias("accuracy")).crossJoin(cost).withColumn("method", F.lit(name))
         out = x if out is None else out.unionByName(x)
