@@ -20,9 +20,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def packed(patches: Column, dim: int) -> Column:
     """An array of token vectors as one array, with their mean before them."""
-    zero = F.array_repeat(F.lit(0.0), dim)
-    sums = F.aggregate(patches, zero, lambda a, v: F.zip_with(a, v, lambda x, y: x + y))
-    return F.concat(F.transform(sums, lambda x: x / F.size(patches)), F.flatten(patches))
+
+    def whole(p):
+        sums = F.aggregate(p, F.array_repeat(F.lit(0.0), dim), lambda a, v: F.zip_with(a, v, lambda x, y: x + y))
+        return F.concat(F.transform(sums, lambda x: x / F.size(p)), F.flatten(p))
+
+    return F.transform(F.array(patches), whole)[0]  # so that the patches are made once
 
 
 def activity(spark: SparkSession, sf_dir: str) -> DataFrame:
