@@ -17,6 +17,17 @@ from pyspark.sql import functions as F
 PACKAGE = Path(__file__).resolve().parents[1]
 
 
+_state: dict = {}
+
+
+def worker_state(key, make: Callable):
+    """make(), kept in this worker process until another operator asks for its own: workers outlive stages, their tables must not add up."""
+    if key not in _state:
+        _state.clear()
+        _state[key] = make()
+    return _state[key]
+
+
 def ship(spark: SparkSession) -> None:
     """Send this package to the executors once per application."""
     sc = spark.sparkContext
@@ -80,7 +91,7 @@ def raw_texts(column: pa.ChunkedArray | pa.Array) -> list[bytes]:
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]
 
 
-def slices(batch: pa.RecordBatch, column: str = "text", most: int = 8 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, column: str = "text", most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """The batch in runs of rows of about `most` bytes of text each, so that memory follows bytes and not rows."""
     import numpy as np
 

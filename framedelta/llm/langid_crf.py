@@ -26,12 +26,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_text, texts
+from .common import map_text, texts, worker_state
 from .crf import Bags, Layout, fit, forward_backward
 
 WORD = re.compile(r"[^\W\d_]+")
-KNOWN_WORDS = 400_000
-_known: dict[str, tuple[dict[str, int], list[np.ndarray]]] = {}
+KNOWN_WORDS = 120_000
 
 
 def features(word: str) -> list[str]:
@@ -87,10 +86,7 @@ class Model:
 
     def scores(self, words: list[str]) -> np.ndarray:
         """Scores (n, languages) of words; those of known words come from this worker's table."""
-        if self.id not in _known:
-            _known.clear()
-            _known[self.id] = ({}, [np.zeros((0, len(self.langs)), np.float32)])
-        known, table = _known[self.id]
+        known, table = worker_state(self.id, lambda: ({}, [np.zeros((0, len(self.langs)), np.float32)]))
         new = [w for w in set(words) if w not in known]
         if len(known) + len(new) > KNOWN_WORDS:
             known.clear()

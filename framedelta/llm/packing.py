@@ -31,11 +31,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import map_text, raw_texts, ship, written
+from .common import map_text, raw_texts, ship, worker_state, written
 
 #: Chunks of text whose ids a worker keeps (in each of two generations), and the longest of them.
-KNOWN_CHUNKS, CHUNK_BYTES = 350_000, 48
-_known: dict[str, "Encoder"] = {}
+KNOWN_CHUNKS, CHUNK_BYTES = 150_000, 48
 assert sys.byteorder == "little" and array("I").itemsize == 4
 
 
@@ -126,9 +125,7 @@ class Encoder:
 
 def encoder(path: str) -> Encoder:
     """The tokenizer file's encoder, one per process."""
-    if path not in _known:
-        _known[path] = Encoder(path)
-    return _known[path]
+    return worker_state(("encoder", path), lambda: Encoder(path))
 
 
 def pieces(docs: DataFrame, tokenizer: str, capacity: int = 4096, end_id: int = 1) -> DataFrame:

@@ -15,10 +15,9 @@ from __future__ import annotations
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import map_text, raw_texts
+from .common import map_text, raw_texts, worker_state
 from .packing import CHUNK_BYTES, KNOWN_CHUNKS, Kept
 
-_known: dict[str, tuple] = {}
 NONE = -1
 
 
@@ -98,9 +97,7 @@ def count_tokens(docs: DataFrame, path: str, carry: tuple[str, ...] = ("doc_id",
     types = dict(docs.dtypes)
 
     def run(b: pa.RecordBatch) -> pa.RecordBatch:
-        if path not in _known:
-            _known[path] = (Automaton(*vocabulary(path)), Kept(KNOWN_CHUNKS))
-        auto, known = _known[path]
+        auto, known = worker_state(("automaton", path), lambda: (Automaton(*vocabulary(path)), Kept(KNOWN_CHUNKS)))
         cols: tuple[list, list, list] = ([], [], [])
         for t in raw_texts(b.column("text")):
             words = t.split()

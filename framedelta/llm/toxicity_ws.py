@@ -28,14 +28,13 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_text, texts
+from .common import map_text, texts, worker_state
 from .langid_crf import WORD, labelled
 from .quality_crf import logistic
 
 # Common insults.
 LEXICON = "idiot moron stupid loser trash scum pathetic worthless disgusting clown dumb fool jerk imbecile garbage filth vermin liar coward creep freak pig ugly hate".split()
 YOU = re.compile(r"\b(?:you|your|du|ihr|tu|vous|tú|usted|ustedes)\b")
-_automata: dict[str, object] = {}
 
 
 class Patterns:
@@ -44,19 +43,19 @@ class Patterns:
     def __init__(self, names: list[str]):
         self.names, self.id = names, uuid.uuid4().hex
 
+    def automaton(self):
+        import ahocorasick
+
+        a = ahocorasick.Automaton()
+        for i, n in enumerate(self.names):
+            key = n.rstrip("*")
+            a.add_word(key, (*(a.get(key) if a.exists(key) else ()), (i, len(key), n.endswith("*"))))
+        a.make_automaton()
+        return a
+
     def counts(self, text: str) -> dict[int, int]:
         """How often each pattern begins a word of the text, its case aside; whole words must end there."""
-        a = _automata.get(self.id)
-        if a is None:
-            import ahocorasick
-
-            a = ahocorasick.Automaton()
-            for i, n in enumerate(self.names):
-                key = n.rstrip("*")
-                a.add_word(key, (*(a.get(key) if a.exists(key) else ()), (i, len(key), n.endswith("*"))))
-            a.make_automaton()
-            _automata.clear()
-            _automata[self.id] = a
+        a = worker_state(self.id, self.automaton)
         found: dict[int, int] = {}
         if not self.names:
             return found
