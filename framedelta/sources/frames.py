@@ -54,18 +54,25 @@ def morph(spark: SparkSession, sf_dir: str, steps: int = 8) -> DataFrame:
     return x.select("video_id", "frame_no", packed(F.transform(F.sequence(F.lit(0), F.lit(7)), lambda i: F.slice("v", i * 8 + 1, 8)), 8).alias("tokens"))
 
 
+def hashed_words(text: Column, buckets: int) -> Column:
+    """The bucket of each word of a text."""
+    return F.transform(F.split(text, " "), lambda w: F.pmod(F.conv(F.substring(F.md5(F.lower(w).cast("binary")), 1, 6), 16, 10).cast("bigint"), F.lit(buckets)).cast("int"))
+
+
+def counted(part: Column, buckets: int) -> Column:
+    """How many words of `part` each bucket has."""
+    return F.transform(F.sequence(F.lit(0), F.lit(buckets - 1)), lambda k: F.size(F.filter(part, lambda y: y == k)).cast("double"))
+
+
 def words_as_frames(df: DataFrame, key: str, text: str, buckets: int = 16, block: int = 8) -> DataFrame:
     """Scrolling text: a window of eight blocks of words which moves on by two; each block is a token of hashed word counts."""
-    word = F.split(F.col(text), " ")
-    hashed = F.transform(word, lambda w: F.pmod(F.conv(F.substring(F.md5(F.lower(w).cast("binary")), 1, 6), 16, 10).cast("bigint"), F.lit(buckets)).cast("int"))
     n = F.greatest(F.lit(1), F.floor((F.size("h") - 8 * block) / (2 * block)).cast("int") + 1)
-    x = df.where(F.col(text).isNotNull()).select(F.col(key).cast("bigint").alias("video_id"), hashed.alias("h")).select("video_id", "h", F.explode(F.sequence(F.lit(1), n)).alias("frame_no"))
+    x = df.where(F.col(text).isNotNull()).select(F.col(key).cast("bigint").alias("video_id"), hashed_words(F.col(text), buckets).alias("h")).select("video_id", "h", F.explode(F.sequence(F.lit(1), n)).alias("frame_no"))
     x = x.select("video_id", "frame_no", F.slice("h", (F.col("frame_no") - 1) * 2 * block + 1, 8 * block).alias("h"))
 
     def bag(slot):
         b = F.pmod(slot - (F.col("frame_no") - 1) * 2, F.lit(8))  # the ring: blocks keep their place while they are in view
-        part = F.slice("h", b * block + 1, block)
-        return F.transform(F.sequence(F.lit(0), F.lit(buckets - 1)), lambda k: F.size(F.filter(part, lambda y: y == k)).cast("double"))
+        return counted(F.slice("h", b * block + 1, block), buckets)
 
     return x.select("video_id", "frame_no", packed(F.transform(F.sequence(F.lit(0), F.lit(7)), bag), buckets).alias("tokens"))
 
@@ -80,12 +87,16 @@ def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     return words_as_frames(table(spark, sf_dir, "pages"), "page_id", "html")
 
 
-def talk(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """conversations: a video for each of them, a frame for each turn."""
+def talk(spark: SparkSession, sf_dir: str, buckets: int = 16) -> DataFrame:
+    """conversations: a video for each of them, a frame for each turn; the whole turn in eight equal blocks of words, each a token."""
     w = Window.partitionBy("conv_id").orderBy("turn")
-    t = table(spark, sf_dir, "conversations").where("conv_id is not null and text is not null").select("conv_id", F.row_number().over(w).alias("frame_no"), "text")
-    one = words_as_frames(t.select((F.col("conv_id") * 100_000 + F.col("frame_no")).alias("key"), F.array_join(F.slice(F.split("text", " "), 1, 64), " ").alias("text")), "key", "text")
-    return one.select(F.floor(F.col("video_id") / 100_000).cast("bigint").alias("video_id"), F.pmod("video_id", F.lit(100_000)).cast("int").alias("frame_no"), "tokens")
+    t = table(spark, sf_dir, "conversations").where("conv_id is not null and text is not null").select(F.col("conv_id").cast("bigint").alias("video_id"), F.row_number().over(w).alias("frame_no"), hashed_words(F.col("text"), buckets).alias("h"))
+
+    def block(i):
+        start, end = (F.floor(F.size("h") * k / 8).cast("int") for k in (i, i + 1))
+        return counted(F.slice("h", start + 1, end - start), buckets)
+
+    return t.select("video_id", "frame_no", packed(F.transform(F.sequence(F.lit(0), F.lit(7)), block), buckets).alias("tokens"))
 
 
 def shipping(spark: SparkSession, sf_dir: str) -> DataFrame:
