@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from ..functions import vector as V
 from ..model import EncoderSpec
@@ -21,9 +22,60 @@ def temporal_merge(frames: DataFrame, spec: EncoderSpec, window: int = 4) -> Dat
 
 
 def frame_search(queries: DataFrame, embeddings: DataFrame, k: int = 5) -> DataFrame:
-    """query_id, video_id, frame_no, score, rank: the nearest frames themselves, with no pooling over a clip."""
-    clips = embeddings.select(F.struct("video_id", "frame_no").alias("clip_id"), "emb")
-    return tasks.retrieve(queries, clips, k).select("query_id", "clip_id.video_id", "clip_id.frame_no", "score", "rank")
+    """query_id, video_id, frame_no, score, rank: the nearest frames themselves, with no pooling over a clip.
+
+    Queries are broadcast up to tasks.BROADCAST_ROWS. Each task keeps the best k of its frames for every query, so no pair of a query and a frame becomes a row.
+    """
+    import numpy as np
+    import pyarrow as pa
+
+    spark = queries.sparkSession
+    rows = queries.select("query_id", "vec").where("vec is not null").limit(tasks.BROADCAST_ROWS + 1).collect()
+    if not rows or len(rows) > tasks.BROADCAST_ROWS:
+        clips = embeddings.select(F.struct("video_id", "frame_no").alias("clip_id"), "emb")
+        return tasks.retrieve(queries, clips, k).select("query_id", "clip_id.video_id", "clip_id.frame_no", "score", "rank")
+    sent = spark.sparkContext.broadcast((np.array([r["query_id"] for r in rows], np.int64), np.array([r["vec"] for r in rows], float)))
+    types = dict(queries.dtypes) | dict(embeddings.dtypes)
+
+    def dots(x, y):
+        """Sums of products in the order of the components, so that equal vectors have equal scores in any batch."""
+        s = np.multiply.outer(x[:, 0], y[:, 0])
+        for i in range(1, x.shape[1]):
+            s += np.multiply.outer(x[:, i], y[:, i])
+        return s
+
+    def best(batches):
+        ids, q = sent.value
+        size = np.sqrt((q * q).sum(1))
+        score, video, frame = np.full((len(q), k), -np.inf), np.zeros((len(q), k), np.int64), np.zeros((len(q), k), np.int64)
+        for b in batches:
+            x = np.array(b.column("emb").to_pylist(), float).reshape(b.num_rows, -1)
+            v, f = (b.column(c).cast(pa.int64()).to_numpy() for c in ("video_id", "frame_no"))
+            for c in range(0, len(x), 512):
+                part = x[c : c + 512]
+                own = np.sqrt((part * part).sum(1))
+                for at in range(0, len(q), 512):
+                    norm = np.outer(size[at : at + 512], own)
+                    s = np.where(norm > 0, dots(q[at : at + 512], part) / np.where(norm > 0, norm, 1.0), 0.0)
+                    better = np.flatnonzero(s.max(1) > score[at : at + 512, -1])
+                    s = s[better]
+                    i, line = at + better, np.arange(len(better))
+                    for _ in range(min(k, len(part))):
+                        j = s.argmax(1)  # the first of equals: frames come in order
+                        new, s[line, j] = s[line, j], -np.inf
+                        score_i, video_i, frame_i = (np.concatenate([t[i], n[:, None]], axis=1) for t, n in ((score, new), (video, v[c + j]), (frame, f[c + j])))
+                        order = np.argsort(-score_i, axis=1, kind="stable")[:, :k]
+                        score[i], video[i], frame[i] = (np.take_along_axis(t, order, 1) for t in (score_i, video_i, frame_i))
+        n, m = np.nonzero(score > -np.inf)
+        for at in range(0, len(n), 10_000):
+            i, j = n[at : at + 10_000], m[at : at + 10_000]
+            yield pa.RecordBatch.from_arrays([pa.array(ids[i]), pa.array(video[i, j]), pa.array(frame[i, j]), pa.array(score[i, j])], ["query_id", "video_id", "frame_no", "score"])
+
+    dealt = embeddings.where("emb is not null").select("video_id", "frame_no", "emb").repartition(spark.sparkContext.defaultParallelism).sortWithinPartitions("video_id", "frame_no")
+    x = dealt.mapInArrow(best, "query_id bigint, video_id bigint, frame_no bigint, score double")
+    w = Window.partitionBy("query_id").orderBy(F.desc("score"), "video_id", "frame_no")
+    x = x.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
+    return x.select(*[F.col(c).cast(types[c]) for c in ("query_id", "video_id", "frame_no")], "score", "rank")
 
 
 def cluster_index(vectors: DataFrame, k: int = 32, sample: int = 2000) -> DataFrame:
