@@ -18,16 +18,35 @@ PACKAGE = Path(__file__).resolve().parents[1]
 
 
 _state: dict = {}
+_owner: list = [None]
 
 
 def worker_state(key, make: Callable):
-    """make(), kept in this worker process until another operator asks for its own: workers outlive stages, their tables must not add up."""
+    """make(), kept in this worker process until another operator's task begins: workers outlive stages, their tables must not add up."""
     if key not in _state:
         _state.clear()
         _state[key] = make()
     return _state[key]
 
 
+def enter(owner: str) -> None:
+    """A task of `owner` begins in this worker: what other operators left goes."""
+    if _owner[0] != owner:
+        _owner[0] = owner
+        _state.clear()
+        give_back()
+
+
+def give_back() -> None:
+    """Return freed memory of Arrow and of the C heap to the system; neither does so by itself between stages."""
+    import ctypes
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def ship(spark: SparkSession) -> None:
     """Send this package to the executors once per application."""
     sc = spark.sparkContext
@@ -109,14 +128,17 @@ def slices(batch: pa.RecordBatch, column: str = "text", most: int = 4 << 20) ->
 
 
 def map_text(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str) -> DataFrame:
-    """mapInArrow over byte-bounded slices."""
+    """mapInArrow over byte-bounded slices. Each plan made here is an owner of worker tables; a task frees what an earlier owner left."""
     ship(df.sparkSession)
+    owner = uuid.uuid4().hex
 
     def run(batches):
         import pyarrow.compute  # noqa: F401
 
+        enter(owner)
         for b in batches:
             for part in slices(b):
                 yield fn(part)
+        give_back()
 
     return df.mapInArrow(run, schema)
