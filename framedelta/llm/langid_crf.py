@@ -7,10 +7,11 @@ a line may change its language, as code-switched text does. The fit sees such li
 joined for it. A text's language has most probability, summed over words and weighted by letters; its share is the score.
 
 The fit uses a bounded sample, whose bounds are parameters (`docs_per_lang`, `train_words`); it runs on the driver. Prediction
-reads all texts. Scores of words are kept in a bounded table per worker.
+reads all texts. Scores of words are kept in a bounded table per worker. The n-grams of many words
+are cut and looked up at once, as numbers.
 
 Defined cases: null texts and texts without letters are `und` with score 0. Null languages are not learned from. If there is nothing
-to learn from, all texts are `und`. Of equal sums the alphabetically first language wins. Extra columns are ignored.
+to learn from, all texts are `und`. Words are of at least one letter; marks, digits and number signs divide them. Of equal sums the alphabetically first language wins. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -20,6 +21,7 @@ import re
 import uuid
 from collections import Counter
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -30,64 +32,138 @@ from .common import map_text, texts, worker_state
 from .crf import Bags, Layout, fit, forward_backward
 
 WORD = re.compile(r"[^\W\d_]+")
-KNOWN_WORDS = 120_000
-
-
-def features(word: str) -> list[str]:
-    """Names of a word's features: affixes up to three letters, inner n-grams of two and three, the word."""
-    w = f"^{word}$"
-    out = ["bias", f"w:{word}"]
-    out += [f"p:{word[:i]}" for i in (1, 2, 3)] + [f"s:{word[-i:]}" for i in (1, 2, 3)]
-    out += [w[i : i + 2] for i in range(len(w) - 1)] + [w[i : i + 3] for i in range(len(w) - 2)]
-    return out
-
-
-def sampled(docs: DataFrame, may: Column, label: str, per_label: int, most_labels: int = 64) -> list:
-    """(text, label) of about per_label rows of each label (2 * per_label at most on average), chosen by a hash of the row."""
-    rows = docs.where(may & F.col(label).isNotNull()).select("doc_id", F.col("text"), F.col(label).alias("_y"))
-    counts = rows.groupBy("_y").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "_y").limit(most_labels).collect()
-    if not counts:
-        return []
-    chance = F.pmod(F.xxhash64(F.lit("sample"), F.col("doc_id"), F.col("text")), F.lit(1 << 30)) / float(1 << 30)
-    keep = F.lit(False)
-    for r in counts:
-        keep = keep | ((F.col("_y") == r["_y"]) & (chance < min(1.0, per_label / r["n"])))
-    got = rows.where(keep).select("text", "_y").limit(2 * per_label * len(counts)).collect()
+#: Words whose scores a worker keeps, and how many words are scored at a time.
+KNOWN_WORDS, WORDS_AT_ONCE = 60_000, 20_000
+#: Labels whose counts are sent to all tasks; more than that are joined.
+BROADCAST_LABELS = 10_000
+ODD = np.uint64(0x9E3779B97F4A7C15)  # an odd multiplier: neighbouring keys get places far apart
+
+
+def words_of(line: str) -> list[str]:
+    """Runs of letters. What the pattern takes for letters besides (superscripts, fractions, Roman numeral signs) divides words."""
+    found = WORD.findall(line)
+    if line.isascii() or all(map(str.isalpha, found)):
+        return found
+    return [w for x in found for w in ("".join(c if c.isalpha() else " " for c in x)).split()]
+
+
+def feature_keys(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Letter n-grams and affixes of words as numbers: (bigrams, trigrams by place, first place of each word, affixes of three letters (words, 2)).
+
+    A word stands between a beginning and an end mark, so its n-grams there are its affixes of one and two letters. 0 is no feature.
+    """
+    size = np.fromiter(map(len, words), np.int64, len(words)) + 2
+    first = np.cumsum(size) - size
+    c = np.frombuffer(("^" + "$^".join(words) + "$").encode("utf-32-le"), np.uint32).astype(np.uint64) if words else np.empty(0, np.uint64)
+    left = np.repeat(first + size, size) - np.arange(len(c))  # characters of the word from here on
+    one, two = np.append(c[1:], 0).astype(np.uint64), np.append(c[2:], [0, 0]).astype(np.uint64)[: len(c)]
+    bi = np.where(left >= 2, (c << np.uint64(21)) | one, np.uint64(0))
+    tri = np.where(left >= 3, (((c << np.uint64(21)) | one) << np.uint64(21)) | two, np.uint64(0))
+    long = size >= 5
+    ends = np.zeros((len(words), 2), np.uint64)
+    for k, at in ((0, first + 1), (1, first + size - 4)):
+        inner = tri[at[long]]  # a trigram has 63 bits: the highest one marks affixes
+        ends[long, k] = inner | np.uint64(1 << 63) if k == 0 else ~inner
+    return bi, tri, first, ends
+
+
+class KeyTable:
+    """Numbers of keys by open addressing; `missing` for a key that is not there."""
+
+    def __init__(self, keys: np.ndarray):
+        self.missing = len(keys)
+        bits = max(4, int(4 * len(keys)).bit_length())
+        self.shift = np.uint64(64 - bits)
+        self.keys, self.values = np.zeros(1 << bits, np.uint64), np.full(1 << bits, len(keys), np.int32)
+        self.probes = 0
+        todo = np.arange(len(keys))
+        while len(todo):
+            at = self._place(keys[todo], self.probes)
+            free = np.flatnonzero(self.keys[at] == 0)
+            _, pick = np.unique(at[free], return_index=True)
+            won = free[pick]
+            self.keys[at[won]], self.values[at[won]] = keys[todo[won]], todo[won]
+            todo = np.delete(todo, won)
+            self.probes += 1
+
+    def _place(self, keys: np.ndarray, step: int) -> np.ndarray:
+        return (((keys * ODD) >> self.shift).astype(np.int64) + step) & (len(self.keys) - 1)
+
+    def get(self, keys: np.ndarray) -> np.ndarray:
+        at = self._place(keys, 0)
+        out = np.where(self.keys[at] == keys, self.values[at], self.missing)
+        open_ = np.flatnonzero((self.keys[at] != keys) & (self.keys[at] != 0))
+        for step in range(1, self.probes):
+            if not len(open_):
+                break
+            at = self._place(keys[open_], step)
+            hit = self.keys[at] == keys[open_]
+            out[open_[hit]] = self.values[at[hit]]
+            open_ = open_[~hit & (self.keys[at] != 0)]
+        return out
+
+
+def drawn(rows: DataFrame, counts: DataFrame, per_label: dict | int, key: str) -> DataFrame:
+    """Of rows (_y, ...), about per_label of each label, with their chance `_p` of being drawn: by a hash of the key column."""
+    if isinstance(per_label, dict):
+        goal = F.lit(0)
+        for y, n in per_label.items():
+            goal = F.when(F.col("_y") == y, n).otherwise(goal)
+    else:
+        goal = F.lit(per_label)
+    share = counts.select(F.col("_y").alias("_l"), F.least(F.lit(1.0), goal / F.col("n")).alias("_p"))
+    side = F.broadcast(share) if counts.limit(BROADCAST_LABELS + 1).count() <= BROADCAST_LABELS else share
+    chance = F.pmod(F.xxhash64(F.lit("sample"), F.col(key)), F.lit(1 << 30)) / float(1 << 30)
+    return rows.withColumn("_u", chance).join(side, F.col("_y") == F.col("_l")).where(F.col("_u") < F.col("_p")).drop("_l")
+
+
+def sampled(docs: DataFrame, may: Column, label: str, per_label: int) -> list:
+    """(text, label) of about per_label rows of each label, chosen by a hash of the row; all labels are learned."""
+    rows = docs.where(may & F.col(label).isNotNull()).select(F.xxhash64("doc_id", "text").alias("_id"), "text", F.col(label).alias("_y"))
+    counts = rows.groupBy("_y").agg(F.count(F.lit(1)).alias("n"))
+    got = drawn(rows, counts, per_label, "_id").select("text", "_y").collect()
     return sorted(((r["text"] or "", r["_y"]) for r in got), key=lambda x: (str(x[1]), x[0]))
 
 
-def labelled(docs: DataFrame, labels: DataFrame, may: Column, label: str, per_label: int) -> list:
-    """(text, 0 or 1) of about per_label rows of each label. The ids are drawn first, so a bounded set of them meets the texts."""
+def labelled(docs: DataFrame, labels: DataFrame, may: Column, label: str, per_label: dict[int, int]) -> list[tuple[str, int, float]]:
+    """(text, 0 or 1, weight) of about per_label[y] rows of each label y. The ids are drawn first, so a bounded set of them meets the texts.
+
+    A row's weight is how many rows of its label it stands for, over the mean of that: weighted, the sample has the table's shares of labels.
+    """
     known = labels.select("doc_id", F.col(label).cast("int").alias("_y")).where(F.col("_y").isin(0, 1) & F.col("doc_id").isNotNull()).where(may)
-    counts = {r["_y"]: r["n"] for r in known.groupBy("_y").agg(F.count(F.lit(1)).alias("n")).collect()}
-    chance = F.pmod(F.xxhash64(F.lit("sample"), F.col("doc_id")), F.lit(1 << 30)) / float(1 << 30)
-    keep = F.lit(False)
-    for y, n in counts.items():
-        keep = keep | ((F.col("_y") == y) & (chance < min(1.0, per_label / n)))
-    chosen = known.where(keep).limit(4 * per_label)
-    got = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("text", "_y").limit(4 * per_label).collect()
-    return sorted(((r["text"] or "", r["_y"]) for r in got), key=lambda x: (x[1], x[0]))
+    counts = known.groupBy("_y").agg(F.count(F.lit(1)).alias("n"))
+    chosen = drawn(known, counts, per_label, "doc_id").select("doc_id", "_y", "_p")
+    got = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("text", "_y", "_p").collect()
+    mean = sum(1 / r["_p"] for r in got) / max(1, len(got))
+    return sorted(((r["text"] or "", r["_y"], 1 / r["_p"] / mean) for r in got), key=lambda x: (x[1], x[0]))
 
 
 class Model:
-    """What the fit found; sent to the workers."""
+    """What the fit found; sent to the workers. The weights' last row is that of features which are not known."""
 
-    def __init__(self, langs: list[str], index: dict[str, int], weights: np.ndarray, transitions: np.ndarray):
-        self.langs, self.index, self.weights, self.transitions = langs, index, weights.astype(np.float32), transitions.astype(np.float32)
+    def __init__(self, langs: list[str], keys: np.ndarray, lexicon: dict[str, int], weights: np.ndarray, transitions: np.ndarray):
+        self.langs, self.table, self.lexicon = langs, KeyTable(keys), lexicon
+        self.n_keys = len(keys)
+        self.weights, self.transitions = np.vstack([weights, np.zeros((1, len(langs)))]).astype(np.float32), transitions.astype(np.float32)
         self.id = uuid.uuid4().hex
 
     def rows(self, words: list[str]) -> np.ndarray:
-        """Scores of words on their own."""
-        flat, starts, get = [], [], self.index.get
-        for w in words:
-            starts.append(len(flat))
-            flat += [i for f in features(w) if (i := get(f)) is not None]
-        return np.add.reduceat(self.weights[flat], starts, axis=0) if words else np.zeros((0, len(self.langs)), np.float32)
+        """Scores of words on their own: the bias, their n-grams and affixes, and the lexicon's."""
+        out = np.empty((len(words), len(self.langs)), np.float32)
+        none = len(self.weights) - 1
+        place = lambda keys: np.where((i := self.table.get(keys)) == self.n_keys, none, i)
+        for at in range(0, len(words), WORDS_AT_ONCE):
+            part = words[at : at + WORDS_AT_ONCE]
+            bi, tri, first, ends = feature_keys(part)
+            grams = self.weights[place(bi)] + self.weights[place(tri)]
+            own = np.fromiter((self.lexicon.get(w, none) for w in part), np.int64, len(part))
+            out[at : at + len(part)] = np.add.reduceat(grams, first, axis=0) + self.weights[place(ends.ravel())].reshape(len(part), 2, -1).sum(1) + self.weights[own] + self.weights[none - 1]
+        return out
 
     def scores(self, words: list[str]) -> np.ndarray:
         """Scores (n, languages) of words; those of known words come from this worker's table."""
         known, table = worker_state(self.id, lambda: ({}, [np.zeros((0, len(self.langs)), np.float32)]))
-        new = [w for w in set(words) if w not in known]
+        new = list(set(words).difference(known))
         if len(known) + len(new) > KNOWN_WORDS:
             known.clear()
             table[0] = table[0][:0]
@@ -97,10 +173,13 @@ class Model:
             table[0] = np.concatenate([table[0], self.rows(new)])
         return table[0][np.fromiter(map(known.__getitem__, words), np.int64, len(words))]
 
+    def marginals(self, words: list[str], sizes: np.ndarray) -> np.ndarray:
+        """Probabilities (words, languages) of the words of lines with these numbers of words, none of them empty."""
+        return forward_backward(self.scores(words), Layout(sizes), self.transitions)
+
     def label(self, lines: list[list[str]]) -> np.ndarray:
         """Marginal probabilities (words, languages) of the words of non-empty lines."""
-        words = [w for x in lines for w in x]
-        return forward_backward(self.scores(words), Layout(np.array([len(x) for x in lines], np.int64)), self.transitions)
+        return self.marginals(list(chain.from_iterable(lines)), np.array([len(x) for x in lines], np.int64))
 
 
 def learn(sample: list[tuple[str, str]], train_words: int = 60_000, lexicon: int = 400, min_count: int = 2, steps: int = 25, seed: int = 7) -> Model | None:
@@ -109,7 +188,7 @@ def learn(sample: list[tuple[str, str]], train_words: int = 60_000, lexicon: int
     if not langs:
         return None
     rnd = random.Random(seed)
-    lines = [(x, langs.index(y)) for t, y in sample for line in t.split("\n") if (x := WORD.findall(line.lower()))]
+    lines = [(x, langs.index(y)) for t, y in sample for line in t.split("\n") if (x := words_of(line.lower()))]
     rnd.shuffle(lines)
     by_lang: dict[int, list] = {}
     room = dict.fromkeys(range(len(langs)), train_words // len(langs))
@@ -135,20 +214,25 @@ def learn(sample: list[tuple[str, str]], train_words: int = 60_000, lexicon: int
     counts = Counter(words)
     top = {w for k in range(len(langs)) for w, _ in Counter(w for x in by_lang.get(k, []) for w in x).most_common(lexicon)}
     types = {w: i for i, w in enumerate(counts)}
-    seen = Counter(f for w in types for f in features(w) if not f.startswith("w:"))
-    index: dict[str, int] = {"bias": 0}
-    for f, n in seen.items():
-        if n >= min_count and f not in index:
-            index[f] = len(index)
-    for w in sorted(top):
-        index[f"w:{w}"] = len(index)
-    flat, starts = [], []
-    for w in types:
-        starts.append(len(flat))
-        flat += [i for f in features(w) if (i := index.get(f)) is not None]
-    items = Bags(np.array([types[w] for w in words], np.int64), np.array(flat, np.int64), np.array(starts, np.int64), len(index))
+    bi, tri, first, ends = feature_keys(list(types))
+    owner = np.repeat(np.arange(len(types)), np.diff(np.append(first, len(bi))))
+    key, of = np.concatenate([bi, tri, ends.ravel()]), np.concatenate([owner, owner, np.repeat(np.arange(len(types)), 2)])
+    key, of = key[key != 0], of[key != 0]
+    known, place, n = np.unique(key, return_inverse=True, return_counts=True)
+    number = np.where(n >= min_count, np.cumsum(n >= min_count) - 1, -1)
+    keys = known[n >= min_count]
+    place = number[place]
+    of, place = of[place >= 0], place[place >= 0]
+    lexicon_at = {w: len(keys) + i for i, w in enumerate(sorted(top))}
+    bias = len(keys) + len(lexicon_at)
+    of = np.concatenate([of, [types[w] for w in lexicon_at], np.arange(len(types))]).astype(np.int64)
+    place = np.concatenate([place, list(lexicon_at.values()), np.full(len(types), bias)]).astype(np.int64)
+    order = np.argsort(of, kind="stable")
+    of, place = of[order], place[order]
+    starts = np.searchsorted(of, np.arange(len(types)))
+    items = Bags(np.array([types[w] for w in words], np.int64), place, starts, bias + 1)
     w, t = fit(items, y, np.array([len(x) for x, _ in chains], np.int64), len(langs), steps=steps)
-    return Model(langs, index, w, t)
+    return Model(langs, keys, lexicon_at, w, t)
 
 
 def fitted(docs: DataFrame, may: Column, docs_per_lang: int = 250, train_words: int = 60_000) -> Model | None:
@@ -157,7 +241,7 @@ def fitted(docs: DataFrame, may: Column, docs_per_lang: int = 250, train_words:
 
 def text_lines(text: str) -> Iterator[list[str]]:
     for line in text.lower().split("\n"):
-        if w := WORD.findall(line):
+        if w := words_of(line):
             yield w
 
 
@@ -171,16 +255,18 @@ def predict(docs: DataFrame, model: Model | None, carry: tuple[str, ...] = ("doc
     def run(b: pa.RecordBatch) -> pa.RecordBatch:
         m = sent.value
         langs, scores, shares = [], [], []
-        doc, lines = [], []
+        of, lines = [], []
         rows = texts(b.column("text"))
         if m is not None:
             for i, t in enumerate(rows):
-                for x in text_lines(t):
-                    lines.append(x)
-                    doc += [i] * len(x)
+                own = list(text_lines(t))
+                lines += own
+                of += [i] * len(own)
         if lines:
-            marg = m.label(lines)
-            letters = np.fromiter((len(w) for x in lines for w in x), np.float64, len(doc))
+            words = list(chain.from_iterable(lines))
+            size = np.fromiter(map(len, lines), np.int64, len(lines))
+            marg = m.marginals(words, size)
+            letters, doc = np.fromiter(map(len, words), np.float64, len(words)), np.repeat(of, size)
             sums = np.stack([np.bincount(doc, marg[:, k] * letters, len(rows)) for k in range(len(m.langs))], 1)
         else:
             sums = np.zeros((len(rows), 1))

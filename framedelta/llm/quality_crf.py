@@ -145,14 +145,15 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def logistic(x: np.ndarray, y: np.ndarray, l2: float = 1e-3, steps: int = 50) -> np.ndarray:
-    """Weights of a logistic regression (last: intercept) by Newton steps."""
+def logistic(x: np.ndarray, y: np.ndarray, l2: float = 1e-3, steps: int = 50, weight: np.ndarray | None = None) -> np.ndarray:
+    """Weights of a logistic regression (last: intercept) by Newton steps; `weight` tells how much each row counts."""
     x = np.column_stack([x, np.ones(len(x))])
+    v = np.ones(len(x)) if weight is None else weight * len(x) / weight.sum()
     w = np.zeros(x.shape[1])
     for _ in range(steps):
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        g = x.T @ (p - y) / len(y) + l2 * w
-        h = (x * (p * (1 - p))[:, None]).T @ x / len(y) + l2 * np.eye(len(w))
+        g = x.T @ (v * (p - y)) / len(y) + l2 * w
+        h = (x * (v * p * (1 - p))[:, None]).T @ x / len(y) + l2 * np.eye(len(w))
         step = np.linalg.solve(h, g)
         w -= step
         if np.abs(step).max() < 1e-8:
@@ -167,12 +168,13 @@ def bin_cuts(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     return np.unique(np.concatenate(both))[: BINS - 1]
 
 
-def learn(sample: list[tuple[str, int]], steps: int = 40) -> Model:
-    """Fit to (text, label 0 or 1) pairs."""
-    y_doc = np.array([int(y) for _, y in sample], np.int64)
+def learn(sample: list[tuple[str, int, float]], steps: int = 40) -> Model:
+    """Fit to (text, label 0 or 1, weight). The field sees each label as often as the sample; the scores' curve sees the table's shares of labels."""
+    y_doc = np.array([int(y) for _, y, _ in sample], np.int64)
+    weight = np.array([v for *_, v in sample], float)
     if len(set(y_doc.tolist())) < 2:
         return Model(None, None, None, [float(y_doc.mean()) if len(y_doc) else 0.5])
-    rows = [t.encode() for t, _ in sample]
+    rows = [t.encode() for t, *_ in sample]
     x, _, n = line_features(rows)
     cuts = [bin_cuts(x[:, j], y_doc[np.repeat(np.arange(len(rows)), n)]) for j in range(x.shape[1])]
     cuts = [np.append(c, np.full(BINS - len(c), np.inf)) for c in cuts]
@@ -186,13 +188,13 @@ def learn(sample: list[tuple[str, int]], steps: int = 40) -> Model:
     y2 = np.where(looks & rest[doc], GOOD, y)
     w, t = fit(items, y2, n, 2, steps=steps, l2=1e-4)
     model = Model(cuts, w, t, None)
-    model.curve = logistic(model.texts(rows), y_doc)
+    model.curve = logistic(model.texts(rows), y_doc, weight=weight)
     return model
 
 
 def fitted(docs: DataFrame, labels: DataFrame, may: Column, label: str = "quality", per_label: int = 1500) -> Model:
     """Learn from about per_label labelled texts of each label among the rows that `may` allows."""
-    return learn(labelled(docs, labels, may, label, per_label))
+    return learn(labelled(docs, labels, may, label, {0: per_label, 1: per_label}))
 
 
 def predict(docs: DataFrame, model: Model, threshold: float = 0.3, carry: tuple[str, ...] = ("doc_id",)) -> DataFrame:

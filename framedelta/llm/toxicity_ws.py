@@ -1,6 +1,6 @@
 """Toxicity by weak supervision: many lexicon and pattern voters, a generative model of their labels, a linear classifier.
 
-Voters: each word of a fixed lexicon; words and word beginnings that a bounded sample of labelled rows shows to be telling; counts of
+Voters: each word of a fixed lexicon; words and beginnings of at least four letters that a bounded sample of labelled rows, weighted to the table's shares of labels, shows to be telling; counts of
 such hits; and shapes of a text (no hit at all, shouting, insults put to someone). A voter says toxic, not toxic or nothing.
 
 Label model: the true label is hidden. Each voter has a distribution of its votes for either label; voters which agree more than
@@ -68,26 +68,47 @@ class Patterns:
         return found
 
 
-def telling(sample: list[tuple[str, int]], least: int = 6, precision: float = 0.7, most: int = 400) -> list[str]:
-    """Patterns whose texts are mostly toxic: beginnings of two to eight letters and words, the shortest that will do first."""
+def telling(sample: list[tuple[str, int, float]], least: int = 6, precision: float = 0.9, most: int = 400, shortest: int = 4) -> list[str]:
+    """Patterns of at least `least` toxic texts, of whose texts the share `precision` is toxic: beginnings of four to eight letters, the shortest that will do first, and words.
+
+    Shares are the table's: rows count by their weights.
+    """
     seen: tuple[Counter, Counter] = (Counter(), Counter())
-    for t, y in sample:
+    texts_of: Counter = Counter()
+    for t, y, v in sample:
         words = set(WORD.findall(t.lower()))
-        seen[y].update({w[:k] + "*" for w in words for k in range(2, min(8, len(w)) + 1)} | words)
-    prior = sum(y for _, y in sample) / max(1, len(sample))
+        found = {w[:k] + "*" for w in words for k in range(shortest, min(8, len(w)) + 1)} | words
+        for p in found:
+            seen[y][p] += v
+        if y:
+            texts_of.update(found)
+    total = [sum(v for _, y, v in sample if y == k) for k in (0, 1)]
+    prior = total[1] / max(1e-9, sum(total))
     odds = {}
-    for p, n in seen[1].items():
-        share = n / (n + seen[0][p])
-        if n >= least and (n + prior) / (n + seen[0][p] + 1) >= max(precision, 1 - 0.5 * (1 - prior)) and share > prior:
+    for p, n in texts_of.items():
+        if n < least:
+            continue
+        bad, good = seen[1][p], seen[0][p]
+        if bad / (bad + good) >= max(precision, 1 - 0.5 * (1 - prior)):
             odds[p] = n
+    # what occurs in just as many texts and says more stands for a beginning
+    fuller: dict[str, str] = {}
+    for p, n in odds.items():
+        less = p[:-2] + "*" if p.endswith("*") else p[:8] + "*"
+        while not p.endswith("*") and len(less) > shortest + 1 and odds.get(less) != n:
+            less = less[:-2] + "*"
+        if odds.get(less) == n and (p.endswith("*") or less not in fuller):
+            fuller[less] = p
     out: list[str] = []
     taken: set[str] = set()
     for p in sorted(odds, key=lambda p: (len(p.rstrip("*")), not p.endswith("*"), p)):
         key = p.rstrip("*")
-        if not any(key[:k] in taken for k in range(2, len(key) + 1)):
-            out.append(p)
+        if not any(key[:k] in taken for k in range(shortest, len(key) + 1)):
             if p.endswith("*"):
                 taken.add(key)
+            while (longer := fuller.get(p)) is not None:
+                p = longer
+            out.append(p)
     return sorted(out, key=lambda p: (-odds[p], p))[:most]
 
 
@@ -119,13 +140,13 @@ class LabelModel:
         self.parent: list[int] = []
         self.table: list[np.ndarray] = []
 
-    def _structure(self, onehot: np.ndarray, q: np.ndarray) -> list[int]:
+    def _structure(self, onehot: np.ndarray, q: np.ndarray, weight: np.ndarray) -> list[int]:
         """A forest of the greatest conditional mutual information between voters given the label."""
         n, m, v = onehot.shape
         info = np.zeros((m, m))
         flat = onehot.reshape(n, m * v)
         for y in (0, 1):
-            w = q if y else 1 - q
+            w = weight * (q if y else 1 - q)
             total = w.sum() + 1e-9
             joint = ((flat * w[:, None]).T @ flat).reshape(m, v, m, v).transpose(0, 2, 1, 3) / total
             own = (onehot * w[:, None, None]).sum(0) / total
@@ -162,11 +183,11 @@ class LabelModel:
                         todo.append(z)
         return parent
 
-    def _maximise(self, onehot: np.ndarray, q: np.ndarray, base: np.ndarray) -> None:
+    def _maximise(self, onehot: np.ndarray, q: np.ndarray, base: np.ndarray, weight: np.ndarray) -> None:
         self.table = []
         for j, p in enumerate(self.parent):
             t = np.zeros((2, 3, 3))
-            for y, w in ((0, 1 - q), (1, q)):
+            for y, w in ((0, weight * (1 - q)), (1, weight * q)):
                 t[y] = (onehot[:, p].T * w) @ onehot[:, j] if p >= 0 else np.tile((w[:, None] * onehot[:, j]).sum(0), (3, 1))
             t += self.strength * base[j][:, None, :]
             self.table.append(t / t.sum(2, keepdims=True))
@@ -180,8 +201,9 @@ class LabelModel:
         e = np.exp(z)
         return e[:, 1] / e.sum(1)
 
-    def fit(self, votes: np.ndarray, known: np.ndarray) -> np.ndarray:
-        """Posterior of each row; `known` is a first guess: 0 or 1, or -1 where a majority of votes is the guess."""
+    def fit(self, votes: np.ndarray, known: np.ndarray, weight: np.ndarray | None = None) -> np.ndarray:
+        """Posterior of each row; `known` is a first guess: 0 or 1, or -1 where a majority of votes is the guess. `weight` has a mean of about 1."""
+        weight = np.ones(len(votes)) if weight is None else weight
         onehot = (votes[:, :, None] == np.array([-1, 0, 1])).astype(float)
         for_, against = (votes == 1).sum(1), (votes == 0).sum(1)
         guess = np.where(for_ > against, 0.9, np.where(for_ < against, 0.02, self.prior))
@@ -190,10 +212,10 @@ class LabelModel:
         self.parent = [-1] * votes.shape[1]
         for r in range(self.rounds):
             if r % max(1, self.rounds // 3) == 0:  # from the start, or voters who copy each other would pass for the label
-                self.parent = self._structure(onehot, q)
-            self._maximise(onehot, q, base)
+                self.parent = self._structure(onehot, q, weight)
+            self._maximise(onehot, q, base, weight)
             q = self.posterior(votes)
-            self.prior = float(np.clip(q.mean(), 0.001, 0.5))
+            self.prior = float(np.clip((weight * q).sum() / weight.sum(), 0.001, 0.5))
         return q
 
 
@@ -218,26 +240,27 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def learn(sample: list[tuple[str, int]], unlabelled: list[str], voters: int = 150) -> Model:
-    """Fit to labelled (text, 0 or 1) pairs and texts without labels."""
+def learn(sample: list[tuple[str, int, float]], unlabelled: list[str], voters: int = 150) -> Model:
+    """Fit to labelled (text, 0 or 1, weight) and texts without labels, which weigh 1."""
     names = list(dict.fromkeys([*telling(sample)[:voters], *LEXICON]))
     pats = Patterns(names)
-    rows = [t for t, _ in sample] + unlabelled
+    rows = [t for t, *_ in sample] + unlabelled
+    weight = np.array([v for *_, v in sample] + [1.0] * len(unlabelled))
     if not rows:
-        rows = ["", " ".join(LEXICON)]
-    known = np.array([y for _, y in sample] + [-1] * (len(rows) - len(sample)))
+        rows, weight = ["", " ".join(LEXICON)], np.ones(2)
+    known = np.array([y for _, y, _ in sample] + [-1] * (len(rows) - len(sample)))
     votes = np.array([votes_of(t, pats) for t in rows])
     model = LabelModel(prior=0.1)
-    q = model.fit(votes, known)
-    return Model(pats, logistic(np.array([measures(t, pats) for t in rows]), q, l2=2e-3))
+    q = model.fit(votes, known, weight)
+    return Model(pats, logistic(np.array([measures(t, pats) for t in rows]), q, l2=2e-3, weight=weight))
 
 
-def fitted(docs: DataFrame, labels: DataFrame, may: Column, label: str = "toxic", per_label: int = 2000, unlabelled: int = 1000) -> Model:
-    """Learn from about per_label labelled texts of each label that `may` allows, and `unlabelled` other texts, drawn by a hash."""
+def fitted(docs: DataFrame, labels: DataFrame, may: Column, label: str = "toxic", per_label: int = 1000, unlabelled: int = 1000) -> Model:
+    """Learn from about per_label toxic texts and three times as many others that `may` allows, and `unlabelled` other texts, drawn by a hash."""
     n = docs.count()
     chance = F.pmod(F.xxhash64(F.lit("more"), F.col("doc_id"), F.col("text")), F.lit(1 << 30)) / float(1 << 30)
-    more = docs.select("doc_id", "text").where(may).where(chance < unlabelled / max(1, n)).select("text").limit(2 * unlabelled).collect()
-    return learn(labelled(docs, labels, may, label, per_label), sorted(r["text"] or "" for r in more))
+    more = docs.select("text").where(may & (chance < unlabelled / max(1, n))).collect()
+    return learn(labelled(docs, labels, may, label, {0: 3 * per_label, 1: per_label}), sorted(r["text"] or "" for r in more))
 
 
 def predict(docs: DataFrame, model: Model, threshold: float = 0.5, carry: tuple[str, ...] = ("doc_id",)) -> DataFrame:

@@ -60,3 +60,44 @@ def test_cases(spark):
         assert all(x.predicted == 0 for x in got if x.doc_id is None or 30 <= x.doc_id < 92)
     assert tw.predict(df.limit(0), m).count() == 0
     tw.fitted(df.limit(0), labels, F.lit(True))
+
+
+def test_both_labels_above_the_sample(spark):
+    """A table whose labels are rarer than the sample's: shares are the table's, not the sample's."""
+    r = np.random.default_rng(2)
+    common = [f"{a}{b}" for a in ("path", "lost", "stup", "wort", "gar", "trans") for b in ("way", "ing", "er", "on", "ly", "en")]
+    rows = []
+    for i in range(6000):
+        bad = i % 12 == 0
+        words = r.choice(common, 40).tolist()
+        if bad:
+            words[int(r.integers(40))] = str(r.choice(["grobzan", "grobzil", "stupid"]))
+        rows.append((i, " ".join(words), int(bad)))
+    df = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    m = tw.fitted(df.select("doc_id", "text"), df.select("doc_id", "toxic"), F.col("doc_id") % 5 != 0, per_label=150, unlabelled=200)
+    x = tw.predict(df.where("doc_id % 5 = 0"), m).join(df.select("doc_id", "toxic"), "doc_id")
+    r = x.agg(F.avg(F.when(F.col("toxic") == 1, F.col("predicted"))).alias("recall"), F.avg(F.when(F.col("toxic") == 0, 1 - F.col("predicted"))).alias("clean")).first()
+    assert r.recall >= 0.9 and r.clean >= 0.97
+
+
+def test_telling_patterns():
+    sample = [("pathway lost words", 0, 3.0)] * 30 + [("pathetic lost words", 1, 0.5)] * 20 + [("zorkly zorkan", 1, 0.5)] * 10 + [("zorkul", 1, 0.5)] * 10
+    assert tw.telling(sample) == ["pathetic", "zork*"]
+
+
+def test_scores_against_a_plain_sum(spark):
+    """Each text again from its own words: counts by comparing words, the sum by hand."""
+    import math
+    import re
+
+    df = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    m = tw.fitted(df, spark.read.parquet("/root/testdata/sf0.001/labels.parquet"), F.lit(True))
+    names = m.pats.names
+    for x in tw.predict(df.limit(80), m, carry=("doc_id", "text")).collect():
+        runs = [w for w in "".join(c if c.isalpha() else " " for c in (x.text or "").lower()).split()]
+        k = [sum(w.startswith(n[:-1]) if n.endswith("*") else w == n for w in runs) for n in names]
+        n, hits = len((x.text or "").split()), sum(k)
+        caps = sum(w.isupper() and len(w) > 2 for w in (x.text or "").split())
+        rest = [math.log1p(hits), hits >= 2, sum(v > 0 for v in k) >= 2, math.log1p(1000 * hits / max(n, 1)), bool(hits) and bool(re.search(tw.YOU, (x.text or "").lower())), caps / max(n, 1), (x.text or "").count("!") > 3]
+        z = sum(a * b for a, b in zip([math.log1p(v) for v in k] + [float(v) for v in rest], m.weights[:-1], strict=True)) + m.weights[-1]
+        assert abs(1 / (1 + math.exp(-max(-30, min(30, z)))) - x.score) < 1e-6
