@@ -103,11 +103,11 @@ def counted(docs: DataFrame) -> DataFrame:
     )
 
 
-def references(counts: DataFrame, min_docs: int, most: int = 256) -> list[tuple[str, list[float], list[float]]]:
-    """(lang, shares of character classes, shares of common words) of the languages with most documents, `most` at most."""
+def references(counts: DataFrame, min_docs: int) -> list[tuple[str, list[float], list[float]]]:
+    """(lang, shares of character classes, shares of common words) of every language with at least min_docs documents."""
     n_chars, n_common = len(CLASSES) + 2, len(vocabulary()) + 1
     sums = [F.sum(F.get("chars", F.lit(i))).alias(f"c{i}") for i in range(n_chars)] + [F.sum(F.get("common", F.lit(i))).alias(f"w{i}") for i in range(n_common)]
-    got = counts.where("lang is not null").groupBy("lang").agg(F.count(F.lit(1)).alias("n"), *sums).where(F.col("n") >= min_docs).orderBy(F.desc("n"), "lang").limit(most).collect()
+    got = counts.where("lang is not null").groupBy("lang").agg(F.count(F.lit(1)).alias("n"), *sums).where(F.col("n") >= min_docs).orderBy(F.desc("n"), "lang").collect()
 
     def shares(x):
         total = sum(x)
