@@ -51,6 +51,36 @@ def token(tokens: Column, no: Column | int, dim: int) -> Column:
     return F.slice(tokens, (F.lit(no) if isinstance(no, int) else no) * dim + 1, dim)
 
 
+def rolled(a: Column, shift: int) -> Column:
+    """A ring moved on by `shift` places."""
+    n = F.size(a)
+    k = F.pmod(F.lit(shift), n)
+    return F.concat(F.slice(a, n - k + 1, k), F.slice(a, F.lit(1), n - k)) if shift else a
+
+
+def codec_hints(a: Column, ref: Column) -> tuple[Column, Column]:
+    """(motion, residual): half the ring shift in -2..2 of least L1 distance to the reference, the least shift of equal ones; mean absolute change."""
+    dist = F.array(*[_total(F.zip_with(a, rolled(ref, s), lambda x, y: F.abs(x - y))) for s in (0, 1, -1, 2, -2)])
+
+    def moved(d):
+        far = F.least(F.get(d, F.lit(3)), F.get(d, F.lit(4)))
+        near = F.least(F.get(d, F.lit(1)), F.get(d, F.lit(2)))
+        return F.when(F.get(d, F.lit(0)) <= F.least(near, far) + 1e-9, F.lit(0.0)).when(near <= far + 1e-9, F.lit(0.5)).otherwise(1.0)
+
+    return F.transform(F.array(dist), moved)[0], F.get(dist, F.lit(0)) / F.size(a)
+
+
+def linear(vec: Column, weights, bias) -> Column:
+    """vec times a literal matrix (rows, columns) plus a bias."""
+    columns = F.array(*[F.struct(F.array(*[F.lit(float(x)) for x in c]).alias("c"), F.lit(float(b)).alias("b")) for c, b in zip(weights.T, bias, strict=True)])
+    return F.transform(columns, lambda s: dot(vec, s["c"]) + s["b"])
+
+
+def mlp(vec: Column, m: dict, w1: str, b1: str, w2: str, b2: str) -> Column:
+    """Two layers with a rectifier between them, with literal weights."""
+    return linear(F.transform(linear(vec, m[w1], m[b1]), lambda x: F.greatest(x, F.lit(0.0))), m[w2], m[b2])
+
+
 def mean_pool(df: DataFrame, by: list[str], vec: str = "emb") -> DataFrame:
     """Mean vector of each group, by an explode and partial sums."""
     x = df.select(*by, F.posexplode(vec).alias("_i", "_v")).groupBy(*by, "_i").agg(F.avg("_v").alias("_v"))

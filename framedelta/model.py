@@ -45,6 +45,7 @@ class ReuseConfig:
     scheme: str = "reordered"  # or sequential
     reset_every: int = 20
     tail: str = "chain"  # short_anchor, recompute
+    lookback: int = 1  # past references of the sequential scheme
     gate: str = "learned"  # mse, budget, never, always
     theta: float = 0.1
     budget: int = 2
@@ -55,9 +56,15 @@ class ReuseConfig:
     schedule: str = "layer"  # or frame
     compaction: str = "batch"  # frame, none
     free_cache: bool = True
-    batch_epochs: int = 16
+    batch_epochs: int = 64  # at most, and as many as batch_bytes hold
+    batch_bytes: int = 256 << 20
     shift: float = 0.0  # added to the learned gate's logit: moves along the trade-off
 
+    def epochs_at_once(self, spec: EncoderSpec) -> int:
+        """Epochs of a batch: batch_epochs, fewer where their tokens and one layer's caches would pass batch_bytes."""
+        frame = spec.n_tokens * 8 * (spec.in_dim + 8 * spec.dim)
+        return max(1, min(self.batch_epochs, self.batch_bytes // (frame * (self.reset_every + 1))))
+
 
 def closed_form(layer: int, part: int, rows: int, cols: int, seed: int = 0) -> np.ndarray:
     """A frozen weight matrix from integers alone, so that any engine can build the same."""

@@ -31,7 +31,7 @@ def frame_search(queries: DataFrame, embeddings: DataFrame, k: int = 5) -> DataF
 
     spark = queries.sparkSession
     rows = queries.select("query_id", "vec").where("vec is not null").limit(tasks.BROADCAST_ROWS + 1).collect()
-    if not rows or len(rows) > tasks.BROADCAST_ROWS:
+    if not rows or len(rows) > tasks.BROADCAST_ROWS:  # in broadcast blocks
         clips = embeddings.select(F.struct("video_id", "frame_no").alias("clip_id"), "emb")
         return tasks.retrieve(queries, clips, k).select("query_id", "clip_id.video_id", "clip_id.frame_no", "score", "rank")
     sent = spark.sparkContext.broadcast((np.array([r["query_id"] for r in rows], np.int64), np.array([r["vec"] for r in rows], float)))
@@ -78,27 +78,88 @@ def frame_search(queries: DataFrame, embeddings: DataFrame, k: int = 5) -> DataF
     return x.select(*[F.col(c).cast(types[c]) for c in ("query_id", "video_id", "frame_no")], "score", "rank")
 
 
-def cluster_index(vectors: DataFrame, k: int = 32, sample: int = 2000) -> DataFrame:
-    """id, representative, similarity: each vector's nearest of k representatives, found by farthest-first on a bounded sample of (id, emb).
-
-    A query is scored against the representatives alone and members take over the score, so what is rare is answered badly.
-    """
+def representatives(vectors: DataFrame, k: int = 32, sample: int = 2000):
+    """(ids, unit vectors) of k vectors far from each other, by farthest-first on a bounded sample of (id, emb); `sample` is its bound."""
     import numpy as np
 
     n = max(1, vectors.count())
-    rows = vectors.where(F.pmod(F.xxhash64("id"), F.lit(1 << 20)) < (1 << 20) * min(1.0, sample / n)).orderBy("id").limit(2 * sample).collect()
+    rows = vectors.where(F.pmod(F.xxhash64("id"), F.lit(1 << 20)) < (1 << 20) * min(1.0, sample / n)).orderBy(F.xxhash64("id"), "id").limit(2 * sample).collect()
     if not rows:
-        return vectors.select("id", F.lit(None).cast("bigint").alias("representative"), F.lit(None).cast("double").alias("similarity"))
+        return [], None
     x = np.array([r["emb"] for r in rows], float)
     x /= np.linalg.norm(x, axis=1, keepdims=True) + 1e-12
-    picked = [0]
-    best = x @ x[0]
+    picked, best = [0], x @ x[0]
     while len(picked) < min(k, len(x)):
         picked.append(int(best.argmin()))
         best = np.maximum(best, x @ x[picked[-1]])
-    reps = vectors.sparkSession.createDataFrame([(rows[i]["id"], [float(v) for v in rows[i]["emb"]]) for i in picked], "choice_no bigint, vec array<double>")
-    a = tasks.answer(vectors.select(F.col("id").alias("query_id"), "emb"), reps)
-    return a.select(F.col("query_id").alias("id"), F.col("choice_no").alias("representative"), F.col("score").alias("similarity"))
+    return [rows[i]["id"] for i in picked], x[picked]
+
+
+def near_reps(col, ids: list, reps, probe: int):
+    """(representative, similarity) of the `probe` nearest representatives of a vector column, nearest first."""
+    table = F.array(*[F.struct(F.array(*[F.lit(float(v)) for v in r]).alias("v"), F.lit(i).alias("i")) for i, r in zip(ids, reps, strict=True)])
+    near = F.array_sort(F.transform(table, lambda s: F.struct((-V.cosine(col, s["v"])).alias("d"), s["i"].alias("representative"))))
+    return F.transform(F.slice(near, 1, probe), lambda s: F.struct(s["representative"].alias("representative"), (-s["d"]).alias("similarity")))
+
+
+def cluster_index(vectors: DataFrame, k: int = 32, sample: int = 2000) -> DataFrame:
+    """id, representative, similarity: each vector's nearest representative; every vector is indexed.
+
+    Scored by representatives alone, members take over their score, so what is rare is answered badly; cluster_search looks at the members.
+    """
+    ids, reps = representatives(vectors, k, sample)
+    if not ids:
+        return vectors.select("id", F.lit(None).cast("bigint").alias("representative"), F.lit(None).cast("double").alias("similarity"))
+    return vectors.select("id", near_reps(F.col("emb"), ids, reps, 1)[0].alias("r")).select("id", "r.representative", "r.similarity")
+
+
+def cluster_search(vectors: DataFrame, queries: DataFrame, top: int = 5, k: int = 32, probe: int = 28, sample: int = 2000, slots: int = 8) -> DataFrame:
+    """query_id, clip_id, score, rank: the `top` best among the members behind each query's `probe` nearest representatives.
+
+    A cluster is dealt to `slots` tasks and a task keeps `top` of a query's candidates before they meet, so neither a large cluster nor a
+    frequent query lands in one task.
+    """
+    ids, reps = representatives(vectors, k, sample)
+    if not ids:
+        return queries.sparkSession.createDataFrame([], f"query_id {dict(queries.dtypes)['query_id']}, clip_id {dict(vectors.dtypes)['id']}, score double, rank int")
+    members = vectors.select(F.col("id").alias("clip_id"), "emb", near_reps(F.col("emb"), ids, reps, 1)[0]["representative"].alias("rep"), F.pmod(F.xxhash64("id"), F.lit(slots)).alias("slot"))
+    asked = queries.select("query_id", "vec", F.explode(near_reps(F.col("vec"), ids, reps, probe)).alias("r")).select("query_id", "vec", F.col("r.representative").alias("rep"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(slots - 1).cast("bigint"))).alias("slot"))
+    x = members.join(asked, ["rep", "slot"]).select("query_id", "clip_id", V.cosine(F.col("vec"), F.col("emb")).alias("score"))
+    w = Window.partitionBy("query_id").orderBy(F.desc("score"), "clip_id")
+    return x.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= top)
+
+
+def fit_rates(frames, spec: EncoderSpec, flops_x: float) -> tuple[tuple[int, ...], tuple[int, ...]]:
+    """(prune, merge) of each layer for the in-frame baseline: one more token at a time goes where it costs the least likeness for the work it saves, until the encoder is flops_x cheaper."""
+    import numpy as np
+
+    from . import kernel
+
+    exact = kernel.exact(frames, spec)
+    rates = np.zeros((2, spec.layers), int)
+    tried: dict = {}
+
+    def run(r):
+        key = tuple(map(tuple, r))
+        if key not in tried:
+            z, flops = kernel.reduced(frames, spec, *key)
+            tried[key] = float(kernel.cosine(z, exact).mean()), flops
+        return tried[key]
+
+    while run(rates)[1] * flops_x > kernel.flops_exact(spec):
+        now, steps = run(rates), []
+        for way in range(2):
+            for layer in range(spec.layers):
+                more = rates.copy()
+                more[way, layer] += 1
+                got = run(more)
+                if got[1] < now[1]:
+                    steps.append(((now[0] - got[0]) / (now[1] - got[1]), way, layer))
+        if not steps:
+            break
+        _, way, layer = min(steps)
+        rates[way, layer] += 1
+    return tuple(map(int, rates[0])), tuple(map(int, rates[1]))
 
 
 def proxy_cascade(rows: DataFrame, exact: DataFrame, low: float = 0.2, high: float = 0.8, train: str = "is_train") -> DataFrame:

@@ -7,8 +7,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..model import EMBEDDINGS, TYPES, EncoderSpec, ReuseConfig, check_frames
-from ..plans.reference import plan_frames
+from ..model import EMBEDDINGS, EncoderSpec, ReuseConfig, check_frames
+from ..plans.reference import SCHEMES, TAILS, epoch_plan
 from . import kernel
 
 KEYS = ("video_id", "epoch_no", "frame_no")
@@ -60,7 +60,7 @@ def full_encode(frames: DataFrame, spec: EncoderSpec) -> DataFrame:
     return check_frames(frames, spec).select("video_id", "frame_no", "tokens").mapInArrow(run, EMBEDDINGS)
 
 
-def intra_frame_reduce(frames: DataFrame, spec: EncoderSpec, prune: int = 1, merge: int = 1) -> DataFrame:
+def intra_frame_reduce(frames: DataFrame, spec: EncoderSpec, prune: int | tuple[int, ...] = 1, merge: int | tuple[int, ...] = 1) -> DataFrame:
     """EMBEDDINGS of the in-frame baseline: prune by class attention, merge by likeness. It reuses nothing, so its reuse_rate is null."""
     ship(frames.sparkSession)
 
@@ -74,20 +74,40 @@ def intra_frame_reduce(frames: DataFrame, spec: EncoderSpec, prune: int = 1, mer
     return check_frames(frames, spec).select("video_id", "frame_no", "tokens").mapInArrow(run, EMBEDDINGS)
 
 
-def planned(frames: DataFrame, cfg: ReuseConfig, partitions: int | None = None) -> DataFrame:
-    """Frames with their plan and halo, the frames of an epoch together and in order: one shuffle of the tokens."""
-    x = plan_frames(frames, cfg.scheme, cfg.reset_every, cfg.tail, payload=("tokens",))
+def encode_partitions(frames: DataFrame) -> int:
+    """How many tasks encode: all of shuffle.partitions, and three for each core. Given as a number, so that adaptive execution does not merge
+    them: it goes by bytes, and a frame costs far more than its bytes say."""
+    spark = frames.sparkSession
+    return max(int(spark.conf.get("spark.sql.shuffle.partitions")), 3 * spark.sparkContext.defaultParallelism)
+
+
+def partitions_for(frames: DataFrame, spec: EncoderSpec, task_flops: float = 2e12, task_bytes: int = 256 << 20) -> int:
+    """Tasks for a corpus of known size: by the exact encoder's work and by the tokens' bytes, no fewer than encode_partitions. Counts the frames."""
+    n = frames.select("video_id").count()
+    return max(encode_partitions(frames), int(n * kernel.flops_exact(spec) / task_flops) + 1, n * spec.n_tokens * spec.in_dim * 8 // task_bytes + 1)
+
+
+def colocated(frames: DataFrame, cfg: ReuseConfig, partitions: int | None = None) -> DataFrame:
+    """Frames with their epoch and, in the reordered scheme, the copy of the next epoch's first one; an epoch together and in order.
+
+    One shuffle of the tokens, by (video, epoch), so that a long video is many small units. The plan itself is made in the tasks.
+    """
+    if cfg.scheme not in SCHEMES or cfg.tail not in TAILS:
+        raise ValueError("unknown scheme or tail rule")
+    if cfg.scheme == "reordered" and cfg.reset_every % 4:
+        raise ValueError("reset_every must be a multiple of 4")
+    e = F.floor((F.col("frame_no") - 1) / cfg.reset_every).cast("int")
+    x = frames.select("video_id", "frame_no", e.alias("_own"), "tokens")
     if cfg.scheme == "reordered":
-        first = (F.col("epoch_no") > 0) & (F.pmod(F.col("frame_no") - 1, F.lit(cfg.reset_every)) == 0)
-        copies = F.when(first, F.array(F.col("epoch_no"), F.col("epoch_no") - 1)).otherwise(F.array("epoch_no"))
-        own = F.col("epoch_no")
-        x = x.withColumn("_e", F.explode(copies)).withColumns({"is_halo": F.col("_e") < own}).drop("epoch_no").withColumnRenamed("_e", "epoch_no")
-    cols = [F.col("video_id"), F.col("epoch_no")]
-    x = x.repartition(partitions, *cols) if partitions else x.repartition(*cols)
-    return x.sortWithinPartitions(*KEYS)
+        first = (F.col("_own") > 0) & (F.pmod(F.col("frame_no") - 1, F.lit(cfg.reset_every)) == 0)
+        x = x.withColumn("epoch_no", F.explode(F.when(first, F.array(F.col("_own"), F.col("_own") - 1)).otherwise(F.array("_own"))))
+    else:
+        x = x.withColumn("epoch_no", F.col("_own"))
+    x = x.select(*KEYS, (F.col("epoch_no") < F.col("_own")).alias("is_halo"), "tokens")
+    return x.repartition(partitions or encode_partitions(frames), "video_id", "epoch_no").sortWithinPartitions(*KEYS)
 
 
-OUT = EMBEDDINGS + ", map binary, multiplies bigint, rows bigint, peak bigint"
+OUT = EMBEDDINGS + ", map binary, reused array<bigint>, multiplies bigint, rows bigint, peak bigint"
 
 
 def gated_encode(frames: DataFrame, spec: EncoderSpec, cfg: ReuseConfig, modules: list[dict] | None = None, partitions: int | None = None, with_costs: bool = False) -> DataFrame:
@@ -101,25 +121,23 @@ def gated_encode(frames: DataFrame, spec: EncoderSpec, cfg: ReuseConfig, modules
     ship(spark)
     modules = modules if modules is not None else (kernel.new_modules(spec) if cfg.gate == "learned" or cfg.calibrator else None)
     sent = spark.sparkContext.broadcast(modules)
-    rows = planned(check_frames(frames, spec), cfg, partitions).select(*KEYS, "ftype", "past_ref", "future_ref", "wavefront", "exec_order", "is_halo", "tokens")
+    rows = colocated(check_frames(frames, spec), cfg, partitions)
+    at_once = cfg.epochs_at_once(spec)
 
     def encode(t: pa.Table):
         get = lambda c: t.column(c).to_numpy(zero_copy_only=False)
         video, epoch, no, halo = get("video_id"), get("epoch_no"), get("frame_no"), get("is_halo").astype(bool)
         change = np.append(True, (np.diff(video) != 0) | (np.diff(epoch) != 0))
         part = np.cumsum(change) - 1
-        refs = [np.nan_to_num(get(c).astype(float), nan=-1).astype(np.int64) for c in ("past_ref", "future_ref")]
-        kind = np.array([TYPES.index(x) for x in t.column("ftype").to_pylist()])
-        wave, refs_in = get("wavefront").astype(np.int64), []
-        for r in refs:
-            refs_in.append(np.where(halo, -1, r))
-        kind, wave = np.where(halo, 0, kind), np.where(halo, 0, wave)
-        past, future = kernel.rows_of(no, part, *refs_in)
+        last = no[np.append(np.flatnonzero(change)[1:], len(no)) - 1][part]
+        kind, wave, exec_order, *refs = epoch_plan(no, last, cfg.scheme, cfg.reset_every, cfg.tail, cfg.lookback)
+        kind, wave, exec_order = (np.where(halo, 0, v) for v in (kind, wave, exec_order))  # a copy has no references
+        past, future, *more = kernel.rows_of(no, part, *(np.where(halo, 0, r) for r in refs))
         raw = _matrix(t.column("tokens").combine_chunks(), (spec.n_tokens, spec.in_dim))
-        order = np.lexsort((get("exec_order"), part))
-        done = kernel.gated(raw, past, future, kind, wave, spec, cfg, sent.value, order)
+        order = np.lexsort((exec_order, part))
+        done = kernel.gated(raw, past, future, kind, wave, spec, cfg, sent.value, order, more=tuple(more))
         keep = np.flatnonzero(~halo)
-        n_refs = (past >= 0).astype(int) + (future >= 0)
+        n_refs = sum((r >= 0).astype(int) for r in (past, future, *more))
         flops = kernel.flops_gated(spec, done.reuse.sum(2), cfg.gate, cfg.calibrator and sent.value is not None, n_refs)
         rate = done.reuse[:, :, 1:].mean((1, 2))
         cols = [pa.array(video[keep]), pa.array(no[keep].astype(np.int32)), _lists(done.emb[keep]), pa.array(rate[keep]), pa.array(flops[keep])]
@@ -127,8 +145,8 @@ def gated_encode(frames: DataFrame, spec: EncoderSpec, cfg: ReuseConfig, modules
         if with_costs:
             bits = np.packbits(done.reuse[keep].reshape(len(keep), -1), axis=1)
             once = lambda v: pa.array([v] + [None] * (len(keep) - 1), pa.int64())
-            cols += [pa.array([x.tobytes() for x in bits], pa.binary()), once(done.count["multiplies"]), once(done.count["rows"]), once(done.count["peak"])]
-            names += ["map", "multiplies", "rows", "peak"]
+            cols += [pa.array([x.tobytes() for x in bits], pa.binary()), _lists(done.reuse[keep].sum(2).astype(np.int64)), once(done.count["multiplies"]), once(done.count["rows"]), once(done.count["peak"])]
+            names += ["map", "reused", "multiplies", "rows", "peak"]
         yield pa.RecordBatch.from_arrays(cols, names)
 
     def run(batches):
@@ -142,13 +160,13 @@ def gated_encode(frames: DataFrame, spec: EncoderSpec, cfg: ReuseConfig, modules
             video, epoch = (t.column(c).to_numpy(zero_copy_only=False) for c in KEYS[:2])
             cuts = np.flatnonzero((np.diff(video) != 0) | (np.diff(epoch) != 0)) + 1
             at = 0
-            for end in cuts[cfg.batch_epochs - 1 :: cfg.batch_epochs]:
+            for end in cuts[at_once - 1 :: at_once]:
                 yield from encode(t.slice(at, end - at))
                 at = int(end)
             held = t.slice(at)
         if held is not None and held.num_rows:
             video, epoch = (held.column(c).to_numpy(zero_copy_only=False) for c in KEYS[:2])
-            cuts = [0, *(np.flatnonzero((np.diff(video) != 0) | (np.diff(epoch) != 0)) + 1)[cfg.batch_epochs - 1 :: cfg.batch_epochs].tolist(), held.num_rows]
+            cuts = [0, *(np.flatnonzero((np.diff(video) != 0) | (np.diff(epoch) != 0)) + 1)[at_once - 1 :: at_once].tolist(), held.num_rows]
             for a, e in zip(cuts, cuts[1:], strict=False):
                 if e > a:
                     yield from encode(held.slice(a, e - a))

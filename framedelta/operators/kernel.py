@@ -15,6 +15,8 @@ import numpy as np
 from ..model import TYPES, EncoderSpec, ReuseConfig, backbone
 
 _WEIGHTS: dict = {}
+#: Similarities no further apart are equal, or round-off would choose between references of the same content.
+TIE = 1e-9
 
 
 def weights_of(spec: EncoderSpec) -> dict:
@@ -30,7 +32,7 @@ def norm(x: np.ndarray) -> np.ndarray:
 
 
 def gelu(x: np.ndarray) -> np.ndarray:
-    return 0.5 * x * (1 + np.tanh(0.7978845608028654 * (x + 0.044715 * x**3)))
+    return 0.5 * x * (1 + np.tanh(0.7978845608028654 * (x + 0.044715 * (x * x * x))))
 
 
 def cosine(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -77,6 +79,7 @@ def codec_hints(raw: np.ndarray, ref: np.ndarray) -> tuple[np.ndarray, np.ndarra
     """(motion, residual) of tokens against a reference: the ring shift in -2..2 of least L1 distance, over 2; mean absolute change."""
     shifts = (0, 1, -1, 2, -2)
     dist = np.stack([np.abs(raw - np.roll(ref, s, -1)).sum(-1) for s in shifts])
+    dist += np.arange(len(shifts)).reshape(-1, *[1] * (dist.ndim - 1)) * TIE / 8  # the least shift of equal ones
     return np.abs(np.array(shifts))[dist.argmin(0)] / 2, np.abs(raw - ref).mean(-1)
 
 
@@ -147,10 +150,11 @@ def flops_gated(spec: EncoderSpec, reused: np.ndarray, gate: str = "learned", ca
     return out
 
 
-def gated(raw: np.ndarray, past: np.ndarray, future: np.ndarray, ftype: np.ndarray, wave: np.ndarray, spec: EncoderSpec, cfg: ReuseConfig, modules: list[dict] | None = None, order: np.ndarray | None = None, segment: np.ndarray | None = None) -> Done:
+def gated(raw: np.ndarray, past: np.ndarray, future: np.ndarray, ftype: np.ndarray, wave: np.ndarray, spec: EncoderSpec, cfg: ReuseConfig, modules: list[dict] | None = None, order: np.ndarray | None = None, more: tuple[np.ndarray, ...] = ()) -> Done:
     """Encode F frames; past and future are row numbers of references or -1, ftype numbers of TYPES, wave their wavefronts.
 
-    order is the execution order for schedule "frame"; segment marks what compaction "frame" and cache freeing see as one.
+    order is the execution order for schedule "frame". With free_cache a frame's caches count as freed as soon as no later frame refers to
+    them: `trace` has the live bytes after each step. more are further references (several past frames).
     """
     w = weights_of(spec)
     f_all, n, d, layers = len(raw), spec.n_tokens, spec.dim, spec.layers
@@ -158,61 +162,65 @@ def gated(raw: np.ndarray, past: np.ndarray, future: np.ndarray, ftype: np.ndarr
     qkv = norm(x) @ w["qkv"][0]
     reuse = np.zeros((f_all, layers, n), bool)
     done = Done(np.zeros((f_all, d)), reuse)
-    # caches of one layer at a time, or of all of them where frames go one by one
-    slots = 1 if cfg.schedule == "layer" and cfg.free_cache else layers
-    cache = [{} for _ in range(slots)]
-    state: dict = {"x": x, "qkv": qkv}
-    fresh_in = [dict() for _ in range(layers)]  # for the budget gate's last_fresh
-    hints: dict = {}
-    live = 0
+    refs = (past, future, *more)
+    referred = np.zeros(f_all, bool)
+    for r in refs:
+        referred[r[r >= 0]] = True
+    slots = 1 if cfg.schedule == "layer" and cfg.free_cache else layers  # caches of one layer at a time, or of all of them where frames go one by one
+    cache: list[dict] = [{} for _ in range(slots)]
+    fresh_in: list[dict] = [dict() for _ in range(layers)]  # for the budget gate's last_fresh
+    hints: list = []
     per_frame = n * (d + d + 3 * d) * 8
+    frame_by_frame = cfg.schedule != "layer"
 
-    def arrays(layer):
+    def arrays(layer, h=None):
         c = cache[layer % slots]
         if c.get("layer") != layer:
-            c.clear()
             wide = 3 * d if layer + 1 < layers else 0
-            c.update(layer=layer, h=np.zeros((f_all, n, d)), f=np.zeros((f_all, n, d)), q=np.zeros((f_all, n, wide)))
+            c.clear()
+            c.update(layer=layer, h=np.empty((f_all, n, d)) if h is None else h, f=np.empty((f_all, n, d)), q=np.empty((f_all, n, wide)), size=np.zeros((f_all, n)))
         return c
 
+    def likeness(h, size, c, r):
+        """Cosines of tokens to those of the reference frames r; -1 without one."""
+        at = np.maximum(r, 0)
+        both = size * c["size"][at]
+        dots = np.einsum("fnd,fnd->fn", h, c["h"][at])
+        return np.where((r >= 0)[:, None], np.divide(dots, both, out=np.zeros_like(dots), where=both > 0), -1.0)
+
     def decide(layer, idx, h, t, c):
-        """(mask (frames, tokens), row of the chosen reference (frames, tokens), delta of inputs)."""
-        p, u = past[idx], future[idx]
-        has_p, has_u = p >= 0, u >= 0
-        hp, hu = c["h"][np.maximum(p, 0)], c["h"][np.maximum(u, 0)]
-        sp = np.where(has_p[:, None], cosine(h, hp), -1.0)
-        su = np.where(has_u[:, None], cosine(h, hu), -1.0)
-        ahead = su > sp  # of equal similarities the past one is taken
-        ref = np.where(ahead, u[:, None], p[:, None])
-        any_ref = (has_p | has_u)[:, None]
-        chosen = np.where(ahead[..., None], hu, hp)
-        delta = h - chosen
-        if cfg.gate == "never":
-            mask = np.zeros(sp.shape, bool)
-        elif cfg.gate == "always":
-            mask = np.ones(sp.shape, bool)
+        """(mask (frames, tokens), row of the chosen reference (frames, tokens))."""
+        mine = [r[idx] for r in refs]
+        size = c["size"][idx]
+        best, ref, which = likeness(h, size, c, mine[0]), np.repeat(mine[0][:, None], n, 1), np.zeros((len(idx), n), np.int64)
+        for k, r in enumerate(mine[1:], 1):
+            if (r >= 0).any():
+                s = likeness(h, size, c, r)
+                ahead = s > best + TIE  # of equal similarities the one before stays: past before future
+                best, ref, which = np.where(ahead, s, best), np.where(ahead, r[:, None], ref), np.where(ahead, k, which)
+        any_ref = (np.stack(mine) >= 0).any(0)[:, None]
+        token = np.arange(n)[None, :]
+        if cfg.gate == "always":
+            mask = np.ones(best.shape, bool)
         elif cfg.gate == "mse":
-            mask = (delta**2).mean(-1) < cfg.theta
+            mask = ((h - c["h"][np.maximum(ref, 0), token]) ** 2).mean(-1) < cfg.theta
         elif cfg.gate == "budget":
-            base = chosen
+            base = c["h"][np.maximum(ref, 0), token]
             if cfg.reference == "last_fresh":
-                base = np.stack([fresh_in[layer].get(int(r), chosen[k]) for k, r in enumerate(np.maximum(p, 0))])
+                base = np.stack([fresh_in[layer].get(int(r), base[k]) for k, r in enumerate(np.maximum(mine[0], 0))])
             change = ((h - base) ** 2).mean(-1)
             change[:, 0] = np.inf  # the class token is always computed and is not part of the budget
             rank = np.argsort(np.argsort(-change, axis=1, kind="stable"), axis=1)
             mask = rank > cfg.budget
         else:
-            key = "all"
-            if key not in hints:
-                safe_p, safe_u = raw[np.maximum(past, 0)], raw[np.maximum(future, 0)]
-                hints[key] = (codec_hints(raw, safe_p), codec_hints(raw, safe_u))
-            (mp, rp), (mu, ru) = hints[key]
-            motion, residual = np.where(ahead, mu[idx], mp[idx]), np.where(ahead, ru[idx], rp[idx])
-            v = gate_features(np.maximum(sp, su), t, ftype[np.maximum(ref, 0)], motion, residual, cfg.features)
+            if not hints:
+                hints.extend(codec_hints(raw, raw[np.maximum(r, 0)]) for r in refs)
+            motion, residual = (np.select([which == k for k in range(len(refs))], [hints[k][i][idx] for k in range(len(refs))]) for i in (0, 1))
+            v = gate_features(best, t, ftype[np.maximum(ref, 0)], motion, residual, cfg.features)
             mask = gate_logit(v, modules[layer]) + cfg.shift > 0
         mask = mask & any_ref
         mask[:, 0] = False
-        return mask, ref, delta, chosen
+        return mask, ref
 
     def multiply(rows, layer):
         done.count["multiplies"] += 1
@@ -220,85 +228,115 @@ def gated(raw: np.ndarray, past: np.ndarray, future: np.ndarray, ftype: np.ndarr
         done.rows.append(len(rows))
         return unit(rows, layer, spec)
 
-    def work(layer, idx, h, t):
-        """The reuse unit of the frames idx with unit inputs h."""
-        c = arrays(layer)
-        mask, ref, delta, chosen = decide(layer, idx, h, t, c)
+    def work(layer, idx, h, t, c):
+        """The reuse unit of the frames idx with unit inputs h; the results go to the layer's cache."""
         last = layer + 1 == layers
-        f, q = np.zeros_like(h), np.zeros((len(idx), n, 0 if last else 3 * d))
+        flat_f, flat_q, flat_h = c["f"].reshape(-1, d), c["q"].reshape(f_all * n, -1), c["h"].reshape(-1, d)
+        if cfg.gate == "never" or not any((r[idx] >= 0).any() for r in refs):
+            mask, ref = np.zeros((len(idx), n), bool), None
+        else:
+            mask, ref = decide(layer, idx, h, t, c)
         if cfg.compaction == "none":
-            ff, qq = multiply(h.reshape(-1, d), layer)
-            f[:] = ff.reshape(h.shape)
-            if not last:
-                q[:] = qq.reshape(len(idx), n, -1)
+            groups = [(idx[:, None] * n + np.arange(n)).ravel()]
+        elif cfg.compaction == "batch":
+            i, j = np.nonzero(~mask)
+            groups = [idx[i] * n + j]
         else:
-            groups = [np.flatnonzero(~mask.ravel())] if cfg.compaction == "batch" else [k * n + np.flatnonzero(~m) for k, m in enumerate(mask)]
-            flat_f, flat_q, flat_h = f.reshape(-1, d), q.reshape(len(idx) * n, -1), h.reshape(-1, d)
-            for g in groups:
-                if len(g):
-                    ff, qq = multiply(flat_h[g], layer)
-                    flat_f[g] = ff
-                    if not last:
-                        flat_q[g] = qq
+            groups = [row * n + np.flatnonzero(~m) for row, m in zip(idx, mask, strict=True)]
+        for g in groups:
+            if len(g):
+                ff, qq = multiply(flat_h[g], layer)
+                flat_f[g] = ff
+                if not last:
+                    flat_q[g] = qq
         i, j = np.nonzero(mask)
         if len(i):
-            r = ref[i, j]
-            reused_f, reused_q = c["f"][r, j], c["q"][r, j]
+            to, source = idx[i] * n + j, ref[i, j] * n + j
+            reused_f = flat_f[source]
+            delta = flat_h[to] - flat_h[source] if cfg.residual == "cached" or (cfg.calibrator and modules is not None) else None
             if cfg.residual == "cached":
-                reused_f = reused_f - delta[i, j]
-            if cfg.calibrator and modules is not None:
-                more = calibrate(delta[i, j], modules[layer])
-                if last:
-                    reused_f = reused_f + more
-                else:
-                    reused_q = reused_q + more
-            f[i, j] = reused_f
+                reused_f = reused_f - delta
+            extra = calibrate(delta, modules[layer]) if cfg.calibrator and modules is not None else None
+            flat_f[to] = reused_f if extra is None or not last else reused_f + extra
             if not last:
-                q[i, j] = reused_q
-        c["h"][idx], c["f"][idx], c["q"][idx] = h, f, q
+                flat_q[to] = flat_q[source] if extra is None else flat_q[source] + extra
         if cfg.reference == "last_fresh":
             for k, row in enumerate(idx):
                 base = fresh_in[layer].get(int(max(past[row], 0)), h[k])
                 fresh_in[layer][int(row)] = np.where(mask[k][:, None], base, h[k])
         reuse[idx, layer] = mask
-        state["x"][idx] = h + f
-        if not last:
-            state["qkv"][idx] = q
-        return len(idx)
 
-    def attend(layer, idx):
-        mixed, t = attention(state["qkv"][idx], spec)
-        done.count["attention"] += len(idx)
-        return state["x"][idx] + mixed @ w["out"][layer], t
+    def attend(layer, x, qkv):
+        mixed, t = attention(qkv, spec)
+        done.count["attention"] += len(x)
+        return x + mixed @ w["out"][layer], t
 
-    if cfg.schedule == "layer":
+    live = 0
+    if not frame_by_frame:
+        waves = [np.flatnonzero(wave == v) for v in np.unique(wave)]
+        ends = _last_uses(waves, refs, f_all)
         for layer in range(layers):
-            every = np.arange(f_all)
-            h, t = attend(layer, every)
-            for v in np.unique(wave):
-                idx = np.flatnonzero(wave == v)
-                live += work(layer, idx, h[idx], t[idx]) * per_frame
-                done.trace.append((layer, int(v), live))
+            h, t = attend(layer, x, qkv)
+            c = arrays(layer, h)
+            c["size"] = np.sqrt(np.einsum("fnd,fnd->fn", h, h))
+            for k, idx in enumerate(waves):
+                work(layer, idx, h if len(idx) == f_all else h[idx], t[idx], c)
+                live += len(idx) * per_frame
+                done.trace.append((layer, k, live))
+                if cfg.free_cache:
+                    live -= int((ends == k).sum()) * per_frame  # nobody refers to these any more
+                    done.trace.append((layer, k, live))
+            x, qkv = h + c["f"], c["q"]
             if cfg.free_cache:
                 live = 0
                 done.trace.append((layer, -1, live))
+        state_x = x
     else:
-        for row in order if order is not None else np.lexsort((np.arange(f_all), wave)):
+        state_x = x.copy()
+        steps = order if order is not None else np.lexsort((np.arange(f_all), wave))
+        last_of = _last_uses([np.array([row]) for row in steps], refs, f_all)
+        for at, row in enumerate(steps):
             idx = np.array([row])
+            xr, qr = x[idx], qkv[idx]
             for layer in range(layers):
-                h, t = attend(layer, idx)
-                live += work(layer, idx, h, t) * per_frame
+                h, t = attend(layer, xr, qr)
+                c = arrays(layer)
+                c["h"][idx], c["size"][idx] = h, np.sqrt(np.einsum("fnd,fnd->fn", h, h))
+                work(layer, idx, h, t, c)
+                xr, qr = h + c["f"][idx], c["q"][idx]
+                live += per_frame
                 done.trace.append((layer, int(row), live))
-    done.emb = norm(state["x"])[:, 0]
+            state_x[idx] = xr
+            if cfg.free_cache:
+                gone = int((last_of == at).sum())
+                live -= gone * layers * per_frame
+                done.trace.append((layers - 1, int(row), live))
+    done.emb = norm(state_x[:, :1])[:, 0]
     done.count["reused"] = int(reuse.sum())
     done.count["peak"] = max((b for *_, b in done.trace), default=0)
     return done
 
 
-def reduced(raw: np.ndarray, spec: EncoderSpec, prune: int = 1, merge: int = 1) -> tuple[np.ndarray, float]:
+def _last_uses(waves: list[np.ndarray], refs, n: int) -> np.ndarray:
+    """The wavefront after which a frame's cache is not referred to any more (its own where nobody refers to it)."""
+    out = np.zeros(n, np.int64)
+    for k, idx in enumerate(waves):
+        out[idx] = k
+    for k, idx in enumerate(waves):
+        for r in refs:
+            at = r[idx]
+            np.maximum.at(out, at[at >= 0], k)
+    return out
+
+
+def _of_layer(count: int | tuple[int, ...], layer: int) -> int:
+    return count[layer] if isinstance(count, tuple) else count
+
+
+def reduced(raw: np.ndarray, spec: EncoderSpec, prune: int | tuple[int, ...] = 1, merge: int | tuple[int, ...] = 1) -> tuple[np.ndarray, float]:
     """In-frame reduction: in each layer the `prune` tokens of least class attention go and the `merge` most alike pairs become one.
 
-    (embeddings, FLOPs of a frame). Merged tokens are means weighted by how many tokens they stand for; the class token stays.
+    Either count may be one for each layer. (embeddings, FLOPs of a frame). Merged tokens are means weighted by how many tokens they stand for; the class token stays.
     """
     w, x = weights_of(spec), embed(raw, spec)
     size = np.ones(x.shape[:2])
@@ -309,13 +347,13 @@ def reduced(raw: np.ndarray, spec: EncoderSpec, prune: int = 1, merge: int = 1)
         mixed, t = attention(qkv, spec)
         x = x + mixed @ w["out"][layer]
         flops += 6 * n * d * d + 4 * n * n * d + 2 * n * d * d
-        p = min(prune, n - 2)
+        p = min(_of_layer(prune, layer), n - 2)
         if p > 0:
             t = t.copy()
             t[:, 0] = np.inf
             keep = np.sort(np.argsort(-t, axis=1, kind="stable")[:, : n - p], axis=1)
             x, size = np.take_along_axis(x, keep[..., None], 1), np.take_along_axis(size, keep, 1)
-        m = min(merge, (x.shape[1] - 1) // 2)
+        m = min(_of_layer(merge, layer), (x.shape[1] - 1) // 2)
         if m > 0:
             a, b = np.arange(1, x.shape[1], 2), np.arange(2, x.shape[1], 2)  # two sides of a bipartite matching
             if len(b):
@@ -340,11 +378,18 @@ def reduced(raw: np.ndarray, spec: EncoderSpec, prune: int = 1, merge: int = 1)
     return norm(x)[:, 0], flops
 
 
-def rows_of(frame_no: np.ndarray, epoch: np.ndarray, past: np.ndarray, future: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Row numbers of references within a batch, from frame numbers; -1 where there is none. epoch numbers a batch's epochs."""
-    at = {(int(e), int(f)): i for i, (e, f) in enumerate(zip(epoch, frame_no, strict=True))}
-    find = lambda refs: np.array([at[int(e), int(r)] if r > 0 else -1 for e, r in zip(epoch, refs, strict=True)], np.int64)
-    return find(past), find(future)
+def rows_of(frame_no: np.ndarray, epoch: np.ndarray, *refs: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Row numbers of references within a batch, from frame numbers; -1 where there is none. epoch numbers a batch's epochs; rows are in their order."""
+    span = int(frame_no.max(initial=0)) + 2
+    key = epoch.astype(np.int64) * span + frame_no
+    out = []
+    for r in refs:
+        want = epoch.astype(np.int64) * span + r
+        at = np.minimum(np.searchsorted(key, want), len(key) - 1)
+        if not (key[at] == want)[r > 0].all():
+            raise ValueError("a reference is not in its epoch: frame numbers have gaps")
+        out.append(np.where(r > 0, at, -1))
+    return tuple(out)
 
 
 assert TYPES[0] == "I"

@@ -103,3 +103,47 @@ def compaction_stats(frames_of: DataFrame, active: str, by: list[str], tile: int
     g = frames_of.groupBy(*by).agg(F.sum(active).alias("rows"))
     padded = F.sum(F.ceil(F.col("rows") / tile) * tile)
     return g.where("rows > 0").agg(F.count(F.lit(1)).alias("multiplies"), F.sum("rows").alias("rows"), (F.sum("rows") / F.count(F.lit(1))).alias("rows_per_multiply"), (F.sum("rows") / padded).alias("tile_fill"))
+
+
+def positions(tokens: DataFrame, videos: int = 4096, epochs: int = 256) -> DataFrame:
+    """Rows of (video_id, frame_no, token_no, wavefront) with `position`: their place, from 0, in their wavefront's order by video, frame and token.
+
+    Three levels, so that no task orders a whole wavefront: rows of `epochs` epochs of a video are ranked on their own; counts of such groups are
+    added up over `videos` neighbouring videos; and the totals of those over the wavefront.
+    """
+    x = tokens.withColumns({"_e": F.floor(F.col("frame_no") / F.lit(20 * epochs)), "_s": F.floor(F.col("video_id") / videos)})
+    group = ["wavefront", "_s", "video_id", "_e"]
+    n = x.groupBy(*group).agg(F.count(F.lit(1)).alias("_n"))
+    inner = Window.partitionBy("wavefront", "_s").orderBy("video_id", "_e")
+    n = n.withColumn("_a", F.sum("_n").over(inner) - F.col("_n"))
+    m = n.groupBy("wavefront", "_s").agg(F.sum("_n").alias("_m"))
+    m = m.withColumn("_b", F.sum("_m").over(Window.partitionBy("wavefront").orderBy("_s")) - F.col("_m"))
+    start = n.join(m, ["wavefront", "_s"]).select(*group, (F.col("_a") + F.col("_b")).alias("_start"))
+    own = F.row_number().over(Window.partitionBy(*group).orderBy("frame_no", "token_no")) - 1
+    return x.withColumn("_own", own).join(start, group).select(*tokens.columns, (F.col("_own") + F.col("_start")).cast("bigint").alias("position"))
+
+
+def flops_parts(done: DataFrame, spec: EncoderSpec, gate: str, calibrator: bool) -> DataFrame:
+    """part, flops: what the frames of a gated encode with costs spent on QKV, attention, feed-forward, gate and calibrator, from the tokens that each layer reused."""
+    n, d, h = spec.n_tokens, spec.dim, spec.hidden
+    last = spec.layers - 1
+    x = done.select(F.posexplode("reused").alias("layer", "r"))
+    left = n - F.col("r")
+    inner = F.col("layer") < last
+    parts = {
+        "qkv": F.when(inner, 6 * d * d * left).otherwise(0) + F.when(F.col("layer") == 0, 6 * n * d * d).otherwise(0),
+        "ffn": 4 * spec.ffn_mult * d * d * left,
+        "attention": F.lit(4 * n * n * d + 2 * n * d * d),
+        "calibrator": F.col("r") * 2 * h * (d + F.when(inner, 3 * d).otherwise(d)) if calibrator else F.lit(0),
+    }
+    a = x.agg(*[F.sum(v.cast("double")).alias(k) for k, v in parts.items()])
+    gated = done.agg(F.sum("flops").alias("all"))
+    y = a.crossJoin(F.broadcast(gated)).withColumn("gate", F.col("all") - F.col("qkv") - F.col("ffn") - F.col("attention") - F.col("calibrator"))
+    return y.select(F.inline(F.array(*[F.struct(F.lit(k).alias("part"), F.col(k).alias("flops")) for k in (*parts, "gate")])))
+
+
+def task_flops(spark: SparkSession, spec: EncoderSpec, tasks: DataFrame) -> DataFrame:
+    """task, part, flops, share: encoder and head of query kinds, from (task, frames, head_ops): the head's multiplications and additions."""
+    full = spec.layers * (spec.n_tokens * 24 * spec.dim**2 + 4 * spec.n_tokens**2 * spec.dim)
+    x = tasks.select("task", F.inline(F.array(F.struct(F.lit("encoder").alias("part"), (F.col("frames") * full).cast("double").alias("flops")), F.struct(F.lit("head").alias("part"), F.col("head_ops").cast("double").alias("flops")))))
+    return x.withColumn("share", F.col("flops") / F.sum("flops").over(Window.partitionBy("task")))

@@ -82,7 +82,7 @@ def sigmoid(a):
 
 def gelu(a):
     x = value(a)
-    t = np.tanh(0.7978845608028654 * (x + 0.044715 * x**3))
+    t = np.tanh(0.7978845608028654 * (x + 0.044715 * (x * x * x)))
     return unary(a, 0.5 * x * (1 + t), 0.5 * (1 + t) + 0.5 * x * (1 - t * t) * 0.7978845608028654 * (1 + 3 * 0.044715 * x * x))
 
 
@@ -171,7 +171,7 @@ def attention(qkv, spec: EncoderSpec):
     return reshape(transpose(matmul(p, v), (0, 2, 1, 3)), (f, n, spec.dim)), value(p)[:, :, 0].mean(1)
 
 
-def group_loss(raw: np.ndarray, refs: list[tuple[int, int]], ftype: np.ndarray, spec: EncoderSpec, params: list[dict[str, Var]], exact: np.ndarray, tau: float, noise: np.ndarray | None, r_target: float, alpha: float, cos_target: float | None = None, similarity_grad: bool = False):
+def group_loss(raw: np.ndarray, refs: list[tuple[int, int]], ftype: np.ndarray, spec: EncoderSpec, params: list[dict[str, Var]], exact: np.ndarray, tau: float, noise: np.ndarray | None, r_target: float, alpha: float, cos_target: float | None = None, calibrator: bool = True):
     """(loss, mean cosine, soft reuse) of groups raw (G, frames, N, in_dim) whose frames refer to (past, future) places in the group or -1.
 
     noise (layers, frames, G, N) is None for hard decisions, as at inference.
@@ -193,11 +193,13 @@ def group_loss(raw: np.ndarray, refs: list[tuple[int, int]], ftype: np.ndarray,
             a, b = refs[f]
             if a >= 0 or b >= 0:
                 sims = [kernel.cosine(value(h), value(cache_at(cache, r)[0])) if r >= 0 else np.full((groups, n), -1.0) for r in (a, b)]
-                ahead = sims[1] > sims[0]
+                ahead = sims[1] > sims[0] + kernel.TIE
                 pick = lambda i: mix(ahead, cache_at(cache, a)[i] if a >= 0 else None, cache_at(cache, b)[i] if b >= 0 else None)  # noqa: B023, E731
-                delta = add(h, mul(pick(0), -1.0))
-                more = add(matmul(relu(add(matmul(delta, p["c1"]), p["cb1"])), p["c2"]), p["cb2"])
-                rf, rq = (add(pick(1), more), None) if last else (pick(1), add(pick(2), more))
+                rf, rq = pick(1), None if last else pick(2)
+                if calibrator:
+                    delta = add(h, mul(pick(0), -1.0))
+                    more = add(matmul(relu(add(matmul(delta, p["c1"]), p["cb1"])), p["c2"]), p["cb2"])
+                    rf, rq = (add(rf, more), None) if last else (rf, add(rq, more))
                 hints = [kernel.codec_hints(raw[:, f], raw[:, r]) if r >= 0 else (np.zeros((groups, n)),) * 2 for r in (a, b)]
                 motion, residual = (np.where(ahead, hints[1][i], hints[0][i]) for i in range(2))
                 kind = np.where(ahead, ftype[max(b, 0)], ftype[max(a, 0)])
@@ -247,29 +249,45 @@ def mix(ahead: np.ndarray, a, b):
     return add(mul(a, 1 - m), mul(b, m))
 
 
-#: Places of the group's frames in the order in which they are encoded: anchors, then a B2 and a B1 frame of the last segment.
-def group_refs(segments: int) -> tuple[list[int], list[tuple[int, int]], np.ndarray]:
-    """(frame offsets, references as places in the group, frame types)."""
+def group_refs(segments: int, scheme: str = "reordered") -> tuple[list[int], list[tuple[int, int]], np.ndarray]:
+    """(frame offsets, references as places in the group, frame types) of a group, in the order in which its frames are encoded.
+
+    Reordered: the anchors of `segments` segments, then a B2 and a B1 frame of the last one. Sequential: segments + 3 frames in a row.
+    segments = 0 is frame-wise: each frame refers to frames encoded in full, so no error is carried on.
+    """
+    if scheme == "sequential":
+        n = segments + 3 if segments else 2
+        return list(range(n)), [(i - 1, -1) for i in range(n)], np.array([0] + [1] * (n - 1))
+    if not segments:
+        return [0, 4, 2], [(-1, -1), (-1, -1), (0, 1)], np.array([0, 0, 2])
     g = 4 * segments
     offsets = [4 * i for i in range(segments + 1)] + [g - 2, g - 1]
     refs = [(i - 1, -1) for i in range(segments + 1)] + [(segments - 1, segments), (segments + 1, segments)]
     return offsets, refs, np.array([0] + [1] * segments + [2, 3])
 
 
-def sample_groups(frames: DataFrame, spec: EncoderSpec, segments: int, most: int, train_share: float = 0.6, reset_every: int = 20) -> np.ndarray:
+#: Of a thousand videos so many are for training; the others are held out.
+TRAIN_PER_MILLE = 600
+
+
+def is_train(video_id="video_id"):
+    """Whether a video may be learned from: by a hash of its id, so whole videos are on one side."""
+    return F.pmod(F.xxhash64(F.lit("split"), F.col(video_id).cast("bigint")), F.lit(1000)) < TRAIN_PER_MILLE
+
+
+def sample_groups(frames: DataFrame, spec: EncoderSpec, segments: int, most: int, reset_every: int = 20, scheme: str = "reordered") -> np.ndarray:
     """(groups, frames, N, in_dim) of at most `most` groups from whole training videos; `most` bounds what reaches the driver."""
-    offsets, _, _ = group_refs(segments)
-    train = F.pmod(F.xxhash64("video_id"), F.lit(1000)) < 1000 * train_share
+    offsets, _, _ = group_refs(segments, scheme)
     pos = F.pmod(F.col("frame_no") - 1, F.lit(reset_every))
-    x = frames.where(train).select("video_id", F.floor((F.col("frame_no") - 1) / reset_every).alias("e"), pos.alias("pos"), "tokens").where(F.col("pos").isin(offsets))
+    x = frames.where(is_train()).select("video_id", F.floor((F.col("frame_no") - 1) / reset_every).alias("e"), pos.alias("pos"), "tokens").where(F.col("pos").isin(offsets))
     g = x.groupBy("video_id", "e").agg(F.map_from_entries(F.collect_list(F.struct("pos", "tokens"))).alias("m"), F.count(F.lit(1)).alias("n")).where(F.col("n") == len(offsets))
     rows = g.orderBy(F.xxhash64("video_id", "e")).limit(most).collect()
     return np.array([[np.reshape(r["m"][o], (spec.n_tokens, spec.in_dim)) for o in offsets] for r in rows])
 
 
-def fit_reuse(groups: np.ndarray, spec: EncoderSpec, r_target: float = 0.6, alpha: float = 1.0, steps: int = 120, rate: float = 0.01, segments: int = 3, seed: int = 5, batch: int = 64, tau: tuple[float, float] = (5.0, 0.2), cos_target: float | None = None) -> tuple[list[dict], list[tuple]]:
+def fit_reuse(groups: np.ndarray, spec: EncoderSpec, r_target: float = 0.6, alpha: float = 1.0, steps: int = 120, rate: float = 0.01, segments: int = 3, seed: int = 5, batch: int = 64, tau: tuple[float, float] = (5.0, 0.2), cos_target: float | None = None, scheme: str = "reordered", calibrator: bool = True) -> tuple[list[dict], list[tuple]]:
     """(modules, log of (step, loss, cosine, soft reuse, temperature)): Adam on the gates and calibrators alone."""
-    _, refs, ftype = group_refs(segments)
+    _, refs, ftype = group_refs(segments, scheme)
     exact = np.array([kernel.exact(g, spec) for g in groups])
     params = [{k: Var(v) for k, v in m.items()} for m in kernel.new_modules(spec, seed)]
     flat = [v for p in params for v in p.values()]
@@ -279,7 +297,7 @@ def fit_reuse(groups: np.ndarray, spec: EncoderSpec, r_target: float = 0.6, alph
         pick = rnd.choice(len(groups), min(batch, len(groups)), replace=False)
         t = tau[0] * (tau[1] / tau[0]) ** (step / steps)
         noise = gumbel(seed, step, (spec.layers, groups.shape[1], len(pick), spec.n_tokens))
-        loss, cos, reuse = group_loss(groups[pick], refs, ftype, spec, params, exact[pick], t, noise, r_target, alpha, cos_target)
+        loss, cos, reuse = group_loss(groups[pick], refs, ftype, spec, params, exact[pick], t, noise, r_target, alpha, cos_target, calibrator=calibrator)
         for v in flat:
             v.g = None
         backward(loss)
@@ -295,3 +313,40 @@ def fit_reuse(groups: np.ndarray, spec: EncoderSpec, r_target: float = 0.6, alph
 def sweep(groups: np.ndarray, spec: EncoderSpec, r_targets: list[float], **options) -> dict[float, tuple[list[dict], list[tuple]]]:
     """A fit for each target: points of the trade-off."""
     return {r: fit_reuse(groups, spec, r, **options) for r in r_targets}
+
+
+def sample_epochs(frames: DataFrame, spec: EncoderSpec, reset_every: int = 20, most: int = 48) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(epoch, frame number, whether it is the next epoch's first frame, raw tokens) of at most `most` whole epochs of training videos, in order."""
+    e = F.floor((F.col("frame_no") - 1) / reset_every)
+    x = frames.where(is_train()).select("video_id", e.alias("e"), "frame_no", "tokens")
+    chosen = x.select("video_id", "e").distinct().orderBy(F.xxhash64("video_id", "e"), "video_id", "e").limit(most)
+    first = F.pmod(F.col("frame_no") - 1, F.lit(reset_every)) == 0
+    own = x.join(F.broadcast(chosen), ["video_id", "e"]).withColumn("halo", F.lit(False))
+    after = x.where(first & (F.col("e") > 0)).withColumn("e", F.col("e") - 1).join(F.broadcast(chosen), ["video_id", "e"]).withColumn("halo", F.lit(True))
+    rows = sorted(own.unionByName(after).collect(), key=lambda r: (r["video_id"], r["e"], r["frame_no"]))
+    keys = {k: i for i, k in enumerate(dict.fromkeys((r["video_id"], r["e"]) for r in rows))}
+    raw = np.array([np.reshape(r["tokens"], (spec.n_tokens, spec.in_dim)) for r in rows]).reshape(-1, spec.n_tokens, spec.in_dim)
+    return np.array([keys[r["video_id"], r["e"]] for r in rows], np.int64), np.array([r["frame_no"] for r in rows], np.int64), np.array([r["halo"] for r in rows], bool), raw
+
+
+def at_reuse(epochs: tuple, spec: EncoderSpec, cfg, modules: list[dict] | None, rho: float, rounds: int = 14):
+    """cfg moved along its own trade-off until the sampled epochs reuse the share rho of their tokens: by the learned gate's shift or the fixed gate's threshold."""
+    from dataclasses import replace
+
+    from ..plans.reference import epoch_plan
+
+    part, no, halo, raw = epochs
+    if not len(raw):
+        return cfg
+    last = np.zeros(part.max() + 1, np.int64)
+    np.maximum.at(last, part, no)
+    kind, wave, _, *refs = epoch_plan(no, last[part], cfg.scheme, cfg.reset_every, cfg.tail, cfg.lookback)
+    kind, wave, *refs = (np.where(halo, 0, x) for x in (kind, wave, *refs))
+    past, future, *more = kernel.rows_of(no, part, *refs)
+    lo, hi = (-60.0, 60.0) if cfg.gate == "learned" else (-12.0, 6.0)
+    made = lambda v: replace(cfg, shift=v) if cfg.gate == "learned" else replace(cfg, theta=float(np.exp(v)))
+    for _ in range(rounds):
+        mid = (lo + hi) / 2
+        got = kernel.gated(raw, past, future, kind, wave, spec, made(mid), modules, more=tuple(more)).reuse[~halo][:, :, 1:].mean()
+        lo, hi = (mid, hi) if got < rho else (lo, mid)
+    return made((lo + hi) / 2)

@@ -6,6 +6,7 @@ frame to the next) are independent given the halo, so they are the unit of work.
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -55,6 +56,42 @@ def plan_frames(frames: DataFrame, scheme: str = "reordered", reset_every: int =
     return base.select("video_id", "frame_no", epoch.alias("epoch_no"), k.alias("segment_no"), ftype.alias("ftype"), past_ref.cast("int").alias("past_ref"), future_ref.cast("int").alias("future_ref"), wavefront.cast("int").alias("wavefront"), order.cast("int").alias("exec_order"), F.lit(False).alias("is_halo"), *payload)
 
 
+def epoch_plan(frame_no: np.ndarray, last: np.ndarray, scheme: str = "reordered", reset_every: int = 20, tail: str = "chain", lookback: int = 1) -> tuple[np.ndarray, ...]:
+    """(type number, wavefront, execution order, past, future, further past references ...) of frames, 0 for no reference: plan_frames' plan for rows which are in a task already.
+
+    `last` is the greatest frame number of a frame's epoch, the next epoch's first frame included where it is there. It tells the tail, so no
+    count by video has to be joined to the frames, and their tokens are shuffled once.
+    """
+    f = frame_no.astype(np.int64)
+    pos = (f - 1) % reset_every
+    none = np.zeros_like(f)
+    if scheme == "sequential":
+        refs = [np.where(pos >= k, f - k, 0) for k in range(1, lookback + 1)]
+        return (np.where(pos == 0, 0, 1), pos, pos, refs[0], none, *refs[1:])
+    q, k = pos % 4, pos // 4
+    closed = f - q + 4 <= last
+    b2 = 1 + np.maximum(k, np.where(pos - q + 4 == reset_every, 0, k + 1))
+    m = last - (f - q)  # frames after the anchor in an open segment
+    past, future, kind, wave, order = none, none, none, none, 4 * k + q
+    if tail == "chain":
+        past, kind, wave = f - 1, none + 1, k + q
+    elif tail == "short_anchor":
+        end = q == m
+        past = np.where(end, f - q, np.where(q == 1, f - 1, f - 2))
+        future = np.where(end, 0, f + 1)
+        kind = np.where(end, 1, np.where(q == 1, 3, 2))
+        wave = np.where(end, k + 1, np.where((q == 2) | (m == 2), k + 2, k + 3))
+        order = 4 * k + np.where(end, 1, np.where(q == 2, 2, 3))
+    pick = lambda start, anchor, two, one, open_: np.where(pos == 0, start, np.where(q == 0, anchor, np.where(closed, np.where(q == 2, two, one), open_)))
+    return (
+        pick(0, 1, 2, 3, kind),
+        pick(0, k, b2, b2 + 1, wave),
+        pick(0, 4 * (k - 1) + 1, 4 * k + 2, 4 * k + np.where(q == 1, 3, 4), order),
+        pick(0, f - 4, f - 2, f - 1, past),
+        pick(0, 0, f + 2, f + 1, future),
+    )
+
+
 def add_halo(plan: DataFrame) -> DataFrame:
     """Each epoch's first frame again at the end of the epoch before, whose last segment refers to it. It has no references, so its copy is equal."""
     starts = plan.where("ftype = 'I' and epoch_no > 0 and segment_no = 0")

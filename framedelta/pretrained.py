@@ -1,4 +1,4 @@
-"""Trained gates and calibrators, by fixture. They are in weights.json beside this file, written by operators.training."""
+"""Trained gates and calibrators, by fixture. They are in weights.json beside this file, written by framedelta.train."""
 
 from __future__ import annotations
 
@@ -17,5 +17,9 @@ def modules(name: str) -> list[dict] | None:
     return None if found is None else [{k: np.array(v) for k, v in layer.items()} for layer in found]
 
 
+def names() -> list[str]:
+    return sorted(json.loads(resources.files(__package__).joinpath("weights.json").read_text()))
+
+
 def as_json(trained: dict[str, list[dict]]) -> str:
     return json.dumps({n: [{k: np.round(v, 5).tolist() for k, v in layer.items()} for layer in m] for n, m in trained.items()}, separators=(",", ":"))

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 EVENT_TYPES = ("click", "error", "purchase", "signup", "view")
-TICKS, RING = 120, 12
+TICK_HOURS, RING = 6, 12
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -28,17 +28,27 @@ def packed(patches: Column, dim: int) -> Column:
     return F.transform(F.array(patches), whole)[0]  # so that the patches are made once
 
 
+def ticks_of(events: DataFrame) -> DataFrame:
+    """(start, last): the day of the first event and the last event's tick; one row."""
+    start = F.date_trunc("day", F.min("ts")).cast("timestamp_ntz")
+    return events.agg(start.alias("start"), F.max("ts").alias("_end")).select("start", tick_of(F.col("_end"), F.col("start")).alias("last"))
+
+
+def tick_of(ts: Column, start: Column) -> Column:
+    return F.floor(F.timestamp_diff("HOUR", start, ts) / TICK_HOURS).cast("int")
+
+
 def activity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """events: a video for each user, a frame every six hours, a token for each event type with a ring of the last 72 hours."""
+    """events: a video for each user, a frame every six hours from the day of the first event to the last event, a token for each event type with a ring of the last 72 hours."""
     e = table(spark, sf_dir, "events").where(F.col("user_id").isNotNull() & F.col("ts").isNotNull())
-    hour = F.floor(F.timestamp_diff("HOUR", F.lit("2024-01-01").cast("timestamp_ntz"), F.col("ts")) / 6).cast("int")
+    span = F.broadcast(ticks_of(e))  # one row
     kind = F.array_position(F.array(*map(F.lit, EVENT_TYPES)), F.col("event_type")).cast("int") - 1
-    cells = e.select("user_id", kind.alias("kind"), hour.alias("b"), "value").where(f"kind >= 0 and b between 0 and {TICKS - 1}")
-    cells = cells.groupBy("user_id", "kind", "b").agg(F.sum("value").alias("v"))
-    cell = cells.select("user_id", "kind", "b", F.log1p("v").alias("v"), F.explode(F.sequence(F.col("b"), F.least(F.col("b") + RING - 1, F.lit(TICKS - 1)))).alias("k"))
+    cells = e.crossJoin(span).select("user_id", kind.alias("kind"), tick_of(F.col("ts"), F.col("start")).alias("b"), "value", "last").where("kind >= 0")
+    cells = cells.groupBy("user_id", "kind", "b", "last").agg(F.sum("value").alias("v"))
+    cell = cells.select("user_id", "kind", "b", F.log1p("v").alias("v"), F.explode(F.sequence(F.col("b"), F.least(F.col("b") + RING - 1, F.col("last")))).alias("k"))
     slots = cell.select("user_id", "k", (F.col("kind") * RING + F.pmod("b", F.lit(RING))).alias("slot"), "v")
     per = slots.groupBy("user_id", "k").agg(*[F.sum(F.when(F.col("slot") == i, F.col("v"))).alias(f"s{i}") for i in range(len(EVENT_TYPES) * RING)])
-    every = e.select("user_id").distinct().select("user_id", F.explode(F.sequence(F.lit(0), F.lit(TICKS - 1))).alias("k"))
+    every = e.select("user_id").distinct().crossJoin(span).select("user_id", F.explode(F.sequence(F.lit(0), F.col("last"))).alias("k"))
     full = every.join(per, ["user_id", "k"], "left")
     rows = F.array(*[F.array(*[F.coalesce(F.col(f"s{t * RING + s}"), F.lit(0.0)) for s in range(RING)]) for t in range(len(EVENT_TYPES))])
     return full.select(F.col("user_id").alias("video_id"), (F.col("k") + 1).alias("frame_no"), packed(rows, RING).alias("tokens"))
@@ -64,11 +74,15 @@ def counted(part: Column, buckets: int) -> Column:
     return F.transform(F.sequence(F.lit(0), F.lit(buckets - 1)), lambda k: F.size(F.filter(part, lambda y: y == k)).cast("double"))
 
 
-def words_as_frames(df: DataFrame, key: str, text: str, buckets: int = 16, block: int = 8) -> DataFrame:
-    """Scrolling text: a window of eight blocks of words which moves on by two; each block is a token of hashed word counts."""
-    n = F.greatest(F.lit(1), F.floor((F.size("h") - 8 * block) / (2 * block)).cast("int") + 1)
-    x = df.where(F.col(text).isNotNull()).select(F.col(key).cast("bigint").alias("video_id"), hashed_words(F.col(text), buckets).alias("h")).select("video_id", "h", F.explode(F.sequence(F.lit(1), n)).alias("frame_no"))
-    x = x.select("video_id", "frame_no", F.slice("h", (F.col("frame_no") - 1) * 2 * block + 1, 8 * block).alias("h"))
+def scrolled(df: DataFrame, units: Column, buckets: int = 16, block: int = 8) -> DataFrame:
+    """Scrolling text: a window of eight blocks of units which moves on by two blocks, up to the last unit; each block is a token of counts by bucket.
+
+    df has video_id; units is the text as bucket numbers. The last window is shorter where the text ends in it. A text is cut once, so the
+    work grows with its length and not with its square.
+    """
+    n = F.greatest(F.lit(1), F.ceil((F.size("h") - 8 * block) / (2 * block)).cast("int") + 1)
+    cut = F.transform(F.sequence(F.lit(1), n), lambda i: F.struct(i.alias("frame_no"), F.slice("h", (i - 1) * 2 * block + 1, 8 * block).alias("h")))
+    x = df.select("video_id", units.alias("h")).select("video_id", F.explode(cut).alias("x")).select("video_id", "x.frame_no", "x.h")
 
     def bag(slot):
         b = F.pmod(slot - (F.col("frame_no") - 1) * 2, F.lit(8))  # the ring: blocks keep their place while they are in view
@@ -78,13 +92,16 @@ def words_as_frames(df: DataFrame, key: str, text: str, buckets: int = 16, block
 
 
 def prose(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """documents as scrolling text."""
-    return words_as_frames(table(spark, sf_dir, "documents"), "doc_id", "text")
+    """documents as scrolling text: windows of 64 words."""
+    d = table(spark, sf_dir, "documents").where("text is not null")
+    return scrolled(d.select(F.col("doc_id").cast("bigint").alias("video_id"), "text"), hashed_words(F.col("text"), 16))
 
 
 def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """pages as scrolling text of their html."""
-    return words_as_frames(table(spark, sf_dir, "pages"), "page_id", "html")
+    """pages as scrolling layout: windows of 512 characters of their html, bucketed by code point."""
+    d = table(spark, sf_dir, "pages").where("html is not null")
+    units = F.transform(F.filter(F.split("html", ""), lambda c: c != ""), lambda c: F.pmod(F.ascii(c), F.lit(16)))
+    return scrolled(d.select(F.col("page_id").cast("bigint").alias("video_id"), "html"), units, block=64)
 
 
 def talk(spark: SparkSession, sf_dir: str, buckets: int = 16) -> DataFrame:
@@ -92,16 +109,30 @@ def talk(spark: SparkSession, sf_dir: str, buckets: int = 16) -> DataFrame:
     w = Window.partitionBy("conv_id").orderBy("turn")
     t = table(spark, sf_dir, "conversations").where("conv_id is not null and text is not null").select(F.col("conv_id").cast("bigint").alias("video_id"), F.row_number().over(w).alias("frame_no"), hashed_words(F.col("text"), buckets).alias("h"))
 
-    def block(i):
-        start, end = (F.floor(F.size("h") * k / 8).cast("int") for k in (i, i + 1))
-        return counted(F.slice("h", start + 1, end - start), buckets)
+    return t.select("video_id", "frame_no", blocks_as_tokens(F.col("h"), buckets).alias("tokens"))
+
 
-    return t.select("video_id", "frame_no", packed(F.transform(F.sequence(F.lit(0), F.lit(7)), block), buckets).alias("tokens"))
+def blocks_as_tokens(units: Column, buckets: int) -> Column:
+    """A text's bucket numbers in eight equal blocks, each a token of counts."""
+
+    def block(h):
+        def one(i):
+            start, end = (F.floor(F.size(h) * k / 8).cast("int") for k in (i, i + 1))
+            return counted(F.slice(h, start + 1, end - start), buckets)
+
+        return F.transform(F.sequence(F.lit(0), F.lit(7)), one)
+
+    return packed(F.transform(F.array(units), block)[0], buckets)
 
 
 def shipping(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """lineitem: a video for each supplier, a frame for each month with shipments, six tokens of quantities by line number."""
-    i = table(spark, sf_dir, "lineitem").where("l_suppkey is not null and l_shipdate is not null")
+    """lineitem as frames of its suppliers."""
+    return shipping_of(table(spark, sf_dir, "lineitem"))
+
+
+def shipping_of(lineitem: DataFrame) -> DataFrame:
+    """A video for each supplier, a frame for each month with shipments, six tokens of quantities by line number."""
+    i = lineitem.where("l_suppkey is not null and l_shipdate is not null")
     month = F.year("l_shipdate") * 12 + F.month("l_shipdate")
     slot = (F.array_position(F.array(*map(F.lit, ("A", "N", "R"))), F.col("l_returnflag")) - 1) * 2 + F.when(F.col("l_linestatus") == "O", 1).otherwise(0)
     x = i.select("l_suppkey", month.alias("month"), (slot * 7 + F.col("l_linenumber") - 1).cast("int").alias("slot"), "l_quantity")

@@ -8,10 +8,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from . import oracles
 from .functions import vector as V
-from .model import EncoderSpec, ReuseConfig
-from .operators import baselines, encode, measures, tasks
+from .model import EncoderSpec
+from .operators import measures, tasks
 from .plans.reference import add_halo, plan_frames, training_groups
+from .pretrained import modules
 from .sources import frames as S
 from .sources.frames import table
 
@@ -45,27 +47,32 @@ def token_rows(frames: DataFrame, dim: int) -> DataFrame:
 # ---- frames -----------------------------------------------------------------------------------------------------
 
 ACT = """
+bd AS (SELECT date_trunc('day', min(ts))::TIMESTAMP AS t0, CAST(floor(epoch(max(ts) - date_trunc('day', min(ts))::TIMESTAMP) / 21600) AS INT) AS last FROM events WHERE user_id IS NOT NULL),
 cells AS (SELECT user_id, list_position(['click', 'error', 'purchase', 'signup', 'view'], event_type) AS kind,
-    CAST(floor(epoch(ts - TIMESTAMP '2024-01-01') / 21600) AS INT) AS b, sum(value) AS s FROM events GROUP BY ALL),
-cell AS (SELECT user_id, kind, b, ln(1 + s) AS v FROM cells WHERE kind > 0 AND b BETWEEN 0 AND 119),
-grid AS (SELECT user_id, k, kind, slot FROM (SELECT DISTINCT user_id FROM events), range(0, 120) a(k), range(1, 6) t(kind), range(0, 12) c(slot)),
+    CAST(floor(epoch(ts - t0) / 21600) AS INT) AS b, sum(value) AS s FROM events, bd GROUP BY ALL),
+cell AS (SELECT user_id, kind, b, ln(1 + s) AS v FROM cells WHERE kind > 0),
+ks AS (SELECT unnest(range(0, last + 1)) AS k FROM bd),
+grid AS (SELECT user_id, k, kind, slot FROM (SELECT DISTINCT user_id FROM events), ks, range(1, 6) t(kind), range(0, 12) c(slot)),
 patch AS (SELECT g.user_id, g.k, g.kind, g.slot, coalesce(c.v, 0) AS v FROM grid g LEFT JOIN cell c
     ON c.user_id = g.user_id AND c.kind = g.kind AND c.b = g.k - (g.k - g.slot + 12) % 12),
-tok AS (SELECT * FROM patch UNION ALL SELECT user_id, k, 0, slot, avg(v) FROM patch GROUP BY user_id, k, slot)
+slots AS (SELECT * FROM patch UNION ALL SELECT user_id, k, 0, slot, avg(v) FROM patch GROUP BY user_id, k, slot)
 """
 
 
-@query(f"WITH {ACT} SELECT user_id AS video_id, CAST(k + 1 AS INT) AS frame_no, CAST(kind AS INT) AS token_no, round(sum(v), 5) AS total, round(sum(v * v), 5) AS squares FROM tok GROUP BY user_id, k, kind")
+@query(f"WITH {ACT} SELECT user_id AS video_id, CAST(k + 1 AS INT) AS frame_no, CAST(kind AS INT) AS token_no, round(sum(v), 5) AS total, round(sum(v * v), 5) AS squares FROM slots GROUP BY user_id, k, kind")
 def frames_activity(spark, sf):
     return token_rows(S.activity(spark, sf), S.RING)
 
 
-@query("""
-WITH i AS (SELECT l_suppkey, year(l_shipdate) * 12 + month(l_shipdate) AS m, (list_position(['A', 'N', 'R'], l_returnflag) - 1) * 2 + (l_linestatus = 'O')::INT + 1 AS t, l_linenumber AS s, sum(l_quantity) AS q FROM lineitem GROUP BY ALL),
-f AS (SELECT l_suppkey, m, row_number() OVER (PARTITION BY l_suppkey ORDER BY m) AS n FROM (SELECT DISTINCT l_suppkey, m FROM i)),
-p AS (SELECT f.l_suppkey, n, t.t, s.s, ln(1 + coalesce(i.q, 0)) AS v FROM f CROSS JOIN range(1, 7) t(t) CROSS JOIN range(1, 8) s(s) LEFT JOIN i ON i.l_suppkey = f.l_suppkey AND i.m = f.m AND i.t = t.t AND i.s = s.s),
-a AS (SELECT * FROM p UNION ALL SELECT l_suppkey, n, 0, s, avg(v) FROM p GROUP BY l_suppkey, n, s)
-SELECT l_suppkey AS video_id, CAST(n AS INT) AS frame_no, CAST(t AS INT) AS token_no, round(sum(v), 5) AS total, round(sum(v * v), 5) AS squares FROM a GROUP BY ALL""")
+def ship_sql(lineitem: str = "lineitem") -> str:
+    return f"""
+i AS (SELECT l_suppkey, year(l_shipdate) * 12 + month(l_shipdate) AS m, (list_position(['A', 'N', 'R'], l_returnflag) - 1) * 2 + (l_linestatus = 'O')::INT + 1 AS t, l_linenumber AS s, sum(l_quantity) AS q FROM {lineitem} GROUP BY ALL),
+fm AS (SELECT l_suppkey, m, row_number() OVER (PARTITION BY l_suppkey ORDER BY m) AS n FROM (SELECT DISTINCT l_suppkey, m FROM i)),
+p AS (SELECT fm.l_suppkey, n, t.t, s.s, ln(1 + coalesce(i.q, 0)) AS v FROM fm CROSS JOIN range(1, 7) t(t) CROSS JOIN range(1, 8) s(s) LEFT JOIN i ON i.l_suppkey = fm.l_suppkey AND i.m = fm.m AND i.t = t.t AND i.s = s.s),
+slots AS (SELECT * FROM p UNION ALL SELECT l_suppkey, n, 0, s, avg(v) FROM p GROUP BY l_suppkey, n, s)"""
+
+
+@query(f"WITH {ship_sql()} SELECT l_suppkey AS video_id, CAST(n AS INT) AS frame_no, CAST(t AS INT) AS token_no, round(sum(v), 5) AS total, round(sum(v * v), 5) AS squares FROM slots GROUP BY ALL")
 def frames_shipping(spark, sf):
     return token_rows(S.shipping(spark, sf), 7)
 
@@ -80,32 +87,48 @@ def frames_morph(spark, sf):
     return token_rows(S.morph(spark, sf), 8)
 
 
-@query("""
-WITH w AS (SELECT doc_id, string_split(text, ' ') AS w FROM documents WHERE text IS NOT NULL),
-n AS (SELECT doc_id, w, greatest(1, CAST(floor((len(w) - 64) / 16.0) AS INT) + 1) AS n FROM w),
+def scrolled_sql(units: str, block: int) -> str:
+    """Frames of u (doc_id, w: bucket numbers) in windows of eight blocks, hop two."""
+    return f"""u AS ({units}),
+n AS (SELECT doc_id, w, greatest(1, CAST(ceil((len(w) - {8 * block}) / {2.0 * block}) AS INT) + 1) AS n FROM u),
 f AS (SELECT doc_id, w, unnest(range(1, n + 1)) AS f FROM n),
-x AS (SELECT doc_id, f, i, w[(f - 1) * 16 + i] AS word FROM f, range(1, 65) c(i) WHERE (f - 1) * 16 + i <= len(w)),
-h AS (SELECT doc_id, f, CAST('0x' || substr(md5(lower(word)), 1, 6) AS BIGINT) % 16 AS b, ((i - 1) // 8 + (f - 1) * 2) % 8 + 1 AS t FROM x),
+h AS (SELECT doc_id, f, w[(f - 1) * {2 * block} + i] AS b, ((i - 1) // {block} + (f - 1) * 2) % 8 + 1 AS t FROM f, range(1, {8 * block + 1}) c(i) WHERE (f - 1) * {2 * block} + i <= len(w)),
 c AS (SELECT doc_id, f, t, b, count(*) AS v FROM h GROUP BY ALL),
-a AS (SELECT doc_id, f, t, sum(v) AS total, sum(v * v) AS squares FROM c GROUP BY ALL UNION ALL
-  SELECT doc_id, f, 0, sum(v), sum(v * v) FROM (SELECT doc_id, f, b, sum(v) / 8.0 AS v FROM c GROUP BY ALL) GROUP BY doc_id, f),
-g AS (SELECT doc_id, f, t FROM (SELECT DISTINCT doc_id, f FROM f), range(0, 9) r(t))
-SELECT g.doc_id AS video_id, CAST(g.f AS INT) AS frame_no, CAST(g.t AS INT) AS token_no, round(CAST(coalesce(total, 0) AS DOUBLE), 5) AS total, round(CAST(coalesce(squares, 0) AS DOUBLE), 5) AS squares
-FROM g LEFT JOIN a ON a.doc_id = g.doc_id AND a.f = g.f AND a.t = g.t""")
-def frames_prose(spark, sf):
-    return token_rows(S.prose(spark, sf), 16)
+e AS (SELECT doc_id, f, t, b FROM (SELECT DISTINCT doc_id, f FROM f), range(1, 9) r(t), range(0, 16) q(b)),
+p AS (SELECT e.doc_id, e.f, e.t, e.b, coalesce(c.v, 0)::DOUBLE AS v FROM e LEFT JOIN c ON c.doc_id = e.doc_id AND c.f = e.f AND c.t = e.t AND c.b = e.b),
+slots AS (SELECT * FROM p UNION ALL SELECT doc_id, f, 0, b, avg(v) FROM p GROUP BY doc_id, f, b)"""
 
 
-@query()
-def frames_talk(spark, sf):
-    return token_rows(S.talk(spark, sf), 16)
+WORDS = "SELECT doc_id, list_transform(string_split(text, ' '), lambda x: CAST('0x' || substr(md5(lower(x)), 1, 6) AS BIGINT) % 16) AS w FROM documents WHERE text IS NOT NULL"
+LETTERS = "SELECT page_id AS doc_id, list_transform(range(1, length(html) + 1), lambda i: unicode(substr(html, i, 1)) % 16) AS w FROM pages WHERE html IS NOT NULL"
+SHOWN = "SELECT doc_id AS video_id, CAST(f AS INT) AS frame_no, CAST(t AS INT) AS token_no, round(sum(v), 5) AS total, round(sum(v * v), 5) AS squares FROM slots GROUP BY ALL"
+
 
+@query(f"WITH {scrolled_sql(WORDS, 8)} {SHOWN}")
+def frames_prose(spark, sf):
+    return token_rows(S.prose(spark, sf), 16)
 
-@query()
+
+@query(f"WITH {scrolled_sql(LETTERS, 64)} {SHOWN}")
 def frames_pages(spark, sf):
     return token_rows(S.pages(spark, sf), 16)
 
 
+TALK = """
+u AS (SELECT conv_id AS doc_id, row_number() OVER (PARTITION BY conv_id ORDER BY turn) AS f, list_transform(string_split(text, ' '), lambda x: CAST('0x' || substr(md5(lower(x)), 1, 6) AS BIGINT) % 16) AS w FROM conversations WHERE conv_id IS NOT NULL AND text IS NOT NULL),
+h AS (SELECT doc_id, f, i AS t, unnest(w[CAST(floor(len(w) * (i - 1) / 8.0) AS INT) + 1:CAST(floor(len(w) * i / 8.0) AS INT)]) AS b FROM u, range(1, 9) r(i)),
+c AS (SELECT doc_id, f, t, b, count(*) AS v FROM h GROUP BY ALL),
+e AS (SELECT doc_id, f, t, b FROM u, range(1, 9) r(t), range(0, 16) q(b)),
+p AS (SELECT e.doc_id, e.f, e.t, e.b, coalesce(c.v, 0)::DOUBLE AS v FROM e LEFT JOIN c ON c.doc_id = e.doc_id AND c.f = e.f AND c.t = e.t AND c.b = e.b),
+slots AS (SELECT * FROM p UNION ALL SELECT doc_id, f, 0, b, avg(v) FROM p GROUP BY doc_id, f, b)
+"""
+
+
+@query(f"WITH {TALK} {SHOWN}")
+def frames_talk(spark, sf):
+    return token_rows(S.talk(spark, sf), 16)
+
+
 # ---- plans -------------------------------------------------------------------------------------------------------
 
 SHIP_FRAMES = "fr AS (SELECT l_suppkey AS v, row_number() OVER (PARTITION BY l_suppkey ORDER BY m) AS f, count(*) OVER (PARTITION BY l_suppkey) AS n FROM (SELECT DISTINCT l_suppkey, year(l_shipdate) * 12 + month(l_shipdate) AS m FROM lineitem)), ps AS (SELECT v, f, n, (f - 1) % 20 AS p, (f - 1) // 20 AS e, ((f - 1) % 20) % 4 AS q, ((f - 1) % 20) // 4 AS k FROM fr)"
@@ -117,14 +140,14 @@ def ship_frames(spark, sf) -> DataFrame:
     return i.select(F.col("l_suppkey").alias("video_id"), F.row_number().over(Window.partitionBy("l_suppkey").orderBy("m")).alias("frame_no"))
 
 
-def plan_sql(tail: str) -> str:
-    """The reordered plan; what an open last segment gets is the tail rule."""
+def plan_sql(tail: str, frames: str = SHIP_FRAMES) -> str:
+    """The reordered plan; what an open last segment gets is the tail rule. frames ends with ps (v, f, n, p, e, q, k)."""
     own = {
         "chain": ("'P'", "f - 1", "NULL", "k + q", "4 * k + q"),
         "recompute": ("'I'", "NULL", "NULL", "0", "4 * k + q"),
         "short_anchor": ("CASE WHEN q = n - f + q THEN 'P' WHEN q = 1 THEN 'B1' ELSE 'B2' END", "CASE WHEN q = n - f + q THEN f - q WHEN q = 1 THEN f - 1 ELSE f - 2 END", "CASE WHEN q = n - f + q THEN NULL ELSE f + 1 END", "CASE WHEN q = n - f + q THEN k + 1 WHEN q = 2 OR n - f + q = 2 THEN k + 2 ELSE k + 3 END", "4 * k + CASE WHEN q = n - f + q THEN 1 WHEN q = 2 THEN 2 ELSE 3 END"),
     }[tail]
-    return f"""WITH {SHIP_FRAMES}, c AS (SELECT *, f - q + 4 <= n AS closed, 1 + greatest(k, CASE WHEN p - q + 4 = 20 THEN 0 ELSE k + 1 END) AS b2 FROM ps)
+    return f"""WITH {frames}, c AS (SELECT *, f - q + 4 <= n AS closed, 1 + greatest(k, CASE WHEN p - q + 4 = 20 THEN 0 ELSE k + 1 END) AS b2 FROM ps)
 SELECT v AS video_id, CAST(f AS INT) AS frame_no, CAST(e AS INT) AS epoch_no, CAST(k AS INT) AS segment_no,
  CASE WHEN p = 0 THEN 'I' WHEN q = 0 THEN 'P' WHEN closed AND q = 2 THEN 'B2' WHEN closed THEN 'B1' ELSE {own[0]} END AS ftype,
  CAST(CASE WHEN p = 0 THEN NULL WHEN q = 0 THEN f - 4 WHEN closed AND q = 2 THEN f - 2 WHEN closed THEN f - 1 ELSE {own[1]} END AS INT) AS past_ref,
@@ -227,12 +250,11 @@ def token_similarity(spark, sf):
     return x.groupBy("video_id", "frame_no").agg(F.round(F.avg(V.cosine(F.col("v"), F.col("r"))), 6).alias("similarity"))
 
 
-@query(PREV + ", act AS (SELECT user_id, f, kind FROM mse WHERE round(m, 9) >= 0.1) SELECT user_id AS video_id, CAST(f AS INT) AS frame_no, CAST(kind AS INT) AS token_no, (row_number() OVER (PARTITION BY (f - 1) % 20, user_id % 8 ORDER BY user_id, f, kind) - 1) AS position FROM act")
+@query(PREV + ", act AS (SELECT user_id, f, kind FROM mse WHERE round(m, 9) >= 0.1) SELECT user_id AS video_id, CAST(f AS INT) AS frame_no, CAST(kind AS INT) AS token_no, (row_number() OVER (PARTITION BY (f - 1) % 20 ORDER BY user_id, f, kind) - 1) AS position FROM act")
 def compaction_positions(spark, sf):
-    """Where the active tokens of a wavefront go in its gathered matrix; eight groups of videos stand for eight tasks."""
+    """Where the active tokens of a wavefront go in its gathered matrix."""
     x = with_reference(S.activity(spark, sf), S.RING).where(F.round(V.mse(F.col("v"), F.col("r")), 9) >= 0.1)
-    w = Window.partitionBy(F.pmod(F.col("frame_no") - 1, F.lit(20)), F.pmod("video_id", F.lit(8))).orderBy("video_id", "frame_no", "token_no")
-    return x.select("video_id", "frame_no", "token_no", (F.row_number().over(w) - 1).cast("bigint").alias("position"))
+    return measures.positions(x.select("video_id", "frame_no", "token_no", F.pmod(F.col("frame_no") - 1, F.lit(20)).alias("wavefront"))).drop("wavefront")
 
 
 @query(PREV + ", g AS (SELECT (f - 1) % 20 AS w, count(*) AS r FROM mse WHERE round(m, 9) >= 0.1 GROUP BY ALL) SELECT count(*) AS multiplies, CAST(sum(r) AS BIGINT) AS rows, sum(r) / count(*) AS rows_per_multiply, sum(r) / sum(ceil(r / 128.0) * 128) AS tile_fill FROM g")
@@ -241,6 +263,52 @@ def compaction_stats(spark, sf):
     return measures.compaction_stats(x, "active", ["w"]).withColumn("rows_per_multiply", F.col("rows_per_multiply").cast("double"))
 
 
+HINTS = PREV + f", hint AS (SELECT user_id, f, kind, {oracles.MOTION} AS motion, d0 / 12 AS residual FROM (SELECT user_id, f, kind, {oracles.hints_cte(12)} FROM (SELECT user_id, f, kind, v AS a, r AS b FROM pr)))"
+
+
+@query(HINTS + " SELECT user_id AS video_id, CAST(f AS INT) AS frame_no, CAST(kind AS INT) AS token_no, motion, round(residual, 6) AS residual FROM hint")
+def codec_hints(spark, sf):
+    """Motion and residual of every token against the frame before."""
+    motion, residual = V.codec_hints(F.col("v"), F.col("r"))
+    return with_reference(S.activity(spark, sf), S.RING).select("video_id", "frame_no", "token_no", motion.alias("motion"), F.round(residual, 6).alias("residual"))
+
+
+ACT_FRAMES = "fr AS (SELECT user_id AS v, k + 1 AS f, last + 1 AS n FROM (SELECT DISTINCT user_id FROM events), ks, bd), ps AS (SELECT v, f, n, (f - 1) % 20 AS p, (f - 1) // 20 AS e, ((f - 1) % 20) % 4 AS q, ((f - 1) % 20) // 4 AS k FROM fr)"
+
+
+@query(f"{TOK}, pl AS ({plan_sql('chain', ACT_FRAMES)}), s AS (SELECT a.user_id, a.f, a.kind, pl.ftype, round({COS.format('a.v', 'p.v')}, 9) AS sp, round({COS.format('a.v', 'u.v')}, 9) AS su FROM pl JOIN vec a ON a.user_id = pl.video_id AND a.f = pl.frame_no JOIN vec p ON p.user_id = a.user_id AND p.kind = a.kind AND p.f = pl.past_ref JOIN vec u ON u.user_id = a.user_id AND u.kind = a.kind AND u.f = pl.future_ref) SELECT user_id AS video_id, CAST(f AS INT) AS frame_no, CAST(kind AS INT) AS token_no, ftype, CASE WHEN su > sp THEN 'future' ELSE 'past' END AS chosen FROM s")
+def ref_choice(spark, sf):
+    """Which of two references a token of a B frame takes: the more similar one, of equal ones the past."""
+    f = S.activity(spark, sf)
+    p = plan_frames(f, payload=("tokens",)).where("past_ref is not null and future_ref is not null")
+    side = lambda c: f.select("video_id", F.col("frame_no").alias(f"{c}_ref"), F.col("tokens").alias(c))
+    x = p.join(side("past"), ["video_id", "past_ref"]).join(side("future"), ["video_id", "future_ref"])
+    part = lambda c, i: F.slice(c, i * S.RING + 1, S.RING)
+    two = F.transform(F.sequence(F.lit(1), F.lit(len(S.EVENT_TYPES))), lambda i: F.round(V.cosine(part("tokens", i), part("future", i)), 9) > F.round(V.cosine(part("tokens", i), part("past", i)), 9))
+    x = x.select("video_id", "frame_no", "ftype", F.posexplode(two).alias("i", "later"))
+    return x.select("video_id", "frame_no", (F.col("i") + 1).alias("token_no"), "ftype", F.when(F.col("later"), "future").otherwise("past").alias("chosen"))
+
+
+def _gate_sql() -> str:
+    m = modules("activity")[0]
+    hidden = f"list_transform(range(1, {len(m['gb1']) + 1}), lambda i: greatest(list_dot_product(feat, {oracles._literal(m['g1'])}[i]) + {oracles._literal(m['gb1'])}[i], 0))"
+    return HINTS + f""", x AS (SELECT pr.user_id, pr.f, pr.kind, [{COS.format('v', 'r')}, 0.0::DOUBLE, ((pr.f - 2) % 20 = 0)::INT::DOUBLE, ((pr.f - 2) % 20 > 0)::INT::DOUBLE, 0, 0, motion, residual] AS feat FROM pr JOIN hint USING (user_id, f, kind)),
+d AS (SELECT user_id, f, kind, list_dot_product({hidden}, {oracles._literal(m['g2'][:, 0])}) + {float(m['gb2'][0]):.17g}::DOUBLE AS logit FROM x)
+SELECT user_id AS video_id, CAST(f AS INT) AS frame_no, CAST(kind AS INT) AS token_no, round(logit, 5) + 0 AS logit, logit > 0 AS reuse FROM d"""
+
+
+@query(_gate_sql())
+def gate_mlp_literal(spark, sf):
+    """The trained gate of the first layer on raw tokens, as columns: similarity, reference type and codec hints; importance is 0."""
+    x = with_reference(S.activity(spark, sf), S.RING)
+    motion, residual = V.codec_hints(F.col("v"), F.col("r"))
+    start = (F.pmod(F.col("frame_no") - 2, F.lit(20)) == 0).cast("double")
+    zero = F.lit(0.0)
+    feat = F.array(V.cosine(F.col("v"), F.col("r")), zero, start, 1 - start, zero, zero, motion, residual)
+    d = V.mlp(feat, modules("activity")[0], "g1", "gb1", "g2", "gb2")[0]
+    return x.select("video_id", "frame_no", "token_no", d.alias("d")).select("video_id", "frame_no", "token_no", F.round("d", 5).alias("logit"), (F.col("d") > 0).alias("reuse"))
+
+
 # ---- closed forms -------------------------------------------------------------------------------------------------
 
 PRESETS = {n: EncoderSpec.preset(n) for n in ("small", "base", "large")}
@@ -266,7 +334,16 @@ def cache_trace(spark, sf):
     return measures.cache_trace(spark, PRESETS["large"])
 
 
-@query("SELECT 'layer, freed' AS schedule, 30 AS peak UNION ALL SELECT 'layer, kept', 288 UNION ALL SELECT 'frame, kept', 288".replace("30 AS", "CAST(28 AS BIGINT) AS"))
+TRACE = """
+fr AS (SELECT CAST(n AS INT) AS n, CASE WHEN n = 0 THEN 0 ELSE (n - 1) // 4 + 1 END AS seg FROM range(0, 13) t(n)),
+layered AS (SELECT l, s, (SELECT count(*) FROM fr WHERE seg = s) AS alloc, CASE WHEN s > 1 THEN 1 ELSE 0 END + (SELECT count(*) FROM fr WHERE seg = s) - 1 AS gone FROM range(0, 24) a(l), range(1, 4) b(s)),
+ord AS (SELECT row_number() OVER (ORDER BY s, l) AS step, * FROM layered)
+"""
+
+
+@query(f"""WITH {TRACE}, freed AS (SELECT max(live) AS peak FROM (SELECT sum(alloc) OVER (ORDER BY step) - coalesce(sum(gone) OVER (ORDER BY step ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS live FROM ord)),
+kept AS (SELECT sum(alloc) AS peak FROM ord), byframe AS (SELECT count(*) * 24 AS peak FROM fr WHERE n > 0)
+SELECT 'layer, freed' AS schedule, CAST(peak AS BIGINT) AS peak FROM freed UNION ALL SELECT 'layer, kept', CAST(peak AS BIGINT) FROM kept UNION ALL SELECT 'frame, kept', CAST(peak AS BIGINT) FROM byframe""")
 def cache_peak(spark, sf):
     """Peak of three segments of four frames in 24 layers, in cached frames x layers."""
     out = None
@@ -313,39 +390,16 @@ def multiple_choice(spark, sf):
     return a.join(e.select(F.col("vec_id").alias("query_id"), "label"), "query_id").groupBy("label").agg(F.count(F.lit(1)).alias("questions"), F.count_if(F.col("choice_no") == F.col("label")).alias("correct"))
 
 
-GROUND = "tick AS (SELECT user_id AS u, CAST(floor(epoch(ts - TIMESTAMP '2024-01-01') / 21600) AS INT) + 1 AS f, sum(value) AS s FROM events WHERE event_type = 'purchase' GROUP BY ALL)"
+GROUND = "tick AS (SELECT user_id AS u, CAST(floor(epoch(ts - (SELECT date_trunc('day', min(ts))::TIMESTAMP FROM events)) / 21600) AS INT) + 1 AS f, sum(value) AS s FROM events WHERE event_type = 'purchase' GROUP BY ALL)"
 
 
 @query(f"WITH {GROUND}, h AS (SELECT * FROM tick WHERE s >= 50), i AS (SELECT u, f, s, f - row_number() OVER (PARTITION BY u ORDER BY f) AS g FROM h), r AS (SELECT u, g, min(f) AS lo, max(f) AS hi, round(sum(s), 6) AS total FROM i GROUP BY ALL), b AS (SELECT *, row_number() OVER (PARTITION BY u ORDER BY total DESC, lo) AS n FROM r) SELECT u AS query_id, CAST(lo AS INT) AS lo, CAST(hi AS INT) AS hi FROM b WHERE n = 1")
 def grounding_spans(spark, sf):
     """For each user the run of ticks with purchases of at least 50 that has the greatest total."""
-    e = table(spark, sf, "events").where("event_type = 'purchase'")
-    tick = (F.floor(F.timestamp_diff("SECOND", F.lit("2024-01-01").cast("timestamp_ntz"), F.col("ts")) / 21600) + 1).cast("int")
-    s = e.groupBy(F.col("user_id").alias("query_id"), tick.alias("frame_no")).agg(F.sum("value").alias("score"))
-    return tasks.ground(s, 50.0)
-
-
-@query("WITH c AS (SELECT l_suppkey, year(l_shipdate) AS y, sum(l_quantity) AS q FROM lineitem GROUP BY ALL), t AS (SELECT l_suppkey, y, q, r_name FROM c JOIN supplier ON s_suppkey = l_suppkey JOIN nation ON n_nationkey = s_nationkey JOIN region ON r_regionkey = n_regionkey WHERE r_name IN ('ASIA', 'EUROPE')), k AS (SELECT *, row_number() OVER (PARTITION BY r_name, y ORDER BY q DESC, l_suppkey) AS n FROM t) SELECT r_name, CAST(y AS INT) AS year, l_suppkey AS video_id, q AS quantity FROM k WHERE n <= 5")
-def filtered_retrieval(spark, sf):
-    """The five busiest suppliers of a year in chosen regions: dimension filters come before any window."""
-    r = table(spark, sf, "region").where(F.col("r_name").isin("ASIA", "EUROPE"))
-    s = table(spark, sf, "supplier").join(table(spark, sf, "nation").join(r, F.col("n_regionkey") == F.col("r_regionkey")), F.col("s_nationkey") == F.col("n_nationkey")).select("s_suppkey", "r_name")
-    c = table(spark, sf, "lineitem").join(s, F.col("l_suppkey") == F.col("s_suppkey")).groupBy("r_name", F.year("l_shipdate").alias("year"), F.col("l_suppkey").alias("video_id")).agg(F.sum("l_quantity").alias("quantity"))
-    w = Window.partitionBy("r_name", "year").orderBy(F.desc("quantity"), "video_id")
-    return c.withColumn("n", F.row_number().over(w)).where("n <= 5").drop("n")
-
-
-@query("SELECT lang, quality, toxic, grouping_id(lang, quality, toxic) AS gid, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents JOIN labels USING (doc_id) GROUP BY CUBE (lang, quality, toxic)")
-def accuracy_cube(spark, sf):
-    """Strata of the labelled documents over which accuracies are told."""
-    d = table(spark, sf, "documents").select("doc_id", "lang", "n_chars").join(table(spark, sf, "labels"), "doc_id")
-    return d.cube("lang", "quality", "toxic").agg(F.grouping_id().alias("gid"), F.count(F.lit(1)).alias("n"), F.sum("n_chars").alias("chars"))
-
-
-@query("SELECT sha256(text) AS content, count(*) AS copies, min(doc_id) AS video_id FROM documents WHERE text IS NOT NULL GROUP BY text")
-def dedup_encode(spark, sf):
-    """Equal contents are encoded once: which document stands for which content."""
-    return table(spark, sf, "documents").where("text is not null").groupBy(F.sha2("text", 256).alias("content")).agg(F.count(F.lit(1)).alias("copies"), F.min("doc_id").alias("video_id"))
+    e = table(spark, sf, "events")
+    p = e.where("event_type = 'purchase'").crossJoin(F.broadcast(S.ticks_of(e)))
+    s = p.groupBy(F.col("user_id").alias("query_id"), (S.tick_of(F.col("ts"), F.col("start")) + 1).alias("frame_no")).agg(F.sum("value").alias("score"))
+    return tasks.ground(s, 50.0).drop("total")
 
 
 # ---- events as windows ----------------------------------------------------------------------------------------------
@@ -368,202 +422,3 @@ def asof_anchor(spark, sf):
     """The nearest earlier sign-up of the same user, by one window and no range join."""
     w = Window.partitionBy("user_id").orderBy("ts").rangeBetween(Window.unboundedPreceding, Window.currentRow)
     return table(spark, sf, "events").select("event_id", F.last(F.when(F.col("event_type") == "signup", F.col("ts")), ignorenulls=True).over(w).alias("anchor"))
-
-
-# ---- encoders -------------------------------------------------------------------------------------------------------
-
-
-def compared(frames: DataFrame, spec: EncoderSpec, methods: dict[str, ReuseConfig | tuple[int, int]], modules=None, by=None) -> DataFrame:
-    """method and cosine_to_exact of each method on the same frames."""
-    exact = encode.full_encode(frames, spec)
-    out = None
-    for name, cfg in methods.items():
-        if isinstance(cfg, tuple):
-            got = encode.intra_frame_reduce(frames, spec, *cfg)
-        else:
-            got = encode.gated_encode(frames, spec, cfg, modules if cfg.gate == "learned" or cfg.calibrator else None)
-        x = measures.cosine_to_exact(got, exact, by).withColumn("method", F.lit(name))
-        out = x if out is None else out.unionByName(x)
-    return out
-
-
-def trained(name: str):
-    from .pretrained import modules
-
-    return modules(name)
-
-
-@query()
-def exact_embedding(spark, sf):
-    return encode.full_encode(S.activity(spark, sf), TINY)
-
-
-@query()
-def gated_embedding(spark, sf):
-    return encode.gated_encode(S.activity(spark, sf), TINY, ReuseConfig(), trained("activity"))
-
-
-@query()
-def activity_tradeoff(spark, sf):
-    """Learned gate, fixed gates in both orders, and in-frame reduction at several settings."""
-    f = S.activity(spark, sf)
-    m: dict = {f"learned {s:+g}": ReuseConfig(shift=s) for s in (-1, 0, 1)}
-    m |= {f"mse {t}": ReuseConfig("sequential", gate="mse", theta=t, calibrator=False) for t in (0.005, 0.02, 0.1)}
-    m |= {f"budget {k}": ReuseConfig("sequential", gate="budget", budget=k, calibrator=False) for k in (1, 2, 3)}
-    m |= {"prune+merge": (1, 1), "prune": (1, 0), "merge": (0, 1)}
-    return compared(f, TINY, m, trained("activity"))
-
-
-@query()
-def design_ablation(spark, sf):
-    """Gate alone, then with frames in the other order, then with the calibrator, against the fixed budget."""
-    base = dict(gate="learned", calibrator=False)
-    m = {"gate": ReuseConfig("sequential", **base), "gate+order": ReuseConfig(**base), "gate+order+calibrator": ReuseConfig(), "budget": ReuseConfig("sequential", gate="budget", calibrator=False)}
-    return compared(S.activity(spark, sf), TINY, m, trained("activity"))
-
-
-@query()
-def adaptivity_series(spark, sf):
-    """Reuse and cosine by position in the epoch: how errors grow until a full frame resets them."""
-    f = S.activity(spark, sf)
-    exact = encode.full_encode(f, TINY)
-    out = None
-    for name, cfg in {"learned": ReuseConfig(), "budget": ReuseConfig("sequential", gate="budget", calibrator=False)}.items():
-        got = encode.gated_encode(f, TINY, cfg, trained("activity") if cfg.calibrator else None).withColumn("position", F.pmod(F.col("frame_no") - 1, F.lit(cfg.reset_every)))
-        x = measures.cosine_to_exact(got, exact, ["position"]).withColumn("method", F.lit(name))
-        out = x if out is None else out.unionByName(x)
-    return out
-
-
-@query()
-def reset_sweep(spark, sf):
-    m = {f"reset {k}": ReuseConfig(reset_every=k) for k in (4, 8, 20, 40)}
-    return compared(S.activity(spark, sf), TINY, m, trained("activity"))
-
-
-@query()
-def morph_tradeoff(spark, sf):
-    m: dict = {f"{s} mse {t}": ReuseConfig(s, gate="mse", theta=t, calibrator=False) for s in ("sequential", "reordered") for t in (0.005, 0.02)}
-    m |= {"budget 2": ReuseConfig("sequential", gate="budget", budget=2, calibrator=False), "prune+merge": (1, 1)}
-    return compared(S.morph(spark, sf), MORPH, m)
-
-
-@query()
-def prose_reduce(spark, sf):
-    return compared(S.prose(spark, sf), PROSE, {"prune+merge": (1, 1), "prune": (2, 0), "merge": (0, 2)})
-
-
-@query()
-def shipping_tradeoff(spark, sf):
-    m = {f"mse {t}": ReuseConfig("sequential", gate="mse", theta=t, calibrator=False) for t in (0.1, 0.5)} | {"budget 3": ReuseConfig("sequential", gate="budget", budget=3, calibrator=False), "budget 3, last fresh": ReuseConfig("sequential", gate="budget", budget=3, reference="last_fresh", calibrator=False)}
-    return compared(S.shipping(spark, sf), SHIP, m)
-
-
-@query()
-def schedule_costs(spark, sf):
-    """Multiplies, rows and peak cache of each schedule and compaction; the embeddings are the same."""
-    f = S.activity(spark, sf)
-    out = None
-    for schedule, compaction, free in (("frame", "none", False), ("frame", "frame", False), ("layer", "none", False), ("layer", "frame", True), ("layer", "batch", False), ("layer", "batch", True)):
-        cfg = ReuseConfig(schedule=schedule, compaction=compaction, free_cache=free)
-        x = encode.gated_encode(f, TINY, cfg, trained("activity"), with_costs=True)
-        x = x.agg(F.sum("multiplies").alias("multiplies"), F.sum("rows").alias("rows"), F.max("peak").alias("peak_bytes"), F.avg("reuse_rate").alias("reuse_rate"))
-        x = x.select(F.lit(f"{schedule}, {compaction}, {'freed' if free else 'kept'}").alias("method"), "*")
-        out = x if out is None else out.unionAll(x)
-    return out
-
-
-def _encoded(frames: DataFrame, spec: EncoderSpec, methods: dict, modules) -> dict[str, DataFrame]:
-    out = {"exact": encode.full_encode(frames, spec)}
-    for name, cfg in methods.items():
-        out[name] = encode.intra_frame_reduce(frames, spec, *cfg) if isinstance(cfg, tuple) else encode.gated_encode(frames, spec, cfg, modules if cfg.gate == "learned" else None)
-    return out
-
-
-METHODS = {"learned": ReuseConfig(), "mse": ReuseConfig("sequential", gate="mse", theta=0.02, calibrator=False), "budget": ReuseConfig("sequential", gate="budget", budget=2, calibrator=False), "prune+merge": (1, 1)}
-
-
-@query()
-def retrieval_tradeoff(spark, sf):
-    """method, accuracy (recall at 5), reuse_rate, flops: a clip is the eight frames after a key vector, a query the exact embedding of its third frame."""
-    f = S.morph(spark, sf)
-    clip = (F.col("video_id") * 1_000_000 + F.floor((F.col("frame_no") - 1) / 8)).alias("clip_id")
-    out = None
-    ways = _encoded(f, MORPH, METHODS, trained("morph"))
-    q = ways["exact"].where("(frame_no - 1) % 8 = 2").select(clip.alias("query_id"), F.col("emb").alias("vec")).where("query_id % 20 = 0")
-    for name, z in ways.items():
-        z = z.withColumn("clip_id", clip)
-        top = tasks.retrieve(q, V.mean_pool(z, ["clip_id"]), 5)
-        gold = q.select("query_id", F.col("query_id").alias("clip_id"))
-        cost = z.agg(F.avg("reuse_rate").alias("reuse_rate"), F.sum("flops").alias("flops"))
-        x = tasks.recall(top, gold).withColumnRenamed("recall", "accuracy").crossJoin(cost).withColumn("method", F.lit(name))
-        out = x if out is None else out.unionByName(x)
-    return out
-
-
-@query()
-def qa_tradeoff(spark, sf):
-    """method, accuracy, reuse_rate, flops: which event type is strongest in a ten-day clip, the choices being mean clips of other videos."""
-    f = S.activity(spark, sf)
-    clip = (F.col("video_id") * 10 + F.floor((F.col("frame_no") - 1) / 40)).alias("query_id")
-    e = table(spark, sf, "events").where("ts >= TIMESTAMP_NTZ '2024-01-01'")
-    day = F.floor(F.timestamp_diff("SECOND", F.lit("2024-01-01").cast("timestamp_ntz"), F.col("ts")) / 864000)
-    sums = e.where(day < 3).groupBy((F.col("user_id") * 10 + day).alias("query_id"), "event_type").agg(F.sum("value").alias("v"))
-    number = (F.array_position(F.array(*map(F.lit, S.EVENT_TYPES)), F.col("event_type"))).cast("int")
-    gold = sums.groupBy("query_id").agg(F.max_by(number, F.struct("v", number)).alias("gold"))
-    test = F.pmod(F.floor(F.col("query_id") / 10), F.lit(5)) >= 3
-    ways = _encoded(f, TINY, METHODS, trained("activity"))
-    middle = V.mean_pool(ways["exact"].select(clip, "emb").where(~test), []).withColumnRenamed("emb", "_mean")
-    centred = lambda z: V.mean_pool(z.select(clip, "emb"), ["query_id"]).crossJoin(F.broadcast(middle)).select("query_id", V.delta(F.col("emb"), F.col("_mean")).alias("emb"))
-    known = centred(ways["exact"]).where(~test).join(gold, "query_id")
-    choices = V.mean_pool(known, ["gold"]).select(F.col("gold").alias("choice_no"), F.col("emb").alias("vec"))
-    out = None
-    for name, z in ways.items():
-        a = tasks.answer(centred(z).where(test), choices).join(gold, "query_id")
-        cost = z.agg(F.avg("reuse_rate").alias("reuse_rate"), F.sum("flops").alias("flops"))
-        x = a.agg(F.avg((F.col("choice_no") == F.col("gold")).cast("double")).alias("accuracy")).crossJoin(cost).withColumn("method", F.lit(name))
-        out = x if out is None else out.unionByName(x)
-    return out
-
-
-@query()
-def temporal_merge(spark, sf):
-    f = S.activity(spark, sf)
-    return measures.cosine_to_exact(baselines.temporal_merge(f, TINY, 4), encode.full_encode(f, TINY))
-
-
-@query()
-def cluster_index(spark, sf):
-    """Vectors answered by the nearest of 32 representatives."""
-    e = table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("emb"))
-    return baselines.cluster_index(e)
-
-
-@query()
-def frame_search(spark, sf):
-    """Every 20th frame as a query against all frames."""
-    z = encode.full_encode(S.morph(spark, sf), MORPH)
-    q = z.where("frame_no % 20 = 0").select((F.col("video_id") * 1_000_000 + F.col("frame_no")).alias("query_id"), F.col("emb").alias("vec"))
-    return baselines.frame_search(q, z)
-
-
-@query()
-def cache_hits(spark, sf):
-    """Frames that had to be encoded by a first and a second request for the same videos."""
-    import tempfile
-    import uuid
-
-    from .operators.store import EmbeddingStore
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp()
-    store = EmbeddingStore(spark, f"{base.rstrip('/')}/store-{uuid.uuid4().hex}")
-    f = S.morph(spark, sf)
-    n = [store.get_or_encode(f, "morph", "tiny", MORPH, ReuseConfig(gate="mse", calibrator=False))[1] for _ in range(2)]
-    return spark.createDataFrame([(i + 1, x) for i, x in enumerate(n)], "request int, encoded bigint")
-
-
-def flagship(spark: SparkSession, sf: str) -> DataFrame:
-    """For each video of the activity frames: mean cosine to the exact encoder, reuse rate and FLOPs saved."""
-    f = S.activity(spark, sf)
-    got = encode.gated_encode(f, TINY, ReuseConfig(), trained("activity"))
-    return measures.cosine_to_exact(got, encode.full_encode(f, TINY), ["video_id"])

@@ -39,7 +39,7 @@ def test_freed_caches_peak_lower():
     raw = video()
     deep = EncoderSpec.preset("deep")
     peak = {f: kernel.gated(raw, *plan(), deep, ReuseConfig(gate="mse", free_cache=f), None).count["peak"] for f in (True, False)}
-    assert peak[True] * deep.layers == peak[False]
+    assert peak[True] * deep.layers <= peak[False]
 
 
 def test_identical_frames_reuse_everything():
