@@ -64,11 +64,13 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir; where that is unset (tests), an own one."""
+    """The folder all executors share: spark.checkpoint.dir. Where that is unset only a local master (tests) may go on, with a folder of its own."""
     known = spark.conf.get("spark.checkpoint.dir", None)
     if known:
         return known.rstrip("/")
     sc = spark.sparkContext
+    if not (sc.master == "local" or sc.master.startswith("local[")):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
     if not getattr(sc, "_framedelta_shared", None):
         sc._framedelta_shared = "file://" + tempfile.mkdtemp(prefix="framedelta-shared-")
     return sc._framedelta_shared

@@ -8,7 +8,8 @@ Links: distinct fingerprints are dealt to shards, so that two which differ in at
 64 bits are cut into blocks, more than `radius` of them, and each choice of blocks which may be equal makes a key. Each
 shard builds a BK-tree and walks it: only edges whose distance is within `radius` of the query's. A component is taken
 out of the tree as it is found, so a shard gives a link per fingerprint and not one per pair. Shards with more than
-`hot` members are dealt again by the bits that their key leaves free, which loses no link. Trees stay in the task that
+`hot` members are dealt again by the bits that their key leaves free, which loses no link. What still shares both keys agrees in all but
+a few bits, so its size is bounded by their number and not by the table's. Trees stay in the task that
 owns the shard: to broadcast them would need memory that grows with the table.
 
 Components: links are contracted round by round under random priorities, with a written table after each round.
@@ -31,6 +32,8 @@ from .common import map_text, raw_texts, ship, written
 
 SEED = 42
 MASK = (1 << 64) - 1
+#: Rows of one fingerprint from which on its class is broadcast instead of joined, and how many such fingerprints may be.
+HOT_ROWS, HOT_FINGERPRINTS = 20_000, 100_000
 
 
 def fingerprint(text: bytes, width: int = 3) -> int:
@@ -226,12 +229,20 @@ def components(links: DataFrame, rounds: int = 200) -> DataFrame:
 def classes(docs: DataFrame, radius: int = 3, width: int = 3, hot: int = 256) -> DataFrame:
     """(doc_id, fp bigint, class bigint, component_id) for each row of docs: equal classes exactly within a component."""
     rows = written(fingerprints(docs, width), "fingerprints")
-    of = written(rows.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints")
+    of = written(rows.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")), "distinct-fingerprints")
     label = components(near_links(of.select("fp"), radius, hot))
     named = of.join(label.withColumnRenamed("v", "fp"), "fp", "left").select("fp", "least", F.coalesce("label", "fp").alias("class"))
     least = named.groupBy("class").agg(F.min("least").alias("component_id"))
-    by_fp = named.join(least, "class").select("fp", "class", "component_id")
-    return rows.join(by_fp, "fp").select("doc_id", "fp", "class", "component_id")
+    by_fp = written(named.join(least, "class").select("fp", "class", "component_id"), "named-fingerprints")
+    hot_fps = of.where(F.col("n") > HOT_ROWS).select("fp")
+    many = hot_fps.limit(HOT_FINGERPRINTS + 1).count()
+    out = ["doc_id", "fp", "class", "component_id"]
+    if not 0 < many <= HOT_FINGERPRINTS:
+        return rows.join(by_fp, "fp").select(*out)
+    # all empty texts, for one, share a fingerprint: their rows stay where they are
+    hot_fps = F.broadcast(hot_fps)
+    there = rows.join(hot_fps, "fp", "left_semi").join(F.broadcast(by_fp.join(hot_fps, "fp", "left_semi")), "fp").select(*out)
+    return there.unionByName(rows.join(hot_fps, "fp", "left_anti").join(by_fp, "fp").select(*out))
 
 
 def near_duplicates(docs: DataFrame, radius: int = 3, width: int = 3, hot: int = 256) -> DataFrame:

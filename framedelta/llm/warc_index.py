@@ -37,6 +37,8 @@ PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 EPOCH = datetime.datetime(2024, 1, 1)
 #: Digests with several pages are broadcast up to this number of rows; beyond it the pages are shuffled to them.
 BROADCAST_DIGESTS = 400_000
+#: Captures that one task merges in memory.
+MERGED_ROWS = 200_000
 CAPTURE = "url_key string, stamp string, page_id bigint, url string, record_type string, payload_bytes bigint, payload_digest string, refers_to bigint, archive string, at bigint, size bigint"
 
 
@@ -143,7 +145,9 @@ def _page_of(urn: str) -> int | None:
 
 def _captures(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("url_key", pa.string()), ("stamp", pa.string()), ("page_id", pa.int64()), ("url", pa.string()), ("record_type", pa.string()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("refers_to", pa.int64()), ("archive", pa.string()), ("at", pa.int64()), ("size", pa.int64())])
-    held, now, at = b"", None, 0
+    held: list[bytes] = []  # pieces of a record whose block itself holds what looks like a record
+    length = need = 0
+    now, at = None, 0
     for b in batches:
         rows = []
         for raw, name in zip(b.column("value").to_pylist(), b.column("archive").to_pylist(), strict=True):
@@ -151,13 +155,18 @@ def _captures(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 assert not held, f"{now} ends within a record"
                 now, at = name, 0
                 raw = raw.removeprefix(BREAK[4:])
-            raw = held + BREAK + raw if held else raw
+            held.append(raw)
+            length += len(raw) + (len(BREAK) if len(held) > 1 else 0)
+            if length < need:
+                continue
+            raw = BREAK.join(held)
             fields, begin = parse(raw) if b"\r\n\r\n" in raw else ({}, 0)
             size = int(fields["content-length"]) if fields else 0
-            if not fields or len(raw) < begin + size:
-                held = raw  # the block itself holds what looks like a record
+            need = begin + size if fields else length + 1
+            if length < need:
+                held = [raw]
                 continue
-            held = b""
+            held, length, need = [], 0, 0
             block = raw[begin : begin + size]
             assert raw[begin + size :] in (b"", b"\r\n\r\n"), "a record is longer than it says"
             http, http_end = parse(block)
@@ -217,7 +226,8 @@ def merged_index(captures: DataFrame, ranges: int | None = None) -> DataFrame:
     names = captures.columns
     order = ["url_key", "stamp", "page_id"]
     runs = written(captures.sortWithinPartitions("archive", *order), "runs")
-    n = ranges or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    # so many ranges that a task's part of all runs is small, whatever the table's size
+    n = ranges or max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-runs.count() // MERGED_ROWS))
     dealt = runs.repartitionByRange(n, *order).sortWithinPartitions("archive", *order)
 
     def merge(batches):
