@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from framedelta.llm import decontam_lsa, langid_crf, line_dedup, packing, simhash
+from framedelta.llm import decontam_lsa, langid_crf, line_dedup, packing, simhash_text
 from framedelta.llm.common import new_path, table
 from framedelta.llm.registry import tokenizer_path
 
@@ -26,7 +26,11 @@ def _renamed(docs: DataFrame) -> tuple[DataFrame, dict[str, str]]:
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts of which no language is sure, or without letters, go. The field learns from the lang of all documents."""
+    """Texts of which no language is sure, or without letters, go. The field learns from the lang of all documents.
+
+    Null and empty texts have no letters, so they go. Null ids and repeated rows are decided like others. Without any lang nothing can be learned, and all
+    rows stay; an empty table stays empty.
+    """
     safe, back = _renamed(docs)
     model = langid_crf.fitted(docs, F.lit(True))
     out = langid_crf.predict(safe, model, carry=tuple(safe.columns))
@@ -36,7 +40,10 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Lines found in at least ten documents go; n_chars follows the text."""
+    """Lines found in at least ten documents go; n_chars follows the text.
+
+    A null text becomes an empty one. A repeated row is a document of its own, so ten of them lose their lines. Rows never go here; an empty table stays empty.
+    """
     safe, back = _renamed(docs)
     out = line_dedup.drop_frequent_lines(safe, min_docs=10, min_chars=1, carry=tuple(safe.columns)).select(*safe.columns).withColumnsRenamed(back)
     if "n_chars" in docs.columns:
@@ -45,13 +52,21 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate class stays."""
-    return simhash.one_of_each(docs, radius=3, width=3)
+    """One document of each class of near-duplicates stays: five-word shingles, a similarity of 0.8 or more.
+
+    Null and empty texts are one class. Of a class the smallest doc_id stays, a null one only where there is no other; of repeated rows one.
+    """
+    return simhash_text.one_of_each(docs, width=5, least=0.8)
 
 
 def decontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that hold a benchmark passage go."""
-    key = F.xxhash64(F.lit("row"), F.col("doc_id"), F.col("text"))
+    """Documents that hold a benchmark passage go.
+
+    Rows are told apart by 128 bits of hash of id and text, so repeated rows go together, a null id among them, and rows of one id with other texts
+    stay. Null and empty texts hold nothing; without a benchmark all rows stay; an empty table stays empty.
+    """
+    whole = F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.lit("\n"), F.coalesce("text", F.lit("")))
+    key = F.md5(whole.cast("binary"))
     keyed = docs.select(key.alias("doc_id"), "text")
     leaks = decontam_lsa.leaks(keyed, table(spark, sf_dir, "benchmark")).select(F.col("doc_id").alias("_leak")).distinct()
     path = new_path(spark, "leaks")
@@ -62,7 +77,10 @@ def decontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Places in sequences of at most 4096 tokens."""
+    """Places in sequences of at most 4096 tokens.
+
+    Every row is packed: a null or empty text as its end token alone, repeated rows and null ids each for themselves. An empty table gives no row.
+    """
     return packing.pack(docs, tokenizer_path(), capacity=4096, end_id=1)
 
 
