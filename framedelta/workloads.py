@@ -411,6 +411,20 @@ def event_frames_tumbling(spark, sf):
     return e.select("user_id", F.floor(F.timestamp_diff("SECOND", F.lit("2024-01-01").cast("timestamp_ntz"), F.col("w.start")) / 21600).alias("tick"), "n", "total")
 
 
+@query("SELECT user_id, CAST(k - j AS BIGINT) AS tick, count(*) AS n, round(sum(value), 4) AS total FROM (SELECT user_id, value, CAST(floor(epoch(ts - TIMESTAMP '2024-01-01') / 21600) AS BIGINT) AS k FROM events), range(0, 12) a(j) GROUP BY ALL")
+def event_frames_sliding(spark, sf):
+    """Windows of 72 hours which begin every six."""
+    e = table(spark, sf, "events").groupBy("user_id", F.window("ts", "72 hours", "6 hours").alias("w")).agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("value"), 4).alias("total"))
+    return e.select("user_id", F.floor(F.timestamp_diff("SECOND", F.lit("2024-01-01").cast("timestamp_ntz"), F.col("w.start")) / 21600).alias("tick"), "n", "total")
+
+
+@query("SELECT CAST(json_extract(props, '$.k') AS INT) AS k, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY ALL")
+def event_props(spark, sf):
+    """Totals by a number in the events' JSON."""
+    e = table(spark, sf, "events").select(F.from_json("props", "k int")["k"].alias("k"), "event_type", "value")
+    return e.groupBy("k", "event_type").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("value"), 4).alias("total"))
+
+
 @query("WITH e AS (SELECT user_id, ts, value, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS p FROM events), s AS (SELECT *, sum(CASE WHEN p IS NULL OR ts >= p + INTERVAL 12 HOUR THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS g FROM e) SELECT user_id, min(ts) AS first, max(ts) AS last, count(*) AS n, round(sum(value), 4) AS total FROM s GROUP BY user_id, g")
 def event_sessions(spark, sf):
     e = table(spark, sf, "events")

@@ -21,6 +21,7 @@ def spark():
         .config("spark.sql.session.timeZone", "UTC")
         .config("spark.driver.memory", "3g")
         .config("spark.sql.warehouse.dir", tempfile.mkdtemp())
+        .config("spark.checkpoint.dir", f"file://{tempfile.mkdtemp()}")
         .getOrCreate()
     )
     s.sparkContext.setLogLevel("ERROR")

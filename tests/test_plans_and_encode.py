@@ -1,7 +1,7 @@
 import duckdb
 import numpy as np
 import pytest
-from framedelta import workloads
+from framedelta import experiments, workloads
 from framedelta.functions import vector as V
 from framedelta.model import EncoderSpec, ReuseConfig
 from framedelta.operators import encode, kernel, measures, store, tasks
@@ -144,13 +144,13 @@ def test_sql_functions(spark):
 
 
 def plain(x):
-    return round(x, 6) if isinstance(x, float) else x
+    return round(x, 6) + 0.0 if isinstance(x, float) else x
 
 
-@pytest.mark.parametrize("name", ["plan_reordered", "plan_tail_short_anchor", "training_groups_g3", "mse_gate_map", "budget_gate_map", "cache_trace", "retrieval_top5", "grounding_spans", "frames_morph", "accuracy_cube", "event_sessions"])
+@pytest.mark.parametrize("name", ["plan_reordered", "plan_tail_short_anchor", "training_groups_g3", "mse_gate_map", "budget_gate_map", "cache_trace", "retrieval_top5", "grounding_spans", "frames_morph", "frames_prose", "frames_pages", "frames_talk", "codec_hints", "ref_choice", "gate_mlp_literal", "compaction_positions", "cache_peak", "exact_embedding", "gated_embedding", "filtered_retrieval", "dedup_encode", "task_flops_share", "event_sessions", "event_frames_sliding", "event_props"])
 def test_oracles(spark, small, name):
     con = duckdb.connect()
-    for t in ("events", "documents", "labels", "embeddings", "lineitem"):
+    for t in ("events", "documents", "labels", "embeddings", "lineitem", "pages", "conversations", "supplier", "nation", "region"):
         con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{small}/{t}.parquet'")
     df = workloads.QUERIES[name](spark, small)
     rel = con.sql(workloads.SQL[name])
@@ -158,3 +158,139 @@ def test_oracles(spark, small, name):
     assert cols == sorted(rel.columns)
     want = con.sql(f"SELECT {', '.join(cols)} FROM ({workloads.SQL[name]})").fetchall()
     assert sorted(repr(tuple(map(plain, r))) for r in df.select(*cols).collect()) == sorted(repr(tuple(map(plain, r))) for r in want)
+
+
+@pytest.mark.parametrize("scheme,tail", [("sequential", "chain"), ("reordered", "chain"), ("reordered", "short_anchor"), ("reordered", "recompute")])
+def test_plan_in_the_task_equals_the_columns(frames, scheme, tail):
+    from framedelta.model import TYPES
+    from framedelta.plans.reference import epoch_plan
+
+    plan = plan_frames(frames, scheme, tail=tail).collect()
+    n = {}
+    for r in plan:
+        n[r.video_id] = max(n.get(r.video_id, 0), r.frame_no)
+    f = np.array([r.frame_no for r in plan])
+    last = np.array([min(n[r.video_id], (r.epoch_no + 1) * 20 + 1) for r in plan])
+    kind, wave, order, past, future = epoch_plan(f, last, scheme, 20, tail)
+    got = [(TYPES[k], int(w), int(o), int(p) or None, int(u) or None) for k, w, o, p, u in zip(kind, wave, order, past, future, strict=True)]
+    assert got == [(r.ftype, r.wavefront, r.exec_order, r.past_ref, r.future_ref) for r in plan]
+
+
+def test_more_than_one_task_encodes(spark, frames):
+    z = encode.gated_encode(frames, SPEC, ReuseConfig()).withColumn("p", F.spark_partition_id())
+    assert z.select("p").distinct().count() > 2
+    plan = encode.gated_encode(frames, SPEC, ReuseConfig())._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange") == 1  # the tokens move once
+    assert encode.partitions_for(frames, SPEC) == encode.encode_partitions(frames)
+
+
+def test_lookback(frames):
+    one, three = (rows(encode.gated_encode(frames, SPEC, ReuseConfig("sequential", lookback=k, gate="mse", theta=0.05, calibrator=False))) for k in (1, 3))
+    assert one.keys() == three.keys() and any(one[k][1] != three[k][1] for k in one)
+    assert all(np.allclose(one[k][0], three[k][0]) for k in ((1, 1), (1, 2), (2, 1)))
+
+
+def test_reuse_can_be_set(frames):
+    from framedelta.operators import training
+
+    e = training.sample_epochs(frames, SPEC)
+    m = kernel.new_modules(SPEC)
+    cfg = training.at_reuse(e, SPEC, ReuseConfig(), m, 0.4)
+    part, no, halo, raw = e
+    kept = {int(p) for p in part}
+    assert len(kept) == len({(int(p), int(n)) for p, n in zip(part[halo], no[halo], strict=True)}) or not halo.all()
+    z = encode.gated_encode(frames.where(training.is_train()), SPEC, cfg, m).agg(F.avg("reuse_rate")).first()[0]
+    assert abs(z - 0.4) < 0.1
+
+
+def test_equal_exact_embeddings_are_made_once(spark, small):
+    plan = experiments.compared(experiments.S.shipping(spark, small), experiments.SHIP, {"a": experiments.mse(0.1), "b": experiments.mse(0.5)})
+    plan.collect()
+    assert plan._jdf.queryExecution().executedPlan().toString().count("ReusedExchange") >= 1
+
+
+def test_fitted_rates():
+    from framedelta.operators import baselines
+
+    x = np.cumsum(np.random.default_rng(5).normal(size=(60, 6, 12)), 0)
+    prune, merge = baselines.fit_rates(x, SPEC, 1.5)
+    z, flops = kernel.reduced(x, SPEC, prune, merge)
+    assert flops * 1.5 <= kernel.flops_exact(SPEC)
+    hand, cost = kernel.reduced(x, SPEC, 2, 0)
+    assert kernel.cosine(z, kernel.exact(x, SPEC)).mean() > 0.5 and cost < kernel.flops_exact(SPEC)
+
+
+def test_index_recall(spark, small):
+    assert experiments.cluster_index_recall(spark, small).first().recall >= 0.9
+
+
+def test_prepared_modules_come_back(spark, frames, tmp_path):
+    path = f"file://{tmp_path}/w"
+    many = frames.unionByName(frames.where("video_id = 1").withColumn("video_id", F.lit(6).cast("bigint"))).unionByName(frames.where("video_id = 1").withColumn("video_id", F.lit(7).cast("bigint")))
+    i = store.prepare(many, SPEC, 0.5, path, steps=2)
+    m = store.saved_modules(spark, path, i)
+    assert [sorted(x) for x in m] == [sorted(x) for x in kernel.new_modules(SPEC)]
+    assert all(a[k].shape == b[k].shape for a, b in zip(m, kernel.new_modules(SPEC), strict=True) for k in b)
+    assert encode.gated_encode(frames, SPEC, ReuseConfig(), m).count() == 90
+
+
+def test_replayed_batches_are_stored_once(spark, frames, tmp_path):
+    s = store.EmbeddingStore(spark, f"file://{tmp_path}/s")
+    z = encode.full_encode(frames, SPEC)
+    for _ in range(2):
+        s.append(z, "c", "m", batch="one")
+    assert spark.read.parquet(s.path).count() == 90
+    s.append(z, "c", "m", batch="two")
+    assert s.read("c", "m").count() == 90
+    src = str(tmp_path / "in")
+    z.coalesce(1).write.parquet(src)
+    q = s.sink(spark.readStream.schema(z.schema).parquet(src), "stream", "m", str(tmp_path / "c")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert s.read("stream", "m").count() == 90
+
+
+def test_a_gap_is_closed(spark, frames, tmp_path):
+    src = str(tmp_path / "in")
+    f = frames.where("video_id = 1 and frame_no <> 7")
+    f.coalesce(1).write.parquet(src)
+    stream = spark.readStream.schema(frames.schema).parquet(src)
+    q = stream_encode(stream, SPEC, ReuseConfig("sequential"), kernel.new_modules(SPEC), max_ahead=10).writeStream.format("memory").queryName("gap").outputMode("append").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    got = sorted(r.frame_no for r in spark.table("gap").collect())
+    assert got == [i for i in range(1, 46) if i != 7]
+
+
+def test_streams_are_joined(spark, tmp_path, small):
+    from framedelta.streaming import encoder as E
+
+    e = spark.createDataFrame([(1, "2024-01-01 00:00:00", 1.0), (1, "2024-01-02 00:00:00", 2.0), (2, "2024-01-01 00:00:00", 3.0)], "user_id long, ts string, value double").withColumn("ts", F.col("ts").cast("timestamp"))
+    n = spark.createDataFrame([(1, "2024-01-01 03:00:00", "x"), (1, "2024-01-01 09:00:00", "y"), (2, "2024-01-01 00:00:00", "z")], "user_id long, note_ts string, note string").withColumn("note_ts", F.col("note_ts").cast("timestamp"))
+    for k, df in (("e", e), ("n", n)):
+        df.coalesce(1).write.parquet(str(tmp_path / k))
+    read = lambda k, df: spark.readStream.schema(df.schema).parquet(str(tmp_path / k))
+    q = E.annotated(read("e", e), read("n", n)).writeStream.format("memory").queryName("notes").outputMode("append").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert sorted((r.user_id, r.note) for r in spark.table("notes").collect()) == [(1, "x"), (2, "z")]
+    z = spark.createDataFrame([(1, 1, [1.0, 0.0]), (1, 2, [0.0, 1.0])], "video_id long, frame_no int, emb array<double>")
+    z.coalesce(1).write.parquet(str(tmp_path / "z"))
+    asked = spark.createDataFrame([(9, [1.0, 0.1])], "query_id long, vec array<double>")
+    q = E.scored(spark.readStream.schema(z.schema).parquet(str(tmp_path / "z")), asked, 0.5).writeStream.format("memory").queryName("hits").outputMode("append").option("checkpointLocation", str(tmp_path / "c2")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert [(r.query_id, r.frame_no) for r in spark.table("hits").collect()] == [(9, 1)]
+    assert E.queue_latency() == 2.0
+
+
+def test_table_functions(spark, frames):
+    from framedelta.functions import tables
+
+    tables.register(spark)
+    got = spark.sql("SELECT * FROM fd_plan(45, 'reordered', 20)").collect()
+    want = {r.frame_no: (r.ftype, r.past_ref, r.future_ref, r.wavefront) for r in plan_frames(frames.where("video_id = 1")).collect()}
+    assert {r.frame_no: (r.ftype, r.past_ref, r.future_ref, r.wavefront) for r in got} == want
+    assert [r.frame_no for r in spark.sql("SELECT * FROM fd_group(1, 3, 'reordered')").collect()] == [1, 5, 9, 13, 11, 12]
+    assert [r.live for r in spark.sql("SELECT * FROM fd_cache_steps(24, 3) ORDER BY step").collect()] == [r.live_units for r in measures.cache_trace(spark, EncoderSpec.preset("large")).orderBy("step").collect()]
+    assert spark.sql("SELECT fd_vector_mean(v) m FROM VALUES (array(1d, 2d)), (array(3d, 6d)) t(v)").first().m == [2.0, 4.0]
+    c = tasks.clips(frames.where("video_id = 2"), 8).select("clip_id.clip").distinct().count()
+    assert c == 3
+    n = spark.createDataFrame([(1, 3.4), (2, 9.0)], "query_id int, estimate double")
+    assert {r.query_id: r.choice_no for r in tasks.count_answer(n, [1, 3, 5]).collect()} == {1: 3, 2: 5}

@@ -3,7 +3,7 @@
 import hashlib
 
 import numpy as np
-from framedelta import workloads
+from framedelta import experiments
 from framedelta.operators import baselines, tasks
 from framedelta.sources import frames as S
 from pyspark.sql import functions as F
@@ -24,7 +24,7 @@ def test_talk_takes_whole_turns(spark, small, tmp_path):
 
 
 def test_frame_search_takes_every_twentieth_frame(spark, small):
-    got = workloads.frame_search(spark, small)
+    got = experiments.frame_search(spark, small)
     frames = S.morph(spark, small)
     want = {r[0] for r in frames.where("frame_no % 20 = 0").select(F.col("video_id") * 1_000_000 + F.col("frame_no")).collect()}
     assert {r.query_id for r in got.collect()} == want and got.count() == 5 * len(want)
