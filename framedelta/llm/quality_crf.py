@@ -95,6 +95,17 @@ def line_features(rows: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray
     return x, size, n_lines
 
 
+def features_in_parts(rows: list[bytes], most: int = 1 << 20) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """line_features of about `most` bytes of texts at a time: its arrays by byte are many times the text."""
+    parts, at, run = [], 0, 0
+    for i, t in enumerate(rows):
+        run += len(t)
+        if run >= most or i + 1 == len(rows):
+            parts.append(line_features(rows[at : i + 1]))
+            at, run = i + 1, 0
+    return tuple(np.concatenate(x) for x in zip(*parts, strict=True)) if parts else line_features(rows)
+
+
 class Binned:
     """Items of m features in bins, with those of both neighbours: a weight for each place, feature, bin and label."""
 
@@ -126,7 +137,7 @@ class Model:
 
     def lines(self, rows: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(probability that each line is good, its bytes, lines of each text)."""
-        x, size, n = line_features(rows)
+        x, size, n = features_in_parts(rows)
         return forward_backward(Binned(x, n, self.cuts).scores(self.weights), Layout(n), self.transitions)[:, GOOD], size, n
 
     def texts(self, rows: list[bytes]) -> np.ndarray:
@@ -175,7 +186,7 @@ def learn(sample: list[tuple[str, int, float]], steps: int = 40) -> Model:
     if len(set(y_doc.tolist())) < 2:
         return Model(None, None, None, [float(y_doc.mean()) if len(y_doc) else 0.5])
     rows = [t.encode() for t, *_ in sample]
-    x, _, n = line_features(rows)
+    x, _, n = features_in_parts(rows)
     cuts = [bin_cuts(x[:, j], y_doc[np.repeat(np.arange(len(rows)), n)]) for j in range(x.shape[1])]
     cuts = [np.append(c, np.full(BINS - len(c), np.inf)) for c in cuts]
     items = Binned(x, n, cuts)
