@@ -21,8 +21,8 @@ from .common import map_text, raw_texts, written
 
 OUTPUTS = ("text", "n_lines", "n_dropped")
 SPACE = b" \t\n\v\f\r"
-#: Frequent keys are broadcast up to this number (16 bytes each); beyond it they are joined.
-BROADCAST_KEYS = 2_000_000
+#: Frequent keys are broadcast up to this number (about 100 bytes each in a worker); beyond it they are joined.
+BROADCAST_KEYS = 300_000
 
 
 def key_hash(line: bytes, min_chars: int = 1) -> bytes | None:
