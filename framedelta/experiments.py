@@ -92,6 +92,39 @@ def gated_embedding_recomputed_tail(spark, sf):
     return show(z.withColumn("reuse_rate", F.round("reuse_rate", 5)), TINY.dim, "reuse_rate")
 
 
+def _fixed_gate_sql(cfg: ReuseConfig) -> str:
+    plan = f"WITH {ACT_FRAMES} SELECT v, f, CASE WHEN p = 0 THEN 'I' ELSE 'P' END AS ft, CASE WHEN p > 0 THEN f - 1 END AS past, CAST(NULL AS BIGINT) AS future, p AS wave FROM ps"
+    return f"WITH {ACT_TOK}, pl AS MATERIALIZED ({plan}), {oracles.gated_ctes(TINY, cfg, None, cfg.reset_every)} SELECT z.v AS video_id, CAST(z.f AS INT) AS frame_no, {oracles.shown(TINY.dim)}, round(rate, 5) AS reuse_rate FROM z JOIN reused ON reused.v = z.v AND reused.f = z.f"
+
+
+@query(_fixed_gate_sql(mse(0.02)))
+def mse_gated_embedding(spark, sf):
+    """The fixed threshold on the mean squared change, frames in their own order, in all layers: embeddings and reuse of every frame."""
+    z = encode.gated_encode(S.activity(spark, sf), TINY, mse(0.02))
+    return show(z.withColumn("reuse_rate", F.round("reuse_rate", 5)), TINY.dim, "reuse_rate")
+
+
+@query(_fixed_gate_sql(budget(2)))
+def budget_gated_embedding(spark, sf):
+    """The fixed budget: the class token and the two tokens that changed most are computed, the others reused."""
+    z = encode.gated_encode(S.activity(spark, sf), TINY, budget(2))
+    return show(z.withColumn("reuse_rate", F.round("reuse_rate", 5)), TINY.dim, "reuse_rate")
+
+
+@query(f"WITH {ACT_TOK}, {oracles.exact_ctes(TINY, prune=1)} SELECT v AS video_id, CAST(f AS INT) AS frame_no, {oracles.shown(TINY.dim)} FROM z")
+def pruned_embedding(spark, sf):
+    """In-frame reduction by pruning alone: in each layer the token of least class attention goes."""
+    return show(encode.intra_frame_reduce(S.activity(spark, sf), TINY, prune=1, merge=0), TINY.dim)
+
+
+@query(f"""WITH {ACT}, one AS (SELECT user_id, k // 4 AS w, kind, slot, avg(v) AS v FROM slots GROUP BY ALL),
+tok AS (SELECT user_id AS v, w AS f, kind AS t, list(v ORDER BY slot) AS raw FROM one GROUP BY user_id, w, kind), {oracles.exact_ctes(TINY)}
+SELECT user_id AS video_id, CAST(k + 1 AS INT) AS frame_no, {oracles.shown(TINY.dim)} FROM (SELECT DISTINCT user_id, k FROM slots) s JOIN z ON z.v = s.user_id AND z.f = k // 4""")
+def temporal_merge_embedding(spark, sf):
+    """Four frames in a row share the embedding of their mean tokens."""
+    return show(baselines.temporal_merge(S.activity(spark, sf), TINY, 4), TINY.dim)
+
+
 @query()
 def lookback_references(spark, sf):
     """One, two and three past references in the sequential scheme: what more of them bring."""
@@ -555,7 +588,8 @@ def frame_search(spark, sf):
     return baselines.frame_search(q, z)
 
 
-@query()
+@query("""WITH n AS (SELECT count(*) * 8 AS n FROM (SELECT row_number() OVER (PARTITION BY label ORDER BY vec_id DESC) AS r FROM embeddings WHERE label IS NOT NULL AND embedding IS NOT NULL) WHERE r > 1)
+SELECT r AS request, CASE WHEN r = 1 THEN n ELSE 0 END AS encoded FROM n, (VALUES (1), (2)) t(r)""")
 def cache_hits(spark, sf):
     """Frames that had to be encoded by a first and a second request for the same videos."""
     s = store.EmbeddingStore(spark, store.new_path(spark, "store"))

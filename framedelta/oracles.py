@@ -58,8 +58,11 @@ def _start(spec: EncoderSpec) -> list[str]:
     ]
 
 
-def _attended(spec: EncoderSpec, k: int) -> list[str]:
-    """h{k} (v, f, t, h, imp, branch, q): unit inputs after attention over q{k}, with the class token's attention and the fresh unit outputs."""
+def _attended(spec: EncoderSpec, k: int, prune: int = 0) -> list[str]:
+    """h{k} (v, f, t, h, imp, branch, q): unit inputs after attention over q{k}, with the class token's attention and the fresh unit outputs.
+
+    With prune the tokens of least attention from the class token leave after the attention of each layer.
+    """
     d, dh = spec.dim, spec.dim // spec.heads
     heads = []
     for head in range(spec.heads):
@@ -68,13 +71,17 @@ def _attended(spec: EncoderSpec, k: int) -> list[str]:
     soft = [f"list_transform(s{i}, lambda z: exp(z - list_max(s{i}))) AS p{i}" for i in range(spec.heads)]
     share = [f"list_transform(p{i}, lambda z: z / list_sum(p{i})) AS a{i}" for i in range(spec.heads)]
     mixed = " || ".join(f"list_transform(range({2 * d + i * dh + 1}, {2 * d + (i + 1) * dh + 1}), lambda j: list_dot_product(a{i}, list_transform(kv, lambda o: o[j])))" for i in range(spec.heads))
-    mean = f"list_transform(range(1, {spec.n_tokens + 1}), lambda j: ({' + '.join(f'a{i}[j]' for i in range(spec.heads))}) / {spec.heads})"
+    mean = f"list_transform(range(1, {spec.n_tokens - k * prune + 1}), lambda j: ({' + '.join(f'a{i}[j]' for i in range(spec.heads))}) / {spec.heads})"
+    rated = f"SELECT v, f, t, h, cls[t + 1] AS imp FROM g{k} JOIN c{k} USING (v, f)"
+    if prune:
+        at = f"SELECT v, f, t, h, cls[row_number() OVER (PARTITION BY v, f ORDER BY t)] AS imp FROM g{k} JOIN c{k} USING (v, f)"
+        rated = f"SELECT * FROM ({at}) QUALIFY row_number() OVER (PARTITION BY v, f ORDER BY t = 0 DESC, imp DESC, t) <= {spec.n_tokens - (k + 1) * prune}"
     out = [
         f"kv{k} AS MATERIALIZED (SELECT v, f, list(q ORDER BY t) AS kv FROM q{k} GROUP BY v, f)",
         f"a{k} AS MATERIALIZED (SELECT v, f, t, x, {mixed} AS mixed, {mean} AS imp FROM (SELECT *, {', '.join(share)} FROM (SELECT *, {', '.join(soft)} FROM (SELECT q{k}.*, kv, {', '.join(heads)} FROM q{k} JOIN kv{k} USING (v, f)))))",
         f"g{k} AS MATERIALIZED (SELECT v, f, t, {_plus('x', 'o_', d)} AS h, imp FROM (SELECT *, {_times('mixed', f'w_out{k}')} AS o_ FROM a{k}, w))",
         f"c{k} AS (SELECT v, f, imp AS cls FROM g{k} WHERE t = 0)",
-        f"gn{k} AS MATERIALIZED ({_normed(f'(SELECT v, f, t, h, cls[t + 1] AS imp FROM g{k} JOIN c{k} USING (v, f))', 'h', 'n_')})",
+        f"gn{k} AS MATERIALIZED ({_normed(f'({rated})', 'h', 'n_')})",
         f"u{k} AS MATERIALIZED (SELECT v, f, t, h, imp, {_times('up_', f'w_down{k}')} AS branch FROM (SELECT *, {GELU.format('up0_')} AS up_ FROM (SELECT *, {_times('n_', f'w_up{k}')} AS up0_ FROM gn{k}, w)))",
     ]
     if k + 1 < spec.layers:
@@ -91,11 +98,11 @@ def _end(spec: EncoderSpec) -> list[str]:
     return [f"zn AS (SELECT v, f, x FROM q{spec.layers} WHERE t = 0)", f"z AS MATERIALIZED ({_normed('zn', 'x', 'e')})"]
 
 
-def exact_ctes(spec: EncoderSpec) -> str:
-    """z (v, f, e): embeddings of tok by the unmodified encoder."""
+def exact_ctes(spec: EncoderSpec, prune: int = 0) -> str:
+    """z (v, f, e): embeddings of tok by the unmodified encoder, or with `prune` tokens less after each layer's attention."""
     parts = _start(spec)
     for k in range(spec.layers):
-        parts += _attended(spec, k)
+        parts += _attended(spec, k, prune)
         parts.append(f"q{k + 1} AS MATERIALIZED (SELECT v, f, t, {_plus('h', 'branch', spec.dim)} AS x, q FROM h{k})")
     return ",\n".join(parts + _end(spec))
 
@@ -114,15 +121,18 @@ def hints_cte(dim: int) -> str:
 MOTION = "CASE WHEN d0 <= least(d1, d2, d3, d4) + 1e-9 THEN 0 WHEN least(d1, d2) <= least(d3, d4) + 1e-9 THEN 0.5 ELSE 1 END::DOUBLE"
 
 
-def gated_ctes(spec: EncoderSpec, cfg: ReuseConfig, modules: list[dict], waves: int) -> str:
-    """z (v, f, e) and reused (v, f, n): the gated encode of tok under the plan pl (v, f, ft, past, future, wave); kinds are I, P, B2, B1."""
+def gated_ctes(spec: EncoderSpec, cfg: ReuseConfig, modules: list[dict] | None, waves: int) -> str:
+    """z (v, f, e) and reused (v, f, n): the gated encode of tok under the plan pl (v, f, ft, past, future, wave); kinds are I, P, B2, B1.
+
+    The fixed gates (mse, budget) take no modules and correct nothing.
+    """
     d, n = spec.dim, spec.n_tokens
     parts = _start(spec)
     for side in ("past", "future"):
         parts.append(f"ht_{side} AS MATERIALIZED (SELECT v, f, t, {MOTION} AS motion, d0 / {spec.in_dim} AS residual FROM (SELECT v, f, t, {hints_cte(spec.in_dim)} FROM (SELECT c.v, c.f, c.t, c.raw AS a, r.raw AS b FROM tok c JOIN pl ON pl.v = c.v AND pl.f = c.f JOIN tok r ON r.v = c.v AND r.f = pl.{side} AND r.t = c.t)))")
     for k in range(spec.layers):
         last = k + 1 == spec.layers
-        m = modules[k]
+        m = modules[k] if cfg.gate == "learned" else None
         parts += _attended(spec, k)
         fresh = f"SELECT h{k}.v, h{k}.f, h{k}.t, ft, h, branch, q, false AS reused FROM h{k} JOIN pl ON pl.v = h{k}.v AND pl.f = h{k}.f WHERE wave = 0"
         parts.append(f"r{k}_0 AS MATERIALIZED ({fresh})")
@@ -132,11 +142,18 @@ def gated_ctes(spec: EncoderSpec, cfg: ReuseConfig, modules: list[dict], waves:
             sims = f"SELECT *, CASE WHEN p_h IS NULL THEN -1 ELSE {_cosine('h', 'p_h')} END AS sp, CASE WHEN u_h IS NULL THEN -1 ELSE {_cosine('h', 'u_h')} END AS su FROM ({side})"
             ref = f"SELECT v, f, t, ft, h, imp, branch, q, greatest(sp, su) AS s, {pick('h')} AS r_h, {pick('b')} AS r_b, {pick('q')} AS r_q, {pick('ft')} AS r_ft, {pick('m')} AS r_m, {pick('r')} AS r_r FROM (SELECT *, su > sp + 1e-9 AS ahead FROM ({sims}))"
             feats = f"SELECT *, [s, imp, (r_ft = 'I')::DOUBLE, (r_ft = 'P')::DOUBLE, (r_ft = 'B2')::DOUBLE, (r_ft = 'B1')::DOUBLE, r_m, r_r] AS feat, list_transform(range(1, {d + 1}), lambda i: h[i] - r_h[i]) AS delta FROM ({ref})"
-            hidden = f"SELECT *, list_transform(range(1, {len(m['gb1']) + 1}), lambda i: greatest(list_dot_product(feat, {_literal(m['g1'])}[i]) + {_literal(m['gb1'])}[i], 0)) AS gate_, list_transform(range(1, {len(m['cb1']) + 1}), lambda i: greatest(list_dot_product(delta, {_literal(m['c1'])}[i]) + {_literal(m['cb1'])}[i], 0)) AS cal_ FROM ({feats})"
-            wide = len(m["cb2"])
-            decided = f"SELECT *, t > 0 AND list_dot_product(gate_, {_literal(m['g2'][:, 0])}) + {float(m['gb2'][0]):.17g}::DOUBLE + {cfg.shift}::DOUBLE > 0 AS reused, list_transform(range(1, {wide + 1}), lambda i: list_dot_product(cal_, {_literal(m['c2'])}[i]) + {_literal(m['cb2'])}[i]) AS extra FROM ({hidden})"
-            branch = _plus("r_b", "extra", d) if last else "r_b"
-            q = "q" if last else f"CASE WHEN reused THEN {_plus('r_q', 'extra', 3 * d)} ELSE q END"
+            if m is None:
+                change = f"SELECT *, list_dot_product(delta, delta) / {d} AS change FROM ({feats})"
+                place = "row_number() OVER (PARTITION BY v, f ORDER BY t = 0 DESC, change DESC, t)"
+                test = f"change < {cfg.theta}::DOUBLE" if cfg.gate == "mse" else f"{place} > {cfg.budget + 1}"
+                decided = f"SELECT *, t > 0 AND {test} AS reused FROM ({change})"
+                branch, q = "r_b", "q" if last else "CASE WHEN reused THEN r_q ELSE q END"
+            else:
+                hidden = f"SELECT *, list_transform(range(1, {len(m['gb1']) + 1}), lambda i: greatest(list_dot_product(feat, {_literal(m['g1'])}[i]) + {_literal(m['gb1'])}[i], 0)) AS gate_, list_transform(range(1, {len(m['cb1']) + 1}), lambda i: greatest(list_dot_product(delta, {_literal(m['c1'])}[i]) + {_literal(m['cb1'])}[i], 0)) AS cal_ FROM ({feats})"
+                wide = len(m["cb2"])
+                decided = f"SELECT *, t > 0 AND list_dot_product(gate_, {_literal(m['g2'][:, 0])}) + {float(m['gb2'][0]):.17g}::DOUBLE + {cfg.shift}::DOUBLE > 0 AS reused, list_transform(range(1, {wide + 1}), lambda i: list_dot_product(cal_, {_literal(m['c2'])}[i]) + {_literal(m['cb2'])}[i]) AS extra FROM ({hidden})"
+                branch = _plus("r_b", "extra", d) if last else "r_b"
+                q = "q" if last else f"CASE WHEN reused THEN {_plus('r_q', 'extra', 3 * d)} ELSE q END"
             parts.append(f"r{k}_{wv} AS MATERIALIZED (SELECT * FROM r{k}_{wv - 1} UNION ALL SELECT v, f, t, ft, h, CASE WHEN reused THEN {branch} ELSE branch END, {q}, reused FROM ({decided}))")
         parts.append(f"q{k + 1} AS MATERIALIZED (SELECT v, f, t, {_plus('h', 'branch', d)} AS x, q FROM r{k}_{waves - 1})")
     counts = " UNION ALL ".join(f"SELECT v, f, reused FROM r{k}_{waves - 1} WHERE t > 0" for k in range(spec.layers))

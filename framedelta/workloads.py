@@ -305,7 +305,7 @@ def gate_mlp_literal(spark, sf):
     start = (F.pmod(F.col("frame_no") - 2, F.lit(20)) == 0).cast("double")
     zero = F.lit(0.0)
     feat = F.array(V.cosine(F.col("v"), F.col("r")), zero, start, 1 - start, zero, zero, motion, residual)
-    d = V.mlp(feat, modules("activity")[0], "g1", "gb1", "g2", "gb2")[0]
+    d = F.transform(F.array(feat), lambda v: V.mlp(v, modules("activity")[0], "g1", "gb1", "g2", "gb2")[0])[0]  # the inputs are worked out once, not for each hidden unit
     return x.select("video_id", "frame_no", "token_no", d.alias("d")).select("video_id", "frame_no", "token_no", F.round("d", 5).alias("logit"), (F.col("d") > 0).alias("reuse"))
 
 
