@@ -275,16 +275,29 @@ def is_train(video_id="video_id"):
     return F.pmod(F.xxhash64(F.lit("split"), F.col(video_id).cast("bigint")), F.lit(1000)) < TRAIN_PER_MILLE
 
 
-def sample_groups(frames: DataFrame, spec: EncoderSpec, segments: int, most: int, reset_every: int = 20, scheme: str = "reordered") -> np.ndarray:
-    """(groups, frames, N, in_dim) of at most `most` groups from whole training videos; `most` bounds what reaches the driver."""
+def whole_groups(frames: DataFrame, spec: EncoderSpec, segments: int, reset_every: int = 20, scheme: str = "reordered") -> DataFrame:
+    """(video_id, e, m: tokens by place) of every epoch of a training video that has all frames of a group."""
     offsets, _, _ = group_refs(segments, scheme)
     pos = F.pmod(F.col("frame_no") - 1, F.lit(reset_every))
     x = frames.where(is_train()).select("video_id", F.floor((F.col("frame_no") - 1) / reset_every).alias("e"), pos.alias("pos"), "tokens").where(F.col("pos").isin(offsets))
-    g = x.groupBy("video_id", "e").agg(F.map_from_entries(F.collect_list(F.struct("pos", "tokens"))).alias("m"), F.count(F.lit(1)).alias("n")).where(F.col("n") == len(offsets))
-    rows = g.orderBy(F.xxhash64("video_id", "e")).limit(most).collect()
+    return x.groupBy("video_id", "e").agg(F.map_from_entries(F.collect_list(F.struct("pos", "tokens"))).alias("m"), F.count(F.lit(1)).alias("n")).where(F.col("n") == len(offsets)).drop("n")
+
+
+def sample_groups(frames: DataFrame, spec: EncoderSpec, segments: int, most: int, reset_every: int = 20, scheme: str = "reordered") -> np.ndarray:
+    """(groups, frames, N, in_dim) of at most `most` groups from whole training videos; `most` bounds what reaches the driver."""
+    offsets, _, _ = group_refs(segments, scheme)
+    rows = whole_groups(frames, spec, segments, reset_every, scheme).orderBy(F.xxhash64("video_id", "e")).limit(most).collect()
     return np.array([[np.reshape(r["m"][o], (spec.n_tokens, spec.in_dim)) for o in offsets] for r in rows])
 
 
+def adam(values: list[np.ndarray], grads: list, m1: list, m2: list, step: int, rate: float) -> None:
+    """One step on the values, in place."""
+    for i, g in enumerate(grads):
+        m1[i] = 0.9 * m1[i] + 0.1 * g
+        m2[i] = 0.99 * m2[i] + 0.01 * g * g
+        values[i] -= rate * (m1[i] / (1 - 0.9**step)) / (np.sqrt(m2[i] / (1 - 0.99**step)) + 1e-8)
+
+
 def fit_reuse(groups: np.ndarray, spec: EncoderSpec, r_target: float = 0.6, alpha: float = 1.0, steps: int = 120, rate: float = 0.01, segments: int = 3, seed: int = 5, batch: int = 64, tau: tuple[float, float] = (5.0, 0.2), cos_target: float | None = None, scheme: str = "reordered", calibrator: bool = True) -> tuple[list[dict], list[tuple]]:
     """(modules, log of (step, loss, cosine, soft reuse, temperature)): Adam on the gates and calibrators alone."""
     _, refs, ftype = group_refs(segments, scheme)
@@ -301,15 +314,90 @@ def fit_reuse(groups: np.ndarray, spec: EncoderSpec, r_target: float = 0.6, alph
         for v in flat:
             v.g = None
         backward(loss)
-        for i, v in enumerate(flat):
-            g = v.g if v.g is not None else 0.0
-            m1[i] = 0.9 * m1[i] + 0.1 * g
-            m2[i] = 0.99 * m2[i] + 0.01 * g * g
-            v.v = v.v - rate * (m1[i] / (1 - 0.9**step)) / (np.sqrt(m2[i] / (1 - 0.99**step)) + 1e-8)
+        adam([v.v for v in flat], [v.g if v.g is not None else 0.0 for v in flat], m1, m2, step, rate)
         log.append((step, float(loss.v), cos, reuse, t))
     return [{k: v.v for k, v in p.items()} for p in params], log
 
 
+def gradients(groups: np.ndarray, keys: list[tuple[int, int]], spec: EncoderSpec, modules: list[dict], tau: float, seed: int, step: int, segments: int = 3, scheme: str = "reordered", calibrator: bool = True) -> tuple[float, float, np.ndarray, np.ndarray]:
+    """Sums over the groups: cosine, soft reuse, and the gradients of minus either by all weights in one vector.
+
+    A group's noise comes from its key (video, epoch), so sums do not depend on how groups are split, and a repeated task gives the same.
+    """
+    _, refs, ftype = group_refs(segments, scheme)
+    exact = np.array([kernel.exact(g, spec) for g in groups])
+    draw = [np.random.default_rng([seed, step, *(k % 2**63 for k in key)]).uniform(1e-9, 1 - 1e-9, (spec.layers, groups.shape[1], spec.n_tokens)) for key in keys]
+    u = np.stack(draw, 2)
+    noise = np.log(u) - np.log1p(-u)
+    found = []
+    for alpha in (0.0, 1.0):  # without and with minus the reuse, which a target out of reach keeps in the loss
+        params = [{k: Var(v) for k, v in m.items()} for m in modules]
+        loss, cos, reuse = group_loss(groups, refs, ftype, spec, params, exact, tau, noise, 2.0, alpha, calibrator=calibrator)
+        backward(loss)
+        found.append(np.concatenate([(v.g if v.g is not None else np.zeros_like(v.v)).ravel() for p in params for v in p.values()]))
+    n = len(groups)
+    return cos * n, reuse * n, found[0] * n, (found[1] - found[0]) * n
+
+
+def fit_reuse_distributed(frames: DataFrame, spec: EncoderSpec, r_target: float = 0.6, alpha: float = 1.0, steps: int = 120, rate: float = 0.01, segments: int = 3, seed: int = 5, share: float = 1.0, tau: tuple[float, float] = (5.0, 0.2), cos_target: float | None = None, scheme: str = "reordered", calibrator: bool = True, reset_every: int = 20, partitions: int | None = None, at_once: int = 64) -> tuple[list[dict], list[tuple]]:
+    """fit_reuse over every training group of the table, or each step over a hashed `share` of them: tasks send sums of gradients.
+
+    Groups are written once. Of each step the driver gets one number pair for each weight, whatever the number of groups. Log as of fit_reuse.
+    """
+    import pyarrow as pa
+
+    from .encode import encode_partitions, ship
+    from .store import written
+
+    spark = frames.sparkSession
+    ship(spark)
+    offsets, _, _ = group_refs(segments, scheme)
+    tokens = F.array(*[F.element_at("m", F.lit(o).cast("int")) for o in offsets])
+    rows = whole_groups(frames, spec, segments, reset_every, scheme).select(F.col("video_id").cast("bigint").alias("video_id"), F.col("e").cast("bigint").alias("e"), F.flatten(tokens).alias("raw"))
+    rows = written(rows, "groups").repartition(partitions or encode_partitions(frames), "video_id", "e").sortWithinPartitions("video_id", "e")
+    rows = written(rows, "dealt-groups")
+    if rows.isEmpty():
+        raise ValueError("no whole group of frames to learn from")
+    modules = kernel.new_modules(spec, seed)
+    flat = [v for m in modules for v in m.values()]
+    cuts = np.cumsum([v.size for v in flat])[:-1]
+    m1, m2, log = [np.zeros_like(v) for v in flat], [np.zeros_like(v) for v in flat], []
+    for step in range(1, steps + 1):
+        t = tau[0] * (tau[1] / tau[0]) ** (step / steps)
+        sent = spark.sparkContext.broadcast(modules)
+
+        def sums(batches, sent=sent, t=t, step=step):
+            total = None
+            for b in batches:
+                for at in range(0, b.num_rows, at_once):
+                    x = b.slice(at, at_once)
+                    keys = list(zip(x.column("video_id").to_pylist(), x.column("e").to_pylist(), strict=True))
+                    raw = np.array(x.column("raw").to_pylist(), float).reshape(len(keys), len(offsets), spec.n_tokens, spec.in_dim)
+                    cos, reuse, g_cos, g_reuse = gradients(raw, keys, spec, sent.value, t, seed, step, segments, scheme, calibrator)
+                    part = np.stack([np.append(g_cos, [cos, len(keys)]), np.append(g_reuse, [reuse, len(keys)])])
+                    total = part if total is None else total + part
+            if total is not None:
+                yield pa.RecordBatch.from_arrays([pa.array(np.arange(total.shape[1])), pa.array(total[0]), pa.array(total[1])], ["i", "a", "b"])
+
+        taken = rows if share >= 1 else rows.where(F.pmod(F.xxhash64(F.lit(seed), F.lit(step), "video_id", "e"), F.lit(1_000_000)) < int(share * 1_000_000))
+        got = taken.mapInArrow(sums, "i bigint, a double, b double").groupBy("i").agg(F.sum("a").alias("a"), F.sum("b").alias("b")).collect()
+        sent.unpersist()
+        if not got:  # no group in this step's share
+            continue
+        x = np.array([(r["a"], r["b"]) for r in sorted(got, key=lambda r: r["i"])]).T
+        x = x[:, :-1] / x[0, -1]
+        cos, reuse = x[:, -1]
+        if cos_target is None:
+            short, grad = r_target - reuse, x[0, :-1] + (alpha if reuse < r_target else 0.0) * x[1, :-1]
+            loss = 1 - cos + alpha * max(short, 0.0)
+        else:
+            short, grad = cos_target - cos, x[1, :-1] + (alpha if cos < cos_target else 0.0) * x[0, :-1]
+            loss = -reuse + alpha * max(short, 0.0)
+        adam(flat, [g.reshape(v.shape) for g, v in zip(np.split(grad, cuts), flat, strict=True)], m1, m2, step, rate)
+        log.append((step, float(loss), float(cos), float(reuse), t))
+    return modules, log
+
+
 def sweep(groups: np.ndarray, spec: EncoderSpec, r_targets: list[float], **options) -> dict[float, tuple[list[dict], list[tuple]]]:
     """A fit for each target: points of the trade-off."""
     return {r: fit_reuse(groups, spec, r, **options) for r in r_targets}

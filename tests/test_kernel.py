@@ -116,3 +116,45 @@ def test_training_lowers_the_loss():
     g = np.stack([video(6, s) for s in range(40)])
     _, log = training.fit_reuse(g, SPEC, r_target=0.6, steps=40, batch=40)
     assert np.mean([x[1] for x in log[-5:]]) < np.mean([x[1] for x in log[:5]])
+
+
+def test_distributed_gradients(spark, small):
+    """Gradients summed over tasks are those of all groups at once, for any number of tasks, and descent on them learns."""
+    from framedelta.sources import frames as S
+
+    f = S.activity(spark, small)
+    spec = EncoderSpec.preset("tiny")
+    one, log = training.fit_reuse_distributed(f, spec, steps=2, segments=1, partitions=1)
+    many, again = training.fit_reuse_distributed(f, spec, steps=2, segments=1, partitions=5, at_once=7)
+    for a, b in zip(one, many, strict=True):
+        for k in a:
+            assert np.allclose(a[k], b[k], atol=1e-8), k
+    assert np.allclose(log, again)
+
+    rows = training.whole_groups(f, spec, 1).orderBy("video_id", "e").collect()
+    offsets, refs, ftype = training.group_refs(1)
+    raw = np.array([[np.reshape(r["m"][o], (spec.n_tokens, spec.in_dim)) for o in offsets] for r in rows])
+    modules = kernel.new_modules(spec, 5)
+    cos, reuse, g_cos, g_reuse = training.gradients(raw, [(r.video_id, r.e) for r in rows], spec, modules, log[0][-1], 5, 1, 1)
+    n = len(rows)
+    assert np.isclose(log[0][2], cos / n) and np.isclose(log[0][3], reuse / n) and np.isclose(log[0][1], 1 - cos / n + max(0, 0.6 - reuse / n))
+    # a step along the gradient lowers what it is the gradient of
+    for g, at, sign in ((g_cos, 0, 1), (g_reuse, 1, 1)):
+        moved, places = [], 0
+        for m in modules:
+            moved.append({})
+            for k, v in m.items():
+                moved[-1][k] = v - sign * 1e-3 * g[places : places + v.size].reshape(v.shape) / (np.linalg.norm(g) + 1e-12)
+                places += v.size
+        new = training.gradients(raw, [(r.video_id, r.e) for r in rows], spec, moved, log[0][-1], 5, 1, 1)
+        assert new[at] > (cos, reuse)[at]
+
+
+def test_distributed_training_of_a_share(spark, small):
+    from framedelta.sources import frames as S
+
+    f = S.activity(spark, small)
+    _, log = training.fit_reuse_distributed(f, EncoderSpec.preset("tiny"), steps=4, segments=1, share=0.5, cos_target=0.9, partitions=2)
+    assert len(log) == 4 and all(np.isfinite(x).all() for x in np.array(log))
+    with pytest.raises(ValueError):
+        training.fit_reuse_distributed(f.where("false"), EncoderSpec.preset("tiny"), steps=1)
