@@ -139,6 +139,22 @@ def gate_features(spark, sf):
     return compared(S.activity(spark, sf), TINY, {n: [ReuseConfig(features=x), "activity"] for n, x in ways.items()})
 
 
+@query()
+def own_type_gate(spark, sf):
+    """Gates fitted with and without the type of their own frame, on the same bounded sample."""
+    f = S.activity(spark, sf)
+    g = training.sample_groups(f, TINY, 3, 200)
+    fit = lambda own: training.fit_reuse(g, TINY, steps=60, own_type=own)[0]
+    return compared(f, TINY, {"reference's type": [ReuseConfig(), fit(False)], "reference's and own type": [ReuseConfig(own_type=True), fit(True)]})
+
+
+@query()
+def distributed_training(spark, sf):
+    """step, loss, cosine, reuse and temperature of a short fit over all training groups, a quarter of them in each step."""
+    _, log = training.fit_reuse_distributed(S.activity(spark, sf), TINY, steps=20, share=0.25)
+    return spark.createDataFrame([(int(a), *map(float, x)) for a, *x in log], "step int, loss double, cosine double, reuse double, temperature double")
+
+
 # ---- trade-offs -----------------------------------------------------------------------------------------------------
 
 

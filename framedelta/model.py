@@ -51,6 +51,7 @@ class ReuseConfig:
     budget: int = 2
     reference: str = "previous"  # of the budget gate; or last_fresh
     features: str = "strc"  # of the learned gate: similarity, importance, reference type, codec hints
+    own_type: bool = False  # the learned gate also sees the type of its own frame; trained weights say so themselves
     calibrator: bool = True
     residual: str = "current"  # or cached
     schedule: str = "layer"  # or frame

@@ -119,7 +119,7 @@ def gated_encode(frames: DataFrame, spec: EncoderSpec, cfg: ReuseConfig, modules
         return full_encode(frames, spec)
     spark = frames.sparkSession
     ship(spark)
-    modules = modules if modules is not None else (kernel.new_modules(spec) if cfg.gate == "learned" or cfg.calibrator else None)
+    modules = modules if modules is not None else (kernel.new_modules(spec, own_type=cfg.own_type) if cfg.gate == "learned" or cfg.calibrator else None)
     sent = spark.sparkContext.broadcast(modules)
     rows = colocated(check_frames(frames, spec), cfg, partitions)
     at_once = cfg.epochs_at_once(spec)
@@ -138,7 +138,7 @@ def gated_encode(frames: DataFrame, spec: EncoderSpec, cfg: ReuseConfig, modules
         done = kernel.gated(raw, past, future, kind, wave, spec, cfg, sent.value, order, more=tuple(more))
         keep = np.flatnonzero(~halo)
         n_refs = sum((r >= 0).astype(int) for r in (past, future, *more))
-        flops = kernel.flops_gated(spec, done.reuse.sum(2), cfg.gate, cfg.calibrator and sent.value is not None, n_refs)
+        flops = kernel.flops_gated(spec, done.reuse.sum(2), cfg.gate, cfg.calibrator and sent.value is not None, n_refs, inputs=len(sent.value[0]["g1"]) if sent.value is not None else kernel.INPUTS)
         rate = done.reuse[:, :, 1:].mean((1, 2))
         cols = [pa.array(video[keep]), pa.array(no[keep].astype(np.int32)), _lists(done.emb[keep]), pa.array(rate[keep]), pa.array(flops[keep])]
         names = ["video_id", "frame_no", "emb", "reuse_rate", "flops"]

@@ -17,6 +17,8 @@ from ..model import TYPES, EncoderSpec, ReuseConfig, backbone
 _WEIGHTS: dict = {}
 #: Similarities no further apart are equal, or round-off would choose between references of the same content.
 TIE = 1e-9
+#: Inputs of a gate; one that also sees the type of its own frame has four more, and is known by that.
+INPUTS = 8
 
 
 def weights_of(spec: EncoderSpec) -> dict:
@@ -83,13 +85,13 @@ def codec_hints(raw: np.ndarray, ref: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return np.abs(np.array(shifts))[dist.argmin(0)] / 2, np.abs(raw - ref).mean(-1)
 
 
-def new_modules(spec: EncoderSpec, seed: int = 1, hidden: int = 16) -> list[dict]:
-    """Untrained gate and calibrator weights of each layer: the gate leans on similarity, the calibrator adds nothing."""
+def new_modules(spec: EncoderSpec, seed: int = 1, hidden: int = 16, own_type: bool = False) -> list[dict]:
+    """Untrained gate and calibrator weights of each layer: the gate leans on similarity, the calibrator adds nothing. With own_type the gate has four more inputs."""
     r = np.random.default_rng(seed)
     out = []
     for layer in range(spec.layers):
         wide = spec.dim * (3 if layer + 1 < spec.layers else 1)
-        g1 = r.normal(size=(8, hidden)) * 0.3
+        g1 = r.normal(size=(INPUTS + 4 * own_type, hidden)) * 0.3
         g1[0, 0] = 6.0
         b1 = np.zeros(hidden)
         b1[0] = -5.4
@@ -103,12 +105,13 @@ def calibrate(delta: np.ndarray, m: dict) -> np.ndarray:
     return np.maximum(delta @ m["c1"] + m["cb1"], 0) @ m["c2"] + m["cb2"]
 
 
-def gate_features(s, t, ref_type, motion, residual, which: str = "strc") -> np.ndarray:
-    """(…, 8): similarity, importance, one-hot reference type, motion and residual; dropped ones are 0."""
+def gate_features(s, t, ref_type, motion, residual, which: str = "strc", own=None) -> np.ndarray:
+    """(…, 8): similarity, importance, one-hot reference type, motion and residual; dropped ones are 0. With own, the frames' types, (…, 12)."""
     one = np.eye(4)[ref_type]
     v = np.concatenate([s[..., None], t[..., None], one, motion[..., None], residual[..., None]], -1)
     keep = np.array([c in which for c in "strrrrcc"], float)
-    return v * keep
+    v = v * keep
+    return v if own is None else np.concatenate([v, np.broadcast_to(np.eye(4)[own], (*v.shape[:-1], 4))], -1)
 
 
 def gate_logit(v: np.ndarray, m: dict) -> np.ndarray:
@@ -130,7 +133,7 @@ def flops_exact(spec: EncoderSpec) -> int:
     return spec.layers * (n * 24 * d * d + 4 * n * n * d)
 
 
-def flops_gated(spec: EncoderSpec, reused: np.ndarray, gate: str = "learned", calibrator: bool = True, refs: np.ndarray | int = 2, hidden: int = 16) -> np.ndarray:
+def flops_gated(spec: EncoderSpec, reused: np.ndarray, gate: str = "learned", calibrator: bool = True, refs: np.ndarray | int = 2, hidden: int = 16, inputs: int = INPUTS) -> np.ndarray:
     """Of frames with `reused` (F, layers) tokens and `refs` references each; frames without references have no gate."""
     n, d, total = spec.n_tokens, spec.dim, 6 * spec.n_tokens * spec.dim**2
     out = np.full(len(reused), float(total))
@@ -142,7 +145,7 @@ def flops_gated(spec: EncoderSpec, reused: np.ndarray, gate: str = "learned", ca
         out += 4 * n * n * d + 2 * n * d * d + per * d * d * (n - r)
         wide = 3 * d if layer + 1 < spec.layers else d
         if gate == "learned":
-            out += gated * (n - 1) * (2 * 8 * hidden + 2 * hidden + refs * 6 * d)
+            out += gated * (n - 1) * (2 * inputs * hidden + 2 * hidden + refs * 6 * d)
         elif gate in ("mse", "budget"):
             out += gated * (n - 1) * 3 * d
         if calibrator:
@@ -216,7 +219,8 @@ def gated(raw: np.ndarray, past: np.ndarray, future: np.ndarray, ftype: np.ndarr
             if not hints:
                 hints.extend(codec_hints(raw, raw[np.maximum(r, 0)]) for r in refs)
             motion, residual = (np.select([which == k for k in range(len(refs))], [hints[k][i][idx] for k in range(len(refs))]) for i in (0, 1))
-            v = gate_features(best, t, ftype[np.maximum(ref, 0)], motion, residual, cfg.features)
+            own = ftype[idx][:, None] if len(modules[layer]["g1"]) > INPUTS else None
+            v = gate_features(best, t, ftype[np.maximum(ref, 0)], motion, residual, cfg.features, own)
             mask = gate_logit(v, modules[layer]) + cfg.shift > 0
         mask = mask & any_ref
         mask[:, 0] = False

@@ -61,6 +61,14 @@ def cache_trace(spark: SparkSession, spec: EncoderSpec, frames: int = 5, segment
     return x.withColumns({"alloc": alloc.cast("bigint"), "free": free.cast("bigint")}).withColumn("live_units", live)
 
 
+def reuse_sites(spark: SparkSession, spec: EncoderSpec) -> DataFrame:
+    """layer, part, reusable, flops of a token: which parts of each layer may be reused. Parts that mix tokens are computed, and so is the first QKV, which no class attention precedes."""
+    n, d = spec.n_tokens, spec.dim
+    parts = {"qkv": 6 * d * d, "attention": 4 * n * d, "projection": 2 * d * d, "ffn": 4 * spec.ffn_mult * d * d}
+    rows = [(layer, part, part == "ffn" or (part == "qkv" and layer > 0), flops) for layer in range(spec.layers) for part, flops in parts.items()]
+    return spark.createDataFrame(rows, "layer int, part string, reusable boolean, flops bigint")
+
+
 def max_batch(spark: SparkSession, cap_bytes: int, spec: EncoderSpec, fixed_bytes: int = 0, bytes_per: int = 2) -> DataFrame:
     """Videos that fit at once under a memory cap, with and without freed caches: peaks of 5 L and L + 4 units."""
     unit = spec.n_tokens * 4 * spec.dim * bytes_per

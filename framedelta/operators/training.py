@@ -203,7 +203,8 @@ def group_loss(raw: np.ndarray, refs: list[tuple[int, int]], ftype: np.ndarray,
                 hints = [kernel.codec_hints(raw[:, f], raw[:, r]) if r >= 0 else (np.zeros((groups, n)),) * 2 for r in (a, b)]
                 motion, residual = (np.where(ahead, hints[1][i], hints[0][i]) for i in range(2))
                 kind = np.where(ahead, ftype[max(b, 0)], ftype[max(a, 0)])
-                v = kernel.gate_features(np.maximum(*sims), t, kind, motion, residual)
+                own = np.full((groups, n), ftype[f]) if len(value(p["g1"])) > kernel.INPUTS else None
+                v = kernel.gate_features(np.maximum(*sims), t, kind, motion, residual, own=own)
                 logit = take(add(matmul(relu(add(matmul(v, p["g1"]), p["gb1"])), p["g2"]), p["gb2"]), (..., 0))
                 body = np.ones((1, n))
                 body[0, 0] = 0  # the class token is always computed
@@ -298,11 +299,11 @@ def adam(values: list[np.ndarray], grads: list, m1: list, m2: list, step: int, r
         values[i] -= rate * (m1[i] / (1 - 0.9**step)) / (np.sqrt(m2[i] / (1 - 0.99**step)) + 1e-8)
 
 
-def fit_reuse(groups: np.ndarray, spec: EncoderSpec, r_target: float = 0.6, alpha: float = 1.0, steps: int = 120, rate: float = 0.01, segments: int = 3, seed: int = 5, batch: int = 64, tau: tuple[float, float] = (5.0, 0.2), cos_target: float | None = None, scheme: str = "reordered", calibrator: bool = True) -> tuple[list[dict], list[tuple]]:
+def fit_reuse(groups: np.ndarray, spec: EncoderSpec, r_target: float = 0.6, alpha: float = 1.0, steps: int = 120, rate: float = 0.01, segments: int = 3, seed: int = 5, batch: int = 64, tau: tuple[float, float] = (5.0, 0.2), cos_target: float | None = None, scheme: str = "reordered", calibrator: bool = True, own_type: bool = False) -> tuple[list[dict], list[tuple]]:
     """(modules, log of (step, loss, cosine, soft reuse, temperature)): Adam on the gates and calibrators alone."""
     _, refs, ftype = group_refs(segments, scheme)
     exact = np.array([kernel.exact(g, spec) for g in groups])
-    params = [{k: Var(v) for k, v in m.items()} for m in kernel.new_modules(spec, seed)]
+    params = [{k: Var(v) for k, v in m.items()} for m in kernel.new_modules(spec, seed, own_type=own_type)]
     flat = [v for p in params for v in p.values()]
     m1, m2, log = [np.zeros_like(v.v) for v in flat], [np.zeros_like(v.v) for v in flat], []
     rnd = np.random.default_rng(seed)
@@ -339,7 +340,7 @@ def gradients(groups: np.ndarray, keys: list[tuple[int, int]], spec: EncoderSpec
     return cos * n, reuse * n, found[0] * n, (found[1] - found[0]) * n
 
 
-def fit_reuse_distributed(frames: DataFrame, spec: EncoderSpec, r_target: float = 0.6, alpha: float = 1.0, steps: int = 120, rate: float = 0.01, segments: int = 3, seed: int = 5, share: float = 1.0, tau: tuple[float, float] = (5.0, 0.2), cos_target: float | None = None, scheme: str = "reordered", calibrator: bool = True, reset_every: int = 20, partitions: int | None = None, at_once: int = 64) -> tuple[list[dict], list[tuple]]:
+def fit_reuse_distributed(frames: DataFrame, spec: EncoderSpec, r_target: float = 0.6, alpha: float = 1.0, steps: int = 120, rate: float = 0.01, segments: int = 3, seed: int = 5, share: float = 1.0, tau: tuple[float, float] = (5.0, 0.2), cos_target: float | None = None, scheme: str = "reordered", calibrator: bool = True, reset_every: int = 20, partitions: int | None = None, at_once: int = 64, own_type: bool = False) -> tuple[list[dict], list[tuple]]:
     """fit_reuse over every training group of the table, or each step over a hashed `share` of them: tasks send sums of gradients.
 
     Groups are written once. Of each step the driver gets one number pair for each weight, whatever the number of groups. Log as of fit_reuse.
@@ -358,7 +359,7 @@ def fit_reuse_distributed(frames: DataFrame, spec: EncoderSpec, r_target: float
     rows = written(rows, "dealt-groups")
     if rows.isEmpty():
         raise ValueError("no whole group of frames to learn from")
-    modules = kernel.new_modules(spec, seed)
+    modules = kernel.new_modules(spec, seed, own_type=own_type)
     flat = [v for m in modules for v in m.values()]
     cuts = np.cumsum([v.size for v in flat])[:-1]
     m1, m2, log = [np.zeros_like(v) for v in flat], [np.zeros_like(v) for v in flat], []

@@ -319,6 +319,13 @@ def layer_flops(spark, sf):
     return measures.layer_flops(spark, PRESETS)
 
 
+@query("""WITH l AS (SELECT CAST(r AS INT) AS layer FROM range(0, 24) t(r)), p(part, per) AS (VALUES ('qkv', 1024 * 3 * 1024 * 2), ('attention', 2 * 257 * 1024 * 2), ('projection', 1024 * 1024 * 2), ('ffn', 2 * 1024 * 4096 * 2))
+SELECT layer, part, part IN ('qkv', 'ffn') AND NOT (part = 'qkv' AND layer = 0) AS reusable, CAST(per AS BIGINT) AS flops FROM l, p""")
+def reuse_sites(spark, sf):
+    """What of the large encoder's layers may be reused."""
+    return measures.reuse_sites(spark, PRESETS["large"])
+
+
 @query("SELECT CAST(k AS INT) AS reset_every, 0.61 * 0.88 / k AS overhead FROM (VALUES (4), (8), (12), (20), (40)) t(k)".replace("0.61 * 0.88", "(CAST(0.61 AS DOUBLE) * CAST(0.88 AS DOUBLE))"))
 def reset_overhead(spark, sf):
     return measures.reset_overhead(spark, [4, 8, 12, 20, 40], 0.61, 0.88)

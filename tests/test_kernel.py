@@ -158,3 +158,23 @@ def test_distributed_training_of_a_share(spark, small):
     assert len(log) == 4 and all(np.isfinite(x).all() for x in np.array(log))
     with pytest.raises(ValueError):
         training.fit_reuse_distributed(f.where("false"), EncoderSpec.preset("tiny"), steps=1)
+
+
+@pytest.mark.parametrize("schedule", ["layer", "frame"])
+def test_own_type_is_an_input(schedule):
+    """Four more weights a hidden unit; with zeros there the decisions are those without, and a type can be barred from reuse."""
+    raw, m = video(), kernel.new_modules(SPEC)
+    wide = [{**x, "g1": np.vstack([x["g1"], np.zeros((4, x["g1"].shape[1]))])} for x in m]
+    past, future, kind, wave = plan()
+    run = lambda w: kernel.gated(raw, past, future, kind, wave, SPEC, ReuseConfig(schedule=schedule), w)
+    a, b = run(m), run(wide)
+    assert np.array_equal(a.reuse, b.reuse) and np.allclose(a.emb, b.emb)
+    for x in wide:
+        x["g1"][kernel.INPUTS + 3] = -1e3  # B1 frames: no hidden unit fires
+        x["gb2"] = np.array([-0.5])
+    c = run(wide)
+    assert not c.reuse[kind == 3].any() and c.reuse[kind == 1].any()
+    assert [x["g1"].shape[0] for x in kernel.new_modules(SPEC, own_type=True)] == [kernel.INPUTS + 4] * SPEC.layers
+    g = np.stack([video(6, s) for s in range(12)])
+    found, log = training.fit_reuse(g, SPEC, steps=5, batch=12, own_type=True)
+    assert found[0]["g1"].shape[0] == 12 and np.isfinite(log[-1][1])

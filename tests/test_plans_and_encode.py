@@ -147,7 +147,7 @@ def plain(x):
     return round(x, 6) + 0.0 if isinstance(x, float) else x
 
 
-@pytest.mark.parametrize("name", ["plan_reordered", "plan_tail_short_anchor", "training_groups_g3", "mse_gate_map", "budget_gate_map", "cache_trace", "retrieval_top5", "grounding_spans", "frames_morph", "frames_prose", "frames_pages", "frames_talk", "codec_hints", "ref_choice", "gate_mlp_literal", "compaction_positions", "cache_peak", "exact_embedding", "gated_embedding", "mse_gated_embedding", "budget_gated_embedding", "pruned_embedding", "temporal_merge_embedding", "cache_hits", "filtered_retrieval", "dedup_encode", "task_flops_share", "event_sessions", "event_frames_sliding", "event_props"])
+@pytest.mark.parametrize("name", ["plan_reordered", "plan_tail_short_anchor", "training_groups_g3", "mse_gate_map", "budget_gate_map", "cache_trace", "retrieval_top5", "grounding_spans", "frames_morph", "frames_prose", "frames_pages", "frames_talk", "codec_hints", "ref_choice", "gate_mlp_literal", "compaction_positions", "cache_peak", "exact_embedding", "gated_embedding", "mse_gated_embedding", "budget_gated_embedding", "pruned_embedding", "temporal_merge_embedding", "cache_hits", "reuse_sites", "filtered_retrieval", "dedup_encode", "task_flops_share", "event_sessions", "event_frames_sliding", "event_props"])
 def test_oracles(spark, small, name):
     con = duckdb.connect()
     for t in ("events", "documents", "labels", "embeddings", "lineitem", "pages", "conversations", "supplier", "nation", "region"):
