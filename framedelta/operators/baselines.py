@@ -8,7 +8,7 @@ from pyspark.sql.window import Window
 
 from ..functions import vector as V
 from ..model import EncoderSpec
-from . import encode, tasks
+from . import encode, search, tasks
 
 
 def temporal_merge(frames: DataFrame, spec: EncoderSpec, window: int = 4) -> DataFrame:
@@ -95,11 +95,32 @@ def representatives(vectors: DataFrame, k: int = 32, sample: int = 2000):
     return [rows[i]["id"] for i in picked], x[picked]
 
 
-def near_reps(col, ids: list, reps, probe: int):
-    """(representative, similarity) of the `probe` nearest representatives of a vector column, nearest first."""
-    table = F.array(*[F.struct(F.array(*[F.lit(float(v)) for v in r]).alias("v"), F.lit(i).alias("i")) for i, r in zip(ids, reps, strict=True)])
-    near = F.array_sort(F.transform(table, lambda s: F.struct((-V.cosine(col, s["v"])).alias("d"), s["i"].alias("representative"))))
-    return F.transform(F.slice(near, 1, probe), lambda s: F.struct(s["representative"].alias("representative"), (-s["d"]).alias("similarity")))
+def near_reps(vectors: DataFrame, column: str, ids: list, reps, probe: int, out: str = "near") -> DataFrame:
+    """vectors with a column of (representative, similarity, part) of the `probe` nearest of the representatives, nearest first, of equal ones the smaller id; part is their number."""
+    import numpy as np
+    import pyarrow as pa
+
+    spark = vectors.sparkSession
+    encode.ship(spark)
+    kind = {"int": pa.int32(), "bigint": pa.int64()}[dict(vectors.dtypes).get("id", "bigint")]
+    order = sorted(range(len(ids)), key=lambda i: ids[i])
+    sent = spark.sparkContext.broadcast((np.array(ids)[order], np.array(reps)[order], np.array(order)))
+    probe = min(probe, len(ids))
+
+    def run(batches):
+        names, r, numbers = sent.value
+        nr = search.lengths(r)
+        for b in batches:
+            x = search.matrix(b.column(column), r.shape[1])
+            nx = search.lengths(x)
+            s = np.stack([search.cosines(x, np.broadcast_to(v, x.shape), nx, n) for v, n in zip(r, nr, strict=True)], axis=1)
+            near = np.argsort(-s, axis=1, kind="stable")[:, :probe]
+            flat = pa.StructArray.from_arrays([pa.array(names[near].ravel(), kind), pa.array(np.take_along_axis(s, near, 1).ravel()), pa.array(numbers[near].ravel().astype(np.int32))], ["representative", "similarity", "part"])
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, near.size + 1, probe, dtype=np.int32)), flat)
+            yield pa.RecordBatch.from_arrays([*b.columns, lists], [*b.schema.names, out])
+
+    types = ", ".join(f"`{c}` {t}" for c, t in vectors.dtypes)
+    return vectors.mapInArrow(run, f"{types}, `{out}` array<struct<representative: {'int' if kind == pa.int32() else 'bigint'}, similarity: double, part: int>>")
 
 
 def cluster_index(vectors: DataFrame, k: int = 32, sample: int = 2000) -> DataFrame:
@@ -110,23 +131,21 @@ def cluster_index(vectors: DataFrame, k: int = 32, sample: int = 2000) -> DataFr
     ids, reps = representatives(vectors, k, sample)
     if not ids:
         return vectors.select("id", F.lit(None).cast("bigint").alias("representative"), F.lit(None).cast("double").alias("similarity"))
-    return vectors.select("id", near_reps(F.col("emb"), ids, reps, 1)[0].alias("r")).select("id", "r.representative", "r.similarity")
+    return near_reps(vectors.select("id", "emb"), "emb", ids, reps, 1).select("id", F.col("near")[0].alias("r")).select("id", "r.representative", "r.similarity")
 
 
-def cluster_search(vectors: DataFrame, queries: DataFrame, top: int = 5, k: int = 32, probe: int = 28, sample: int = 2000, slots: int = 8) -> DataFrame:
+def cluster_search(vectors: DataFrame, queries: DataFrame, top: int = 5, k: int = 32, probe: int = 28, sample: int = 2000) -> DataFrame:
     """query_id, clip_id, score, rank: the `top` best among the members behind each query's `probe` nearest representatives.
 
-    A cluster is dealt to `slots` tasks and a task keeps `top` of a query's candidates before they meet, so neither a large cluster nor a
+    Members are dealt to tasks whatever their cluster, and a task keeps `top` of a query's candidates before they meet, so neither a large cluster nor a
     frequent query lands in one task.
     """
     ids, reps = representatives(vectors, k, sample)
     if not ids:
         return queries.sparkSession.createDataFrame([], f"query_id {dict(queries.dtypes)['query_id']}, clip_id {dict(vectors.dtypes)['id']}, score double, rank int")
-    members = vectors.select(F.col("id").alias("clip_id"), "emb", near_reps(F.col("emb"), ids, reps, 1)[0]["representative"].alias("rep"), F.pmod(F.xxhash64("id"), F.lit(slots)).alias("slot"))
-    asked = queries.select("query_id", "vec", F.explode(near_reps(F.col("vec"), ids, reps, probe)).alias("r")).select("query_id", "vec", F.col("r.representative").alias("rep"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(slots - 1).cast("bigint"))).alias("slot"))
-    x = members.join(asked, ["rep", "slot"]).select("query_id", "clip_id", V.cosine(F.col("vec"), F.col("emb")).alias("score"))
-    w = Window.partitionBy("query_id").orderBy(F.desc("score"), "clip_id")
-    return x.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= top)
+    members = near_reps(vectors.select("id", "emb"), "emb", ids, reps, 1).select(F.col("id").alias("clip_id"), "emb", F.col("near")[0]["part"].alias("part"))
+    asked = near_reps(queries.select("query_id", "vec"), "vec", ids, reps, probe).select("query_id", "vec", F.transform("near", lambda r: r["part"]).alias("parts"))
+    return search.nearest(asked, members, top)
 
 
 def fit_rates(frames, spec: EncoderSpec, flops_x: float) -> tuple[tuple[int, ...], tuple[int, ...]]:
