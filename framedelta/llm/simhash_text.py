@@ -8,8 +8,10 @@ Texts: words are runs of bytes other than ASCII white space, A-Z lowered; shingl
 of the same words are one text (by 128 bits of hash) from the start, so copies are never paired.
 
 Shards of more than `hot` texts are taken apart by leaders: in each round those within the radius of one of the shard's leaders are linked to them and
-leave the shard, until it is small; so a large group is a few stars, whose links are dealt to many tasks. A link between two which no leader is
-similar to may be lost in that shard; the other bands have other leaders.
+leave the shard, until it is small; so a large group is a few stars, whose links are dealt to many tasks.
+
+These links are the quick part: each text has its nearest and its leaders alone. So when they have been verified, a second pass takes the whole shards again,
+hot ones in tiles of several tasks, and verifies every pair within the radius whose texts are not in one class yet. No pair of a shard within the radius is left out.
 
 Defined cases: null and empty texts are one class. Of a class the row with the smallest doc_id stays (null after all others; of equal ids the
 least text hash; of repeated rows one). All columns come back. An empty table gives an empty result.
@@ -121,10 +123,14 @@ def nearest_links(codes: list[int], radius: int) -> list[tuple[int, int]]:
     return out
 
 
-def candidates(texts: DataFrame, radius: int, hot: int) -> DataFrame:
-    """(a binary, b binary): links, in the BK-trees of the shards, between texts (tid, fp, bands) within radius bits; distinct."""
-    ship(texts.sparkSession)
-    keys = written(texts.select("tid", "fp", F.explode("bands").alias("k")), "band-keys")
+def band_keys(texts: DataFrame) -> DataFrame:
+    """(tid, fp, k) of each text's bands."""
+    return written(texts.select("tid", "fp", F.explode(F.array_distinct("bands")).alias("k")), "band-keys")
+
+
+def candidates(keys: DataFrame, radius: int, hot: int) -> DataFrame:
+    """(a binary, b binary): links, in the BK-trees of the shards, between texts (band keys) within radius bits; distinct."""
+    ship(keys.sparkSession)
     sizes = written(keys.groupBy("k").agg(F.count(F.lit(1)).alias("c")).where("c > 1"), "band-sizes")
     cold = keys.join(sizes.where(F.col("c") <= hot).select("k"), "k")
     rest = keys.join(_small(sizes.where(F.col("c") > hot).select("k")), "k") if sizes.where(F.col("c") > hot).limit(1).count() else None
@@ -177,6 +183,58 @@ def candidates(texts: DataFrame, radius: int, hot: int) -> DataFrame:
     return out.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct() if not stars else out.where("a <> b").distinct()
 
 
+def rest(keys: DataFrame, label: DataFrame, radius: int, tile: int = 4096) -> DataFrame:
+    """(a binary, b binary): every pair of texts that share a band (keys: tid, fp, k) and lie within the radius, but not in one class of `label` (v, label); distinct.
+
+    Only shards with several classes are looked at. A shard of more than `tile` texts is cut into parts by hash, and each pair of parts is a task's own.
+    """
+    ship(keys.sparkSession)
+    x = keys.join(label.withColumnRenamed("v", "tid"), "tid", "left").select("k", "fp", "tid", F.coalesce("label", "tid").alias("c"))
+    x = written(x, "classed-keys")
+    sizes = x.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 < c1")
+    sizes = written(sizes.select("k", F.ceil(F.col("n") / tile).cast("int").alias("p")), "mixed-shards")
+    x = x.join(sizes, "k").withColumn("part", F.pmod(F.xxhash64(F.lit("part"), "tid"), F.col("p")).cast("int"))
+    # a text goes to each tile (i, j), i <= j, of which its part is a side
+    x = x.select("k", "fp", "tid", "c", "part", F.explode(F.sequence(F.lit(0), F.col("p") - 1)).alias("o"))
+    x = x.select("k", F.least("part", "o").alias("i"), F.greatest("part", "o").alias("j"), "part", "fp", "tid", "c")
+    dealt = x.repartition("k", "i", "j").sortWithinPartitions("k", "i", "j", "part")
+
+    def pairs(t):
+        fp = t.column("fp").to_numpy().view(np.uint64)
+        tid = t.column("tid").to_pylist()
+        c = np.unique(np.array([bytes(v) for v in t.column("c").to_pylist()], object), return_inverse=True)[1]
+        i, j, part = (int(t.column("i")[0].as_py()), int(t.column("j")[0].as_py()), t.column("part").to_numpy())
+        left, right = np.flatnonzero(part == i), np.flatnonzero(part == j)
+        for at in range(0, len(left), 256):
+            rows = left[at : at + 256]
+            near = (np.bitwise_count(fp[rows][:, None] ^ fp[right][None, :]) <= radius) & (c[rows][:, None] != c[right][None, :])
+            p, q = np.nonzero(near)
+            p, q = rows[p], right[q]
+            if i == j:
+                p, q = p[p < q], q[p < q]
+            for s in range(0, len(p), 10_000):
+                two = [sorted((tid[m], tid[n])) for m, n in zip(p[s : s + 10_000].tolist(), q[s : s + 10_000].tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array([m for m, _ in two], pa.binary()), pa.array([n for _, n in two], pa.binary())], ["a", "b"])
+
+    def walk(batches):
+        held = None
+        for b in batches:
+            t = pa.Table.from_batches([b])
+            t = pa.concat_tables([held, t]).combine_chunks() if held is not None else t
+            k, i, j = (t.column(n).to_numpy() for n in ("k", "i", "j"))
+            new = np.flatnonzero((k[1:] != k[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1])) + 1
+            held = t
+            if len(new):
+                for s, e in zip([0, *new[:-1].tolist()], new.tolist(), strict=True):
+                    if e - s > 1:
+                        yield from pairs(t.slice(s, e - s))
+                held = t.slice(int(new[-1]))
+        if held is not None and held.num_rows > 1:
+            yield from pairs(held)
+
+    return dealt.mapInArrow(walk, "a binary, b binary").distinct()
+
+
 def verified(pairs: DataFrame, docs: DataFrame, of: DataFrame, width: int, least: float) -> DataFrame:
     """The pairs (a, b) whose texts' shingle sets have a Jaccard similarity of at least `least`.
 
@@ -207,8 +265,16 @@ def similar_classes(docs: DataFrame, width: int = 5, least: float = 0.8, radius:
     rows = written(sketches(docs, width), "sketches")
     of = rows.groupBy("tid").agg(F.min("doc_id").alias("least"), F.first("fp").alias("fp"), F.first("bands").alias("bands"))
     of = written(of, "texts")
-    pairs = written(candidates(of.select("tid", "fp", "bands"), radius, hot), "candidates")
-    label = components(verified(pairs, docs, of, width, least))
+    keys = band_keys(of)
+    pairs = written(candidates(keys, radius, hot), "candidates")
+    links = written(verified(pairs, docs, of, width, least), "links")
+    label = written(components(links), "quick-classes")
+    more = rest(keys, label, radius)
+    more = written(more.join(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti"), "rest")
+    if more.limit(1).count():
+        found = written(verified(more, docs, of, width, least), "more-links")
+        if found.limit(1).count():
+            label = components(links.unionByName(found))
     return rows.select("doc_id", "tid"), of.join(label.withColumnRenamed("v", "tid"), "tid", "left").select("tid", "least", F.coalesce("label", "tid").alias("class"))
 
 

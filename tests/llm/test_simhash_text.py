@@ -94,3 +94,25 @@ def test_recall_on_documents(spark):
     found = {(i, j) for i in range(len(ids)) for j in range(i) if got[ids[i]] == got[ids[j]]}
     assert not found - pairs and len(found) >= 0.9 * len(pairs)
     assert of_text.agg(F.count_distinct("class")).first()[0] >= len(set(want))
+
+
+def test_every_pair_of_a_shard_is_looked_at(spark):
+    """A text whose nearest in its shards, on both sides, are no partners of it, and which has one that is farther."""
+    rows = made(seed=8, bases=40, copies=12)
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    sets = {i: shingles(t) for i, t in rows}
+    sk = {i: st.sketch(st.shingle_hashes(st.words((t or "").encode()))) for i, t in rows}
+    want = list(range(len(rows)))
+    for i in range(len(rows)):
+        for j in range(i):
+            a, b = sets[i], sets[j]
+            met = set(sk[i][1]) & set(sk[j][1]) and ((sk[i][0] ^ sk[j][0]) & ((1 << 64) - 1)).bit_count() <= 18
+            same = st.words((rows[i][1] or "").encode()) == st.words((rows[j][1] or "").encode())
+            if same or (met and len(a & b) >= 0.8 * len(a | b)):
+                old, new = max(want[i], want[j]), min(want[i], want[j])
+                want = [new if x == old else x for x in want]
+    pairs = {(i, j) for i in range(len(rows)) for j in range(i) if want[i] == want[j]}
+    for hot in (512, 4):
+        of_row, of_text = st.similar_classes(df, hot=hot)
+        got = {x.doc_id: bytes(x["class"]) for x in of_row.join(of_text, "tid").collect()}
+        assert {(i, j) for i in range(len(rows)) for j in range(i) if got[i] == got[j]} == pairs, hot
