@@ -1,8 +1,9 @@
 """Benchmark decontamination by latent semantic retrieval: which documents hold a benchmark passage, word for word or reworded.
 
-Terms are the words of the benchmark's passages, weighted by their inverse document frequency over all documents. Passages (the benchmark's,
-and a bounded sample of the corpus as background) make a sparse TF-IDF matrix whose right singular vectors come from a
-distributed randomised SVD: each partition adds up its part of A'(A Q) and only those small products meet. A benchmark
+Terms are the words of the benchmark's passages, weighted by their inverse document frequency over all documents. All documents and the benchmark's
+passages are the rows of a sparse TF-IDF matrix whose right singular vectors come from a
+distributed randomised SVD: each partition adds up its part of A'(A Q) and only those small products meet. What a document has of the terms is counted
+once and written, so texts are not read again for that. A benchmark
 passage is a query in the latent space. Every document is cut into overlapping windows at several scales; a window is compared with
 the passages of about its length. The share of a window's weight that lies in benchmark terms bounds its cosine, so windows
 below the threshold in that are not projected at all, which changes nothing.
@@ -19,7 +20,8 @@ passage's rarest words, which stand for its answer. A pair is a leak if the subs
 half lengths of the passage and a window of its scale with half a passage on both sides.
 
 The benchmark is a stated query set, taken in blocks of `block_items`; what is broadcast is bounded by a block. Nothing of the documents is
-sampled in the search.
+sampled, neither in the search nor for the directions: all documents together weigh as `background_passages` passages there, or the benchmark's own
+directions would be lost among those of a large corpus.
 
 Defined cases: null and empty texts hold nothing. Passages of fewer than `min_words` words leak where all their words follow each other
 in the text; null ones and those without words are not searched for. Repeated
@@ -37,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_text, texts, written
+from .common import delete, map_text, new_path, texts
 
 TERM = re.compile(r"\w+")
 SCALES = (14, 22, 34, 52, 80, 120)
@@ -60,57 +62,74 @@ def holds(words: list[str], run: list[str]) -> bool:
     return f" {' '.join(run)} " in f" {' '.join(words)} "
 
 
-def document_frequency(docs: DataFrame, vocab: dict[str, int]) -> np.ndarray:
-    """In how many documents each term occurs, over all of them."""
-    sent = docs.sparkSession.sparkContext.broadcast(vocab)
+COUNTS = "terms array<int>, counts array<int>, n_words int"
+
+
+def term_counts(passages: DataFrame, vocab: dict[str, int]) -> DataFrame:
+    """(terms, counts, n_words) of each text: which terms it holds, how often, and all of its words."""
+    sent = passages.sparkSession.sparkContext.broadcast(vocab)
 
     def run(b: pa.RecordBatch) -> pa.RecordBatch:
-        n: Counter = Counter()
-        known = sent.value
-        for t in texts(b.column("text")):
-            n.update(known.keys() & set(terms(t)))
-        return pa.RecordBatch.from_arrays([pa.array([known[w] for w in n], pa.int32()), pa.array(list(n.values()), pa.int64())], ["term", "n"])
-
-    out = np.zeros(len(vocab))
-    for r in map_text(docs.select("text"), run, "term int, n bigint").groupBy("term").agg(F.sum("n").alias("n")).collect():
-        out[r["term"]] = r["n"]
-    return out
+        rows = [terms(t) for t in texts(b.column("text"))]
+        size = np.array([len(w) for w in rows], np.int64)
+        ids = np.fromiter(map(sent.value.get, chain.from_iterable(rows), repeat(-1)), np.int64, int(size.sum()))
+        key, n = np.unique((np.repeat(np.arange(len(rows)), size) * len(sent.value) + ids)[ids >= 0], return_counts=True)
+        row, term = np.divmod(key, len(sent.value))
+        ends = pa.array(np.searchsorted(row, np.arange(len(rows) + 1)).astype(np.int32))
+        lists = [pa.ListArray.from_arrays(ends, pa.array(x.astype(np.int32))) for x in (term, n)]
+        return pa.RecordBatch.from_arrays([*lists, pa.array(size.astype(np.int32))], ["terms", "counts", "n_words"])
 
+    return map_text(passages.select("text"), run, COUNTS)
 
-def background(docs: DataFrame, passages: int, width: int = 40) -> DataFrame:
-    """(text): about `passages` windows of documents, drawn by a hash; for the SVD alone."""
-    n = max(1, docs.count())
-    chance = F.pmod(F.xxhash64(F.lit("background"), F.col("text")), F.lit(1 << 30)) / float(1 << 30)
-    words = F.split(F.col("text"), r"\s+")
-    at = F.pmod(F.xxhash64("text"), F.greatest(F.size(words) - width, F.lit(1))) + 1
-    return docs.where(F.col("text").isNotNull()).where(chance < min(1.0, passages / n)).select(F.array_join(F.slice(words, at.cast("int"), width), " ").alias("text")).limit(2 * passages)
+
+def document_frequency(counts: DataFrame, size: int) -> np.ndarray:
+    """In how many rows of term_counts each of `size` terms occurs, over all of them."""
+
+    def run(batches):
+        n = np.zeros(size, np.int64)
+        for b in batches:
+            n += np.bincount(b.column("terms").flatten().to_numpy(zero_copy_only=False), minlength=size)
+        held = np.flatnonzero(n)
+        yield pa.RecordBatch.from_arrays([pa.array(held.astype(np.int32)), pa.array(n[held])], ["term", "n"])
+
+    out = np.zeros(size)
+    for r in counts.select("terms").mapInArrow(run, "term int, n bigint").groupBy("term").agg(F.sum("n").alias("n")).collect():
+        out[r["term"]] = r["n"]
+    return out
 
 
 def singular_vectors(passages: DataFrame, vocab: dict[str, int], idf: np.ndarray, other: float, rank: int, over: int = 16, power: int = 2, seed: int = 11) -> np.ndarray:
-    """About `rank` right singular vectors (terms, rank) of the passages' TF-IDF matrix."""
+    """About `rank` right singular vectors (terms, rank) of the TF-IDF matrix of all passages: texts, or term_counts with the `weight` of each row."""
     spark = passages.sparkSession
+    rows = passages if "terms" in passages.columns else term_counts(passages, vocab).withColumn("weight", F.lit(1.0))
     size = len(vocab)
     rank = min(rank, size)
     q = np.linalg.qr(np.random.default_rng(seed).normal(size=(size, min(size, rank + over))))[0]
     block = 1024
-    known = spark.sparkContext.broadcast((vocab, idf))
+    weight = spark.sparkContext.broadcast(idf)
+    step = max(1, min(1024, (64 << 20) // (4 * size)))  # rows that a task multiplies at once
     for _ in range(power + 1):
         sent = spark.sparkContext.broadcast(q.astype(np.float32))
 
-        def part(b: pa.RecordBatch) -> pa.RecordBatch:
-            voc, weight = known.value
-            basis = sent.value  # noqa: B023
+        def part(batches):
+            basis, w = sent.value, weight.value  # noqa: B023
             total = np.zeros(basis.shape)
-            for t in texts(b.column("text")):
-                words = terms(t)
-                n = Counter(i for w in words if (i := voc.get(w)) is not None)
-                if n:
-                    idx = np.fromiter(n, np.int64, len(n))
-                    x = np.fromiter(n.values(), float, len(n)) * weight[idx]
-                    x /= np.sqrt(x @ x + (len(words) - sum(n.values())) * other**2)
-                    total[idx] += np.outer(x, x @ basis[idx])
-            parts = [total[i : i + block].tobytes() for i in range(0, len(total), block)]
-            return pa.RecordBatch.from_arrays([pa.array(range(len(parts)), pa.int32()), pa.array(parts, pa.binary())], ["block", "sums"])
+            dense = np.zeros((step, size), np.float32)
+            for whole in batches:
+                for at in range(0, whole.num_rows, step):
+                    b = whole.slice(at, step)
+                    n = b.column("terms").value_lengths().to_numpy(zero_copy_only=False)
+                    idx, count = (b.column(c).flatten().to_numpy(zero_copy_only=False) for c in ("terms", "counts"))
+                    row = np.repeat(np.arange(len(n)), n)
+                    x = count * w[idx]
+                    others = b.column("n_words").to_numpy(zero_copy_only=False) - np.bincount(row, count, len(n))
+                    norm = np.sqrt(np.bincount(row, x * x, len(n)) + others * other**2)
+                    dense[row, idx] = x * (b.column("weight").to_numpy() / np.maximum(norm, 1e-12))[row]
+                    a = dense[: len(n)]
+                    total += a.T @ (a @ basis)
+                    dense[row, idx] = 0
+            parts = [total[i : i + block].tobytes() for i in range(0, len(total), block)] if total.any() else []
+            yield pa.RecordBatch.from_arrays([pa.array(range(len(parts)), pa.int32()), pa.array(parts, pa.binary())], ["block", "sums"])
 
         def add(batches):
             sums: dict[int, np.ndarray] = {}
@@ -120,7 +139,8 @@ def singular_vectors(passages: DataFrame, vocab: dict[str, int], idf: np.ndarray
                     sums[i] = sums[i] + x if i in sums else x
             yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([x.tobytes() for x in sums.values()], pa.binary())], ["block", "sums"])
 
-        parts = map_text(passages.select("text"), part, "block int, sums binary")
+        # sums are as large for few rows as for many, so there are no more of them than tasks at once
+        parts = rows.coalesce(spark.sparkContext.defaultParallelism).mapInArrow(part, "block int, sums binary")
         z = np.zeros(q.shape)
         for r in parts.repartition(F.col("block")).mapInArrow(add, "block int, sums binary").collect():
             x = np.frombuffer(bytes(r["sums"])).reshape(-1, q.shape[1])
@@ -289,16 +309,19 @@ def leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = 0.5, lcs: float
     rows = benchmark.select("item_id", "text").where("text is not null").collect()
     items = sorted(((r["item_id"], w) for r in rows if (w := terms(r["text"]))), key=str)
     out = spark.createDataFrame([], schema)
-    extra = written(background(docs.select("text"), background_passages), "background") if items else None
-    total = docs.count()
     for at in range(0, len(items), block_items):
         block = items[at : at + block_items]
         vocab = {w: i for i, w in enumerate(dict.fromkeys(x for _, ws in block for x in ws))}
-        df = document_frequency(docs, vocab)
+        path = new_path(spark, "term-counts")
+        term_counts(docs, vocab).write.parquet(path)
+        counts = spark.read.schema(COUNTS).parquet(path)
+        total, df = counts.count(), document_frequency(counts, len(vocab))
         idf = np.log((total + 1.0) / (df + 1.0)) + 0.05
-        passages = extra.unionAll(spark.createDataFrame([(" ".join(w),) for _, w in block], "text string"))
+        own = term_counts(spark.createDataFrame([(" ".join(w),) for _, w in block], "text string"), vocab).withColumn("weight", F.lit(1.0))
+        passages = counts.withColumn("weight", F.lit(min(1.0, background_passages / max(1, total)) ** 0.5)).unionAll(own)
         other = float(np.quantile(idf, 0.8))  # what a word outside the benchmark weighs
         v = singular_vectors(passages, vocab, idf, other, rank)
+        delete(spark, path)
         sent = spark.sparkContext.broadcast(Queries(block, vocab, idf, v, other, lcs, answers))
 
         def search(b: pa.RecordBatch) -> pa.RecordBatch:
