@@ -129,8 +129,11 @@ def slices(batch: pa.RecordBatch, column: str = "text", most: int = 4 << 20) ->
     yield batch.slice(at)
 
 
-def map_text(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str) -> DataFrame:
-    """mapInArrow over byte-bounded slices. Each plan made here is an owner of worker tables; a task frees what an earlier owner left."""
+def map_batches(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
+    """mapInArrow over a task's batches. Each plan made here is an owner of worker tables; a task frees what an earlier owner left.
+
+    Spark keeps a Python process for each such map of a stage's tasks and uses all of them in turn from then on, each with tables of its own: no stage should hold two.
+    """
     ship(df.sparkSession)
     owner = uuid.uuid4().hex
 
@@ -138,9 +141,12 @@ def map_text(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], sche
         import pyarrow.compute  # noqa: F401
 
         enter(owner)
-        for b in batches:
-            for part in slices(b):
-                yield fn(part)
+        yield from fn(batches)
         give_back()
 
     return df.mapInArrow(run, schema)
+
+
+def map_text(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str) -> DataFrame:
+    """map_batches over byte-bounded slices."""
+    return map_batches(df, lambda batches: (fn(part) for b in batches for part in slices(b)), schema)

@@ -39,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import delete, map_text, new_path, texts
+from .common import delete, map_batches, map_text, new_path, texts
 
 TERM = re.compile(r"\w+")
 SCALES = (14, 22, 34, 52, 80, 120)
@@ -63,23 +63,24 @@ def holds(words: list[str], run: list[str]) -> bool:
 
 
 COUNTS = "terms array<int>, counts array<int>, n_words int"
+OUTPUTS = ("doc_id", "item_id", "cosine", "lcs_share", "answer_share", "first_word")
 
 
-def term_counts(passages: DataFrame, vocab: dict[str, int]) -> DataFrame:
-    """(terms, counts, n_words) of each text: which terms it holds, how often, and all of its words."""
-    sent = passages.sparkSession.sparkContext.broadcast(vocab)
+def counted(rows: list[list[str]], vocab: dict[str, int]) -> pa.RecordBatch:
+    """(terms, counts, n_words) of each text's words: which terms it holds, how often, and all of its words."""
+    size = np.array([len(w) for w in rows], np.int64)
+    ids = np.fromiter(map(vocab.get, chain.from_iterable(rows), repeat(-1)), np.int64, int(size.sum()))
+    key, n = np.unique((np.repeat(np.arange(len(rows)), size) * len(vocab) + ids)[ids >= 0], return_counts=True)
+    row, term = np.divmod(key, len(vocab))
+    ends = pa.array(np.searchsorted(row, np.arange(len(rows) + 1)).astype(np.int32))
+    lists = [pa.ListArray.from_arrays(ends, pa.array(x.astype(np.int32))) for x in (term, n)]
+    return pa.RecordBatch.from_arrays([*lists, pa.array(size.astype(np.int32))], ["terms", "counts", "n_words"])
 
-    def run(b: pa.RecordBatch) -> pa.RecordBatch:
-        rows = [terms(t) for t in texts(b.column("text"))]
-        size = np.array([len(w) for w in rows], np.int64)
-        ids = np.fromiter(map(sent.value.get, chain.from_iterable(rows), repeat(-1)), np.int64, int(size.sum()))
-        key, n = np.unique((np.repeat(np.arange(len(rows)), size) * len(sent.value) + ids)[ids >= 0], return_counts=True)
-        row, term = np.divmod(key, len(sent.value))
-        ends = pa.array(np.searchsorted(row, np.arange(len(rows) + 1)).astype(np.int32))
-        lists = [pa.ListArray.from_arrays(ends, pa.array(x.astype(np.int32))) for x in (term, n)]
-        return pa.RecordBatch.from_arrays([*lists, pa.array(size.astype(np.int32))], ["terms", "counts", "n_words"])
 
-    return map_text(passages.select("text"), run, COUNTS)
+def term_counts(passages: DataFrame, vocab: dict[str, int]) -> DataFrame:
+    """What counted() gives for each text."""
+    sent = passages.sparkSession.sparkContext.broadcast(vocab)
+    return map_text(passages.select("text"), lambda b: counted([terms(t) for t in texts(b.column("text"))], sent.value), COUNTS)
 
 
 def document_frequency(counts: DataFrame, size: int) -> np.ndarray:
@@ -93,7 +94,7 @@ def document_frequency(counts: DataFrame, size: int) -> np.ndarray:
         yield pa.RecordBatch.from_arrays([pa.array(held.astype(np.int32)), pa.array(n[held])], ["term", "n"])
 
     out = np.zeros(size)
-    for r in counts.select("terms").mapInArrow(run, "term int, n bigint").groupBy("term").agg(F.sum("n").alias("n")).collect():
+    for r in map_batches(counts.select("terms"), run, "term int, n bigint").groupBy("term").agg(F.sum("n").alias("n")).collect():
         out[r["term"]] = r["n"]
     return out
 
@@ -140,9 +141,9 @@ def singular_vectors(passages: DataFrame, vocab: dict[str, int], idf: np.ndarray
             yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([x.tobytes() for x in sums.values()], pa.binary())], ["block", "sums"])
 
         # sums are as large for few rows as for many, so there are no more of them than tasks at once
-        parts = rows.coalesce(spark.sparkContext.defaultParallelism).mapInArrow(part, "block int, sums binary")
+        parts = map_batches(rows.coalesce(spark.sparkContext.defaultParallelism), part, "block int, sums binary")
         z = np.zeros(q.shape)
-        for r in parts.repartition(F.col("block")).mapInArrow(add, "block int, sums binary").collect():
+        for r in map_batches(parts.repartition(F.col("block")), add, "block int, sums binary").collect():
             x = np.frombuffer(bytes(r["sums"])).reshape(-1, q.shape[1])
             z[r["block"] * block : r["block"] * block + len(x)] += x
         u, s, _ = np.linalg.svd(z, full_matrices=False)
@@ -305,10 +306,11 @@ def leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = 0.5, lcs: float
     """(doc_id, item_id, cosine, lcs_share, answer_share double, first_word int) of each row of docs and passage found in it."""
     spark = docs.sparkSession
     kinds = dict(docs.dtypes)["doc_id"], dict(benchmark.dtypes)["item_id"]
-    schema = f"doc_id {kinds[0]}, item_id {kinds[1]}, cosine double, lcs_share double, answer_share double, first_word int"
+    types = (*kinds, "double", "double", "double", "int")
+    schema = ", ".join(map(" ".join, zip(OUTPUTS, types, strict=True)))
     rows = benchmark.select("item_id", "text").where("text is not null").collect()
     items = sorted(((r["item_id"], w) for r in rows if (w := terms(r["text"]))), key=str)
-    out = spark.createDataFrame([], schema)
+    out = spark.range(0).select(*(F.lit(None).cast(kind).alias(name) for name, kind in zip(OUTPUTS, types, strict=True)))
     for at in range(0, len(items), block_items):
         block = items[at : at + block_items]
         vocab = {w: i for i, w in enumerate(dict.fromkeys(x for _, ws in block for x in ws))}
@@ -317,7 +319,8 @@ def leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = 0.5, lcs: float
         counts = spark.read.schema(COUNTS).parquet(path)
         total, df = counts.count(), document_frequency(counts, len(vocab))
         idf = np.log((total + 1.0) / (df + 1.0)) + 0.05
-        own = term_counts(spark.createDataFrame([(" ".join(w),) for _, w in block], "text string"), vocab).withColumn("weight", F.lit(1.0))
+        # counted here and sent as Arrow: rows made in Python, and their counting, would be two more Python processes in each task of the SVD
+        own = spark.createDataFrame(pa.Table.from_batches([counted([w for _, w in block], vocab)])).withColumn("weight", F.lit(1.0))
         passages = counts.withColumn("weight", F.lit(min(1.0, background_passages / max(1, total)) ** 0.5)).unionAll(own)
         other = float(np.quantile(idf, 0.8))  # what a word outside the benchmark weighs
         v = singular_vectors(passages, vocab, idf, other, rank)
@@ -354,7 +357,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = 0.5, lcs: float
             doc_ids = b.column("doc_id").take(pa.array([r for r, _ in keys], pa.int64()))
             cols = [pa.array([best[k][j] for k in keys], pa.float64()) for j in (1, 0, 2)]
             item_ids = pa.array([q.ids[i] for _, i in keys], pa.Table.from_batches([b]).schema.field("_item").type)
-            return pa.RecordBatch.from_arrays([doc_ids, item_ids, *cols, pa.array([-best[k][3] for k in keys], pa.int32())], ["doc_id", "item_id", "cosine", "lcs_share", "answer_share", "first_word"])
+            return pa.RecordBatch.from_arrays([doc_ids, item_ids, *cols, pa.array([-best[k][3] for k in keys], pa.int32())], list(OUTPUTS))
 
         out = out.unionAll(map_text(docs.select("doc_id", "text", F.lit(None).cast(kinds[1]).alias("_item")), search, schema))
     return out

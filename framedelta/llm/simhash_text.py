@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_text, raw_texts, ship, written
+from .common import map_batches, map_text, raw_texts, written
 from .simhash import SEED, BKTree, components
 
 BANDS, ROWS = 12, 4
@@ -130,7 +130,6 @@ def band_keys(texts: DataFrame) -> DataFrame:
 
 def candidates(keys: DataFrame, radius: int, hot: int) -> DataFrame:
     """(a binary, b binary): links, in the BK-trees of the shards, between texts (band keys) within radius bits; distinct."""
-    ship(keys.sparkSession)
     sizes = written(keys.groupBy("k").agg(F.count(F.lit(1)).alias("c")).where("c > 1"), "band-sizes")
     cold = keys.join(sizes.where(F.col("c") <= hot).select("k"), "k")
     rest = keys.join(_small(sizes.where(F.col("c") > hot).select("k")), "k") if sizes.where(F.col("c") > hot).limit(1).count() else None
@@ -177,7 +176,7 @@ def candidates(keys: DataFrame, radius: int, hot: int) -> DataFrame:
         if held is not None and held.num_rows:
             yield from links(held.column("fp").to_numpy(), held.column("tid").to_pylist(), [])
 
-    out = dealt.mapInArrow(walk, "a binary, b binary")
+    out = map_batches(dealt, walk, "a binary, b binary")
     for s in stars:
         out = out.unionByName(s)
     return out.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct() if not stars else out.where("a <> b").distinct()
@@ -188,7 +187,6 @@ def rest(keys: DataFrame, label: DataFrame, radius: int, tile: int = 4096) -> Da
 
     Only shards with several classes are looked at. A shard of more than `tile` texts is cut into parts by hash, and each pair of parts is a task's own.
     """
-    ship(keys.sparkSession)
     x = keys.join(label.withColumnRenamed("v", "tid"), "tid", "left").select("k", "fp", "tid", F.coalesce("label", "tid").alias("c"))
     x = written(x, "classed-keys")
     sizes = x.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 < c1")
@@ -232,7 +230,7 @@ def rest(keys: DataFrame, label: DataFrame, radius: int, tile: int = 4096) -> Da
         if held is not None and held.num_rows > 1:
             yield from pairs(held)
 
-    return dealt.mapInArrow(walk, "a binary, b binary").distinct()
+    return map_batches(dealt, walk, "a binary, b binary").distinct()
 
 
 def verified(pairs: DataFrame, docs: DataFrame, of: DataFrame, width: int, least: float) -> DataFrame:
@@ -243,7 +241,8 @@ def verified(pairs: DataFrame, docs: DataFrame, of: DataFrame, width: int, least
     asked = pairs.select(F.col("a").alias("tid")).unionByName(pairs.select(F.col("b").alias("tid"))).distinct()
     chosen = of.join(asked, "tid", "left_semi").select(F.col("tid").alias("_t"), F.col("least").alias("_d"))
     rows = with_tid(docs.select("doc_id", "text"))
-    rows = rows.join(chosen, (F.col("tid") == F.col("_t")) & F.col("doc_id").eqNullSafe(F.col("_d")), "left_semi")
+    # never a broadcast join: it would put both maps over texts into one stage, with two Python processes for each task
+    rows = rows.join(chosen.hint("merge"), (F.col("tid") == F.col("_t")) & F.col("doc_id").eqNullSafe(F.col("_d")), "left_semi")
 
     def hashed(b: pa.RecordBatch) -> pa.RecordBatch:
         sets = [np.unique(shingle_hashes(words(t), width)).view(np.int64) for t in raw_texts(b.column("text"))]
